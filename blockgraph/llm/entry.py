@@ -1,9 +1,10 @@
 """The queries of this subpackage and the SQL that DuckDB can check them by."""
 
-from . import decontaminate, jaccard_join, media, sharding, token_counts, warc
+from . import decontaminate, jaccard_join, media, sharding, token_counts, toxicity, warc
 
 QUERIES = {
     "op1_decontamination": decontaminate.op1_decontamination,
+    "op2_toxicity": toxicity.op2_toxicity,
     "op4_sharding": sharding.op4_sharding,
     "op5_jaccard_join": jaccard_join.op5_jaccard_join,
     "op6_token_counts": token_counts.op6_token_counts,
