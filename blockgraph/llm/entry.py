@@ -1,6 +1,6 @@
 """The queries of this subpackage and the SQL that DuckDB can check them by."""
 
-from . import decontaminate, jaccard_join, media, sharding, token_counts, toxicity, warc
+from . import decontaminate, jaccard_join, language_id, media, sharding, token_counts, toxicity, warc
 
 QUERIES = {
     "op1_decontamination": decontaminate.op1_decontamination,
@@ -8,6 +8,7 @@ QUERIES = {
     "op4_sharding": sharding.op4_sharding,
     "op5_jaccard_join": jaccard_join.op5_jaccard_join,
     "op6_token_counts": token_counts.op6_token_counts,
+    "op7_language_id": language_id.op7_language_id,
     "op8_warc": warc.op8_warc,
     "op10_telephony": media.op10_telephony,
 }
