@@ -1,6 +1,6 @@
 """The queries of this subpackage and the SQL that DuckDB can check them by."""
 
-from . import decontaminate, jaccard_join, language_id, media, sharding, token_counts, toxicity, warc
+from . import decontaminate, jaccard_join, language_id, media, sentencepiece_codec, sharding, token_counts, toxicity, warc
 
 QUERIES = {
     "op1_decontamination": decontaminate.op1_decontamination,
@@ -10,6 +10,7 @@ QUERIES = {
     "op6_token_counts": token_counts.op6_token_counts,
     "op7_language_id": language_id.op7_language_id,
     "op8_warc": warc.op8_warc,
+    "op9_sentencepiece": sentencepiece_codec.op9_sentencepiece,
     "op10_telephony": media.op10_telephony,
 }
 ORACLES = {
