@@ -1,10 +1,11 @@
 """The queries of this subpackage and the SQL that DuckDB can check them by."""
 
-from . import decontaminate, jaccard_join, language_id, media, sentencepiece_codec, sharding, token_counts, toxicity, warc
+from . import decontaminate, jaccard_join, language_id, language_model, media, sentencepiece_codec, sharding, token_counts, toxicity, warc
 
 QUERIES = {
     "op1_decontamination": decontaminate.op1_decontamination,
     "op2_toxicity": toxicity.op2_toxicity,
+    "op3_language_model": language_model.op3_language_model,
     "op4_sharding": sharding.op4_sharding,
     "op5_jaccard_join": jaccard_join.op5_jaccard_join,
     "op6_token_counts": token_counts.op6_token_counts,
