@@ -27,9 +27,9 @@ from .features import subwords, whole, word_bytes
 from .text import LETTERS, Tokens, factorize, rows_of, segment_sums, slices, utf8
 
 #: Most labelled texts to train on, and most bytes of text taken from them together (whole texts only).
-SAMPLE, SAMPLE_BYTES = 6000, 24 << 20
+SAMPLE, SAMPLE_BYTES = 4000, 12 << 20
 BUCKETS, DIMENSION, SIZES = 1 << 17, 8, (3, 4, 5)
-PASSAGE, EPOCHS, WHOLE_EPOCHS, RATE, BATCH = 24, 12, 3, 0.1, 64
+PASSAGE, EPOCHS, WHOLE_EPOCHS, RATE, BATCH = 4, 16, 1, 0.1, 64
 #: Least number of texts with a bucket, as a share of the rarer class.
 RARE = 0.02
 HELD_OUT = "pmod(crc32(cast(cast(doc_id as string) as binary)), 5) = 0"
@@ -90,8 +90,8 @@ def train(texts: list[str], labels: list[int], seed: int = 7) -> Model:
     owner, bucket = owner[order], bucket[order]
     at = np.searchsorted(owner, np.arange(len(distinct) + 1))
     # A bucket that few texts hold would only learn these texts by heart; it keeps the weight 0.
-    holders = np.unique(bucket[np.repeat(at[word] - (np.cumsum(np.diff(at)[word]) - np.diff(at)[word]), np.diff(at)[word]) + np.arange(np.diff(at)[word].sum())] * len(y) + np.repeat(tokens.docs(), np.diff(at)[word])) // len(y)
-    common = np.bincount(holders, minlength=BUCKETS) >= max(3, RARE * np.bincount(y).min())
+    holders = np.bincount(np.unique(word * len(y) + tokens.docs()) // len(y), minlength=len(distinct))
+    common = np.bincount(bucket, np.repeat(holders, np.diff(at)), minlength=BUCKETS) >= max(3, RARE * np.bincount(y).min())
     used, bucket = np.unique(bucket, return_inverse=True)
     size = np.diff(at).astype(np.float64)
     rng = np.random.default_rng(seed)
@@ -202,7 +202,13 @@ def keep_clean(docs: DataFrame, model: Model, threshold: float = 0.5) -> DataFra
 
 
 def fit(docs: DataFrame, labels: DataFrame) -> Model:
-    return train(*training_sample(docs, labels))
+    """Train on the sample; the bias is then moved from the sample's share of each class to that of all usable labels."""
+    texts, marks = training_sample(docs, labels)
+    model = train(texts, marks)
+    if len(set(marks)) == 2:
+        there = {r.toxic: r.n for r in labels.select("doc_id", F.col("toxic").cast("int").alias("toxic")).where(f"toxic in (0, 1) and doc_id is not null and not ({HELD_OUT})").groupBy("toxic").agg(F.count("*").alias("n")).collect()}
+        model.bias += float(np.log(there[1] / there[0]) - np.log(sum(marks) / (len(marks) - sum(marks))))
+    return model
 
 
 def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
