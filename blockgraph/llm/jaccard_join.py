@@ -9,10 +9,11 @@ signature of that range that leaves the differing cell out. Some more ranges tha
 leave out the signatures of empty cells, which all sets would share, as long as fewer ranges of it have an empty cell
 than are sure to agree; the rare sets with more empty cells sign those too. Nothing is lost.
 
-Candidates: per signature, every holder is paired with the least one (not with every other), verified on whole
-sets, and the links are contracted to components. Signatures whose holders then lie in several components
-are settled exactly: their holders are grouped, dealt into blocks, and every two blocks of a group are multiplied as 0/1
-matrices. Copies inside a batch are joined with the batch's first holder before the shuffle.
+Candidates: per signature, every holder is paired with the least one (not with every other). Linked sets share at least
+2 n1 - k less the empty cells, so a document that shares fewer of its signatures with anybody links with nobody and goes;
+so do pairs that cannot reach that number. The rest is verified on whole sets, and the links are contracted to
+components. Where the holders that met one least holder still lie in several components, they are compared with each
+other exactly: dealt into blocks, every two blocks multiplied as 0/1 matrices.
 
 Defined cases: null and empty texts have no set and link with nothing; a text of fewer words than a shingle is one
 shingle; rows that share a ``doc_id`` are one document; a row without ``doc_id`` has no component; only ``doc_id``
@@ -33,13 +34,13 @@ from pyspark.sql import Window as W
 
 from .links import connected
 from .scratch import discard, stored
-from .text import SPACED, Tokens, factorize, rows_of, slices, splitmix, utf8
+from .text import SPACED, Tokens, rows_of, slices, splitmix, utf8
 
 WORDS, PERCENT = 4, 85
-#: Documents of one block in the final step: two of them meet in a task.
-BLOCK_DOCS = 256
-#: Bits of the lossy set of documents whose texts are needed again; 4 MB at any size of the input.
-FILTER_BITS = 25
+#: Documents of one block in the final step: two blocks meet in a task.
+BLOCK_DOCS = 512
+#: Bits of the lossy sets (of shared signatures, of documents whose texts are needed again): 8 MB at any size of the input.
+FILTER_BITS = 26
 _STEP = np.uint64(0x9FB21C651E98DF25)
 
 
@@ -71,11 +72,14 @@ def _edges(cells: int) -> np.ndarray:
     return np.array([(i << 64) // cells for i in range(1, cells)], np.uint64)
 
 
-def signatures(elements: np.ndarray, percent: int = PERCENT) -> np.ndarray:
-    """The signatures of a set, given as sorted distinct hashes."""
+def signatures(elements: np.ndarray, percent: int = PERCENT) -> tuple[np.ndarray, list[int]]:
+    """The signatures of a set, given as sorted distinct hashes; the lowest bit tells the two instances apart.
+
+    Also, for the instances of even and of odd number, how many of them a linked set shares at least.
+    """
     own = int(np.searchsorted(bands(percent), len(elements)))
     sums = np.concatenate([[np.uint64(0)], np.cumsum(splitmix(elements), dtype=np.uint64)])
-    out = []
+    out, least = [], [0, 0]
     for band in (own, own + 1):
         n1, n2, k = instance(band, percent)
         cuts = np.concatenate([[0], np.searchsorted(elements, _edges(n1 * n2)), [len(elements)]])
@@ -83,8 +87,9 @@ def signatures(elements: np.ndarray, percent: int = PERCENT) -> np.ndarray:
         signed = splitmix(splitmix((sums[cuts[1:]] - sums[cuts[:-1]]) ^ splitmix(size.astype(np.uint64))) + np.arange(n1 * n2, dtype=np.uint64) + np.uint64(band << 32))
         if n2 > 1 and np.count_nonzero((size.reshape(n1, n2) == 0).any(axis=1)) < n1 - k // 2:
             signed = signed[size > 0]
-        out.append(signed)
-    return np.concatenate(out)
+        out.append(signed & ~np.uint64(1) | np.uint64(band & 1))
+        least[band & 1] = max(1, n1 * n2 - k - np.count_nonzero(size == 0))
+    return np.concatenate(out), least
 
 
 def shingle_sets(data: np.ndarray, offs: np.ndarray, words: int = WORDS) -> list[np.ndarray]:
@@ -115,7 +120,7 @@ def set_digest(elements: np.ndarray) -> tuple[int, int]:
     return int(a.sum(dtype=np.uint64).astype(np.int64)), int((b.sum(dtype=np.uint64) + np.uint64(len(elements))).astype(np.int64))
 
 
-_SIGNED = "doc_id bigint, n_shingles bigint, d1 bigint, d2 bigint, sigs array<bigint>, local array<struct<sig: bigint, lead: bigint>>"
+_SIGNED = "doc_id bigint, n_shingles bigint, d1 bigint, d2 bigint, even int, odd int, sigs array<bigint>"
 
 
 def _longs(parts: list[np.ndarray]) -> pa.Array:
@@ -125,75 +130,81 @@ def _longs(parts: list[np.ndarray]) -> pa.Array:
 
 
 def _sign(words: int, percent: int):
-    local_type = pa.list_(pa.struct([("sig", pa.int64()), ("lead", pa.int64())]))
+    nothing = (np.zeros(0, np.uint64), [0, 0])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids = rows_of(batch, "doc_id")
             keys = ids.to_pylist()
             data, offs = utf8(rows_of(batch, "text"))
-            for i, j in slices(offs, 16 << 20):
+            seen: set[tuple[int, int]] = set()
+            for i, j in slices(offs, 3 << 20):
                 sets = shingle_sets(data[offs[i] : offs[j]], offs[i : j + 1] - offs[i], words)
                 digests = [set_digest(s) for s in sets]
-                seen: set[tuple[int, int]] = set()
-                signed = [
-                    signatures(s, percent) if len(s) and key is not None and not (d in seen or seen.add(d)) else np.zeros(0, np.uint64)
-                    for s, d, key in zip(sets, digests, keys[i:j], strict=True)
-                ]
-                # Of the holders of a signature in this slice, only the first one goes on to the shuffle.
-                flat = np.concatenate([np.zeros(0, np.uint64), *signed])
-                owner = np.repeat(np.arange(len(signed)), [len(s) for s in signed])
-                codes, _, first = factorize(flat)
-                lead = first[codes] if len(flat) else np.zeros(0, np.int64)
-                leads = lead == np.arange(len(flat))
-                local: list[list] = [[] for _ in signed]
-                for x in np.flatnonzero(~leads).tolist():
-                    local[owner[x]].append({"sig": int(flat[x].astype(np.int64)), "lead": keys[i + owner[lead[x]]]})
-                ends = np.cumsum([0, *(len(s) for s in signed)])
+                # Of equal sets in a batch, the first one signs for all.
+                signed = [signatures(s, percent) if len(s) and key is not None and not (d in seen or seen.add(d)) else nothing for s, d, key in zip(sets, digests, keys[i:j], strict=True)]
+                numbers = [[len(s) for s in sets], [d[0] for d in digests], [d[1] for d in digests]]
+                least = [[x[1][0] for x in signed], [x[1][1] for x in signed]]
                 yield pa.RecordBatch.from_arrays(
-                    [
-                        ids.slice(i, j - i), pa.array([len(s) for s in sets], pa.int64()), pa.array([d[0] for d in digests], pa.int64()), pa.array([d[1] for d in digests], pa.int64()),
-                        _longs([flat[a:b][leads[a:b]] for a, b in zip(ends[:-1], ends[1:], strict=True)]), pa.array(local, local_type),
-                    ],
-                    ["doc_id", "n_shingles", "d1", "d2", "sigs", "local"],
-                )
+                    [ids.slice(i, j - i), *(pa.array(x, pa.int64()) for x in numbers), *(pa.array(x, pa.int32()) for x in least), _longs([x[0] for x in signed])],
+                    ["doc_id", "n_shingles", "d1", "d2", "even", "odd", "sigs"],
+                )
 
     return run
 
 
-# Verification
+# Lossy sets
+
+
+def _slot(column: str):
+    return F.pmod(F.xxhash64(column), F.lit(1 << FILTER_BITS))
 
 
-def _needed(ids: DataFrame) -> np.ndarray:
-    """A fixed-size bitmap of the hashes of these ids: it may keep more documents than asked for, never fewer."""
-    slot = F.pmod(F.xxhash64("doc_id"), F.lit(1 << FILTER_BITS))
-    maps = ids.select(slot.alias("s")).groupBy(F.bitmap_bucket_number("s").alias("bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("s")).alias("bits"))
+def bitmap(df: DataFrame, column: str) -> np.ndarray:
+    """A fixed-size bitmap of the hashed values: it may hold more than was put in, never less."""
+    slot = df.select(_slot(column).alias("s"))
+    maps = slot.groupBy(F.bitmap_bucket_number("s").alias("bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("s")).alias("bits"))
     bits = np.zeros(1 << FILTER_BITS >> 3, np.uint8)
-    width = 4096
-    for row in maps.toLocalIterator():  # at most 2^FILTER_BITS / 32768 rows
-        at = (row.bucket - 1) * width if row.bucket > 0 else 0
-        bits[at : at + len(row.bits)] |= np.frombuffer(bytes(row.bits), np.uint8)[: len(bits) - at]
+    for row in maps.toLocalIterator():  # at most 2^FILTER_BITS / 32768 rows of 4 KB
+        at = max(row.bucket - 1, 0) * 4096
+        bits[at : at + len(row.bits)] |= np.frombuffer(bytes(row.bits), np.uint8)
     return bits
 
 
+def _kept(bits: np.ndarray, slot: np.ndarray) -> np.ndarray:
+    """Which slots are set; numbering as in Spark's bitmap functions, where 1 is the first bit."""
+    bit = np.maximum(slot - 1, 0)
+    return (bits[bit >> 3] >> (bit & 7).astype(np.uint8) & 1).astype(bool)
+
+
+def passing(df: DataFrame, column: str, bits: np.ndarray, schema: str) -> DataFrame:
+    """The rows whose value may be in the bitmap."""
+    shared = df.sparkSession.sparkContext.broadcast(bits)
+    names = df.columns
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            slot = rows_of(batch, "slot").to_numpy(zero_copy_only=False)
+            kept = batch.filter(pa.array(_kept(shared.value, slot)))
+            yield pa.RecordBatch.from_arrays([rows_of(kept, c) for c in names], names)
+
+    return df.where(F.col(column).isNotNull()).withColumn("slot", _slot(column)).mapInArrow(run, schema)
+
+
+# Verification
+
+
 def _fetch_sets(docs: DataFrame, ids: DataFrame, words: int) -> DataFrame:
-    """(doc_id, elements) of the documents in ``ids``, and of a few others."""
-    bits = docs.sparkSession.sparkContext.broadcast(_needed(ids))
-    slot = F.pmod(F.xxhash64("doc_id"), F.lit(1 << FILTER_BITS))
-    at = docs.select("doc_id", "text", (F.bitmap_bucket_number(slot) - 1).alias("bucket"), F.bitmap_bit_position(slot).alias("bit"))
+    """(doc_id, elements) of the documents in ``ids``, and maybe of a few others."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            bucket = rows_of(batch, "bucket").fill_null(0).to_numpy(zero_copy_only=False)
-            bit = rows_of(batch, "bit").fill_null(0).to_numpy(zero_copy_only=False)
-            byte = bits.value[(np.maximum(bucket, 0) * 4096 + (bit >> 3)).astype(np.int64)]
-            batch = batch.filter(pa.array((byte >> (bit & 7).astype(np.uint8) & 1).astype(bool)))
             data, offs = utf8(rows_of(batch, "text"))
             for i, j in slices(offs):
                 sets = shingle_sets(data[offs[i] : offs[j]], offs[i : j + 1] - offs[i], words)
                 yield pa.RecordBatch.from_arrays([rows_of(batch, "doc_id").slice(i, j - i), _longs(sets)], ["doc_id", "elements"])
 
-    return at.mapInArrow(run, "doc_id bigint, elements array<bigint>")
+    return passing(docs, "doc_id", bitmap(ids, "doc_id"), "doc_id bigint, text string").mapInArrow(run, "doc_id bigint, elements array<bigint>")
 
 
 def _linked(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -257,49 +268,80 @@ def jaccard_components(docs: DataFrame, words: int = WORDS, percent: int = PERCE
     signed = stored(docs.mapInArrow(_sign(words, percent), _SIGNED), "signed")
 
     # Equal sets, also across tasks.
-    rows = stored(signed.select("doc_id", "n_shingles", "d1", "d2"), "sets")
+    rows = stored(signed.drop("sigs"), "sets")
     filled = rows.where("n_shingles > 0 and doc_id is not null")
     first = stored(filled.groupBy("d1", "d2", "n_shingles").agg(F.min("doc_id").alias("first"), F.count("*").alias("n")).where("n > 1").drop("n"), "copies")
     copies = filled.join(first, ["d1", "d2", "n_shingles"]).where("doc_id <> first").select(F.col("doc_id").alias("a"), F.col("first").alias("b"))
 
-    # Holders of each signature: (sig, doc_id, rep).
-    shuffled = signed.select("doc_id", F.explode("sigs").alias("sig"))
-    by_sig = W.partitionBy("sig").orderBy("doc_id")
-    led = shuffled.select("sig", "doc_id", F.first("doc_id").over(by_sig.rowsBetween(W.unboundedPreceding, 0)).alias("rep"), F.lead("doc_id").over(by_sig).alias("next"))
-    led = led.where("doc_id <> rep or next is not null").drop("next")
-    near = signed.select("doc_id", F.explode("local").alias("x")).select("x.sig", "doc_id", F.col("x.lead").alias("rep"))
-    holders = stored(led.unionByName(near), "holders")
+    # Shared signatures with their least holders. The least is combined before the shuffle, and only signatures that may
+    # be shared are dealt out again to meet it, in a join whose large partitions Spark can split.
+    exploded = signed.select("doc_id", F.explode("sigs").alias("sig"))
+    shared = stored(exploded.groupBy("sig").agg(F.min("doc_id").alias("b"), F.count("*").alias("n")).where("n > 1").drop("n"), "shared")
+    again = passing(exploded, "sig", bitmap(shared, "sig"), "doc_id bigint, sig bigint").withColumnRenamed("doc_id", "a")
+    odd = F.pmod("sig", F.lit(2)).cast("int").alias("odd")
+    ties = again.join(shared, "sig").groupBy("a", "b", odd).agg(F.count("*").alias("c"))
+    least = filled.select(F.col("doc_id").alias("a"), F.explode(F.array(F.struct(F.lit(0).alias("odd"), F.col("even").alias("least")), F.struct(F.lit(1).alias("odd"), F.col("odd").alias("least")))).alias("x"))
+    least = least.select("a", "x.*").where("least > 0").groupBy("a", "odd").agg(F.min("least").alias("least"))
+    ties = stored(ties, "ties").join(least, ["a", "odd"])
+    of_a = W.partitionBy("a", "odd")
+    up_to_b = of_a.orderBy("b").rowsBetween(W.unboundedPreceding, 0)
+    by_count = of_a.orderBy("c", "b").rowsBetween(W.unboundedPreceding, 0)
+    ties = ties.select("a", "b", "odd", "least", F.sum("c").over(of_a).alias("all"), F.sum("c").over(up_to_b).alias("most"), F.sum("c").over(by_count).alias("rank"))
+    ties = stored(ties.where("all >= least").drop("all"), "ties")
     discard(signed)
+    discard(shared)
 
-    pairs = stored(holders.where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b")).distinct(), "pairs")
-    ids = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id")))
-    sets = stored(_fetch_sets(docs, ids, words), "elements")
-    links = stored(_linked(pairs, sets, percent).unionByName(copies), "found")
+    # What a and b share is under least holders up to b.
+    able = ties.select(F.col("a").alias("b"), "odd").distinct()
+    pairs = stored(ties.where("a <> b and most >= least").join(able, ["b", "odd"], "left_semi").select("a", "b").distinct(), "pairs")
+    links = stored(_linked(pairs, _sets_of(docs, pairs, words), percent).unionByName(copies), "found")
     components = stored(connected(links), "components")
 
-    # Signatures with holders in several components.
-    def labelled(df: DataFrame, key: str, out: str) -> DataFrame:
-        return df.join(components.select(F.col("node").alias(key), F.col("component").alias(out)), key, "left").withColumn(out, F.coalesce(out, key))
-
-    open_pairs = stored(labelled(labelled(pairs, "a", "ca"), "b", "cb").where("ca <> cb").select("a", "b"), "open")
-    if open_pairs.isEmpty():
-        links_all = links
-    else:
-        open_sigs = holders.join(open_pairs.select(F.col("a").alias("doc_id"), F.col("b").alias("rep")), ["doc_id", "rep"]).select("sig").distinct()
-        ties = stored(holders.join(open_sigs, "sig").select("doc_id", "rep").distinct(), "ties")
-        groups = stored(connected(ties.where("doc_id <> rep"), "doc_id", "rep"), "groups").select(F.col("node").alias("doc_id"), F.col("component").alias("grp"))
-        sizes = groups.groupBy("grp").agg(F.ceil(F.count("*") / BLOCK_DOCS).alias("blocks"))
-        dealt = labelled(groups.join(sizes, "grp"), "doc_id", "component").withColumn("block", F.pmod(F.xxhash64("doc_id"), "blocks"))
-        placed = dealt.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
-        placed = placed.select("doc_id", "component", "grp", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"))
-        crossing = placed.join(sets, "doc_id").groupBy("grp", "i", "j").applyInPandas(_settle(percent), "a bigint, b bigint")
-        links_all = stored(links.unionByName(crossing), "found")
-        components = stored(connected(links_all), "components")
-        discard(links)
-    for table in (holders, pairs, sets):
+    # Two linked documents share signatures under the same least holders; each may forget the holders of fewest
+    # signatures up to half of what they share, and one common holder is left.
+    around = ties.where("2 * rank >= least").select("a", "b", "odd")
+    around = stored(around.join(components.select(F.col("node").alias("a"), "component"), "a", "left").withColumn("component", F.coalesce("component", "a")), "around")
+    groups = around.groupBy("b", "odd").agg(F.count("*").alias("n"), F.min("component").alias("low"), F.max("component").alias("high"))
+    groups = stored(groups.where("low <> high and n > 2").select("b", "odd", F.ceil(F.col("n") / BLOCK_DOCS).alias("blocks")), "groups")
+    members = around.join(groups, ["b", "odd"]).withColumn("block", F.pmod(F.xxhash64("a"), "blocks"))
+    dealt = members.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
+    dealt = dealt.select(F.col("a").alias("doc_id"), "component", "b", "odd", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"))
+    sets = stored(_fetch_sets(docs, members.select(F.col("a").alias("doc_id")), words), "elements")
+    crossing = stored(dealt.join(sets, "doc_id").groupBy("b", "odd", "i", "j").applyInPandas(_settle(percent), "a bigint, b bigint"), "crossing")
+    if not crossing.isEmpty():
+        components = stored(connected(links.unionByName(crossing)), "components")
+    for table in (pairs, ties, around, groups, sets):
         discard(table)
     return rows.join(components, rows.doc_id == components.node, "left").select("doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"))
 
 
+def _sets_of(docs: DataFrame, pairs: DataFrame, words: int) -> DataFrame:
+    ids = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id")))
+    return stored(_fetch_sets(docs, ids, words), "elements")
+
+
+def keep_least(docs: DataFrame, words: int = WORDS, percent: int = PERCENT) -> DataFrame:
+    """The least document of every component, and all rows without a ``doc_id``. Of rows that share a ``doc_id``, one with the least text stays.
+
+    Only rows that may have to go are dealt out by id; the texts of all others stay where they are.
+    """
+    found = jaccard_components(docs, words, percent)
+    gone = stored(found.where("doc_id <> component_id").select("doc_id").distinct(), "gone")
+    repeated = found.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1 and doc_id is not null").select("doc_id")
+    repeated = stored(repeated.join(gone, "doc_id", "left_anti"), "repeated")
+    bits = docs.sparkSession.sparkContext.broadcast(bitmap(gone.unionByName(repeated), "doc_id"))
+
+    @F.pandas_udf("boolean")
+    def maybe(slot: pd.Series) -> pd.Series:
+        return pd.Series(_kept(bits.value, slot.to_numpy()))
+
+    flagged = docs.withColumn("_maybe", maybe(F.coalesce(_slot("doc_id"), F.lit(0))) & F.col("doc_id").isNotNull())
+    sure = flagged.where(~F.col("_maybe")).drop("_maybe")
+    rest = flagged.where("_maybe").drop("_maybe").join(gone, "doc_id", "left_anti")
+    order = W.partitionBy("doc_id").orderBy("text")
+    several = rest.join(repeated, "doc_id", "left_semi").withColumn("_place", F.row_number().over(order)).where("_place = 1").drop("_place")
+    return sure.unionByName(rest.join(repeated, "doc_id", "left_anti")).unionByName(several)
+
+
 def op5_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_components(spark.read.parquet(f"{sf_dir}/documents.parquet"))
