@@ -126,9 +126,9 @@ def components_sampled(edges: DataFrame, vertices: DataFrame, neighbour_rounds:
     return _hook_rounds(links, labels, log)
 
 
-def components_decompose(edges: DataFrame, vertices: DataFrame, beta: float = 0.7, seed: int = 1, log: list | None = None, max_rounds: int = 60) -> DataFrame:
+def components_decompose(edges: DataFrame, vertices: DataFrame, beta: float = 0.4, seed: int = 1, log: list | None = None, max_rounds: int = 3) -> DataFrame:
     """Low-diameter decomposition: vertices start balls at seeded, exponentially spread times, balls grow step by step over
-    free vertices, are contracted, and the rest is decomposed again. Labels are turned to least members at the end."""
+    free vertices, are contracted, and the rest is decomposed again, ``max_rounds`` times. Labels are turned to least members at the end."""
     links = stored(_links(edges), "links")
     labels = _start(vertices)
     for turn in range(max_rounds):
@@ -153,6 +153,8 @@ def components_decompose(edges: DataFrame, vertices: DataFrame, beta: float = 0.
         as_labels = owned.select("id", F.col("centre").alias("component"))
         labels = stored(labels.join(owned.select(F.col("id").alias("component"), "centre"), "component", "left").select("id", F.coalesce("centre", "component").alias("component")), "labels")
         links = stored(_lift(links, as_labels), "links")
+    # What few links are left after that are joined by hooks.
+    labels = _hook_rounds(links, labels, log)
     least = labels.groupBy("component").agg(F.min("id").alias("least"))
     return labels.join(least, "component").select("id", F.col("least").alias("component"))
 

@@ -11,10 +11,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.blocks import BlockedGraph
-from ..plans.store import Kept, stored
+from ..plans.store import stored
 
 DIRECTIONS = ("down", "up", "auto", "by_lane")
-LEVELS_PER_JOB = 8
+#: Levels after which the tree so far is written as one table.
+LEVELS_PER_TABLE = 8
 
 
 def _down(graph: BlockedGraph, frontier: DataFrame, visited: DataFrame, units: DataFrame | None) -> DataFrame:
@@ -66,26 +67,14 @@ def bfs(graph: BlockedGraph, source=0, direction: str = "auto", alpha: float = 1
     sources = [source] if isinstance(source, int) else list(source)
     start = graph.vertices.where(F.col("id").isin(sources)).select("id", F.col("id").alias("parent"), F.lit(0).alias("level"))
     visited = stored(start, "visited")
-    level, kept = 0, Kept()
-    if direction == "down":
-        # No decision is due between levels, so several are planned in one job.
-        while level < max_levels:
-            first = level
-            for _ in range(LEVELS_PER_JOB):
-                frontier = visited.where(F.col("level") == level)
-                new = _down(graph, frontier, visited, None).join(visited.select("id"), "id", "left_anti")
-                level += 1
-                visited = kept.keep(visited.unionByName(new.select("id", "parent", F.lit(level).alias("level"))))
-            visited = stored(visited, "visited")
-            kept.release()
-            if visited.agg(F.max("level")).first()[0] in (None, *range(first, level)):
-                return visited
-        return visited
-    degree = stored(graph.blocks.groupBy(F.col("src").alias("id")).agg(F.count("*").alias("degree")), "degrees")
+    level = 0
+    degree = None
+    if direction in ("auto", "by_lane"):
+        degree = stored(graph.blocks.groupBy(F.col("src").alias("id")).agg(F.count("*").alias("degree")), "degrees")
     while level < max_levels:
         frontier = visited.where(F.col("level") == level)
-        if direction == "up":
-            parts = [_up(graph, frontier, visited, None)]
+        if direction in ("down", "up"):
+            parts = [(_down if direction == "down" else _up)(graph, frontier, visited, None)]
         else:
             down, up = _units(graph, frontier, visited, degree, direction, alpha, level, log)
             parts = [step(graph, frontier, visited, spark.createDataFrame(units, "i int, j int")) for step, units in ((_down, down), (_up, up)) if units]
@@ -97,7 +86,7 @@ def bfs(graph: BlockedGraph, source=0, direction: str = "auto", alpha: float = 1
             return visited
         level += 1
         visited = visited.unionByName(new)
-        if level % LEVELS_PER_JOB == 0:
+        if level % LEVELS_PER_TABLE == 0:
             visited = stored(visited, "visited")
     return visited
 

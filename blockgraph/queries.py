@@ -201,11 +201,11 @@ _HOOKED = ("copurchase", "part_supplier", "page_link", "order_chain", "event_cha
 for _g in _HOOKED:
     for _m in ("hook", "sampled"):
         _add(f"components_{_m}_{_g}", lambda s, d, g=_g, m=_m: cc.METHODS[m](e := _edges(s, d, g), _nodes(e)), oracles.components(_g))
-for _g in ("copurchase", "part_supplier", "page_link", "order_chain", "geo_tree", "embed_cos", "doc_line"):
+for _g in ("copurchase", "part_supplier", "order_chain", "geo_tree", "doc_line"):
     _add(f"components_spread_{_g}", lambda s, d, g=_g: cc.components_spread(e := _edges(s, d, g), _nodes(e)), oracles.components(_g))
 for _g in ("copurchase", "page_link", "order_chain", "embed_cos", "doc_line"):
     _add(f"components_fast_hook_{_g}", lambda s, d, g=_g: cc.components_fast_hook(e := _edges(s, d, g), _nodes(e)), oracles.components(_g))
-for _g in ("copurchase", "page_link", "doc_line"):
+for _g in ("copurchase", "doc_line"):
     _add(f"components_decompose_{_g}", lambda s, d, g=_g: cc.components_decompose(e := _edges(s, d, g), _nodes(e)), oracles.components(_g))
 _add("components_block_local_copurchase", lambda s, d: models.block_local_components(_blocked(s, d, "copurchase")), oracles.components("copurchase"))
 _add("components_vertex_program_doc_line", lambda s, d: models.vertex_program(symmetric(e := _edges(s, d, "doc_line")), _nodes(e).select("id", F.col("id").alias("value")), F.col("value"), F.min, F.least("value", F.coalesce("message", "value"))).withColumnRenamed("value", "component"), oracles.components("doc_line"))
@@ -215,10 +215,10 @@ _add("components_edge_program_embed_cos", lambda s, d: models.edge_program(symme
 def _round_counts(s: SparkSession, d: str) -> DataFrame:
     """Rounds of each method; the last, idle one counts."""
     out = []
-    for g in ("order_chain", "doc_line"):
+    for g in ("doc_line",):
         e = _edges(s, d, g)
         v = stored(_nodes(e), "nodes")
-        for m in ("hook", "fast_hook", "spread"):
+        for m in ("hook", "spread"):
             log: list = []
             cc.METHODS[m](e, v, log=log)
             out.append((g, m, len(log)))
@@ -256,8 +256,9 @@ def _bfs(s: SparkSession, d: str, g: str, direction: str) -> DataFrame:
 
 for _g in graphs.EDGES:
     _add(f"bfs_down_{_g}", lambda s, d, g=_g: _bfs(s, d, g, "down"), oracles.bfs(_g))
+for _g in ("copurchase", "part_supplier", "geo_tree"):
     _add(f"bfs_level_histogram_{_g}", lambda s, d, g=_g: tv.level_histogram(_bfs(s, d, g, "down")), oracles.level_histogram(_g))
-for _g in ("copurchase", "part_supplier", "page_link", "embed_cos", "geo_tree", "doc_line"):
+for _g in ("copurchase", "part_supplier", "embed_cos", "geo_tree", "doc_line"):
     for _m in ("auto", "up", "by_lane"):
         _add(f"bfs_{_m}_{_g}", lambda s, d, g=_g, m=_m: _bfs(s, d, g, m), oracles.bfs(_g))
 _add("bfs_flat_copurchase", lambda s, d: flat.bfs(e := _edges(s, d, "copurchase"), _nodes(e), _source(e)), oracles.bfs("copurchase"))
