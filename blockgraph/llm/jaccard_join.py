@@ -196,15 +196,18 @@ def passing(df: DataFrame, column: str, bits: np.ndarray, schema: str) -> DataFr
 
 def _fetch_sets(docs: DataFrame, ids: DataFrame, words: int) -> DataFrame:
     """(doc_id, elements) of the documents in ``ids``, and maybe of a few others."""
+    shared = docs.sparkSession.sparkContext.broadcast(bitmap(ids, "doc_id"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
+            batch = batch.filter(pa.array(_kept(shared.value, rows_of(batch, "slot").to_numpy(zero_copy_only=False))))
             data, offs = utf8(rows_of(batch, "text"))
             for i, j in slices(offs):
                 sets = shingle_sets(data[offs[i] : offs[j]], offs[i : j + 1] - offs[i], words)
                 yield pa.RecordBatch.from_arrays([rows_of(batch, "doc_id").slice(i, j - i), _longs(sets)], ["doc_id", "elements"])
 
-    return passing(docs, "doc_id", bitmap(ids, "doc_id"), "doc_id bigint, text string").mapInArrow(run, "doc_id bigint, elements array<bigint>")
+    slotted = docs.where("doc_id is not null").select("doc_id", "text", _slot("doc_id").alias("slot"))
+    return slotted.mapInArrow(run, "doc_id bigint, elements array<bigint>")
 
 
 def _linked(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:

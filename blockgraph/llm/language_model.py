@@ -30,8 +30,8 @@ from .scratch import stored
 from .text import SPACED, Tokens, factorize, rows_of, slices, splitmix, utf8
 
 CLUSTERED, CLASSES, RARE_CLASSES = 2000, 60, 32
-#: Words that are broadcast with their counts: at most 2^20, 17 MB.
-HEAD = 1 << 20
+#: Words that are broadcast with their counts: at most 2^19, 11 MB.
+HEAD = 1 << 19
 SWEEPS = 5
 DISCOUNT, PRIOR = 0.6, 0.5
 HELD_OUT = "coalesce(pmod(crc32(cast(cast(doc_id as string) as binary)), 7) = 2, false)"
@@ -131,7 +131,7 @@ class Model:
 # Passes over the corpus
 
 
-def _split(batch: pa.RecordBatch, most: int = 6 << 20) -> Iterator[tuple[int, int, Tokens]]:
+def _split(batch: pa.RecordBatch, most: int = 2 << 20) -> Iterator[tuple[int, int, Tokens]]:
     data, offs = utf8(rows_of(batch, "text"))
     for i, j in slices(offs, most):
         yield i, j, Tokens(data[offs[i] : offs[j]], offs[i : j + 1] - offs[i], SPACED)
@@ -139,7 +139,7 @@ def _split(batch: pa.RecordBatch, most: int = 6 << 20) -> Iterator[tuple[int, in
 
 def _count_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        for i, j, tokens in _split(batch, 16 << 20):
+        for i, j, tokens in _split(batch, 2 << 20):
             codes, _, first = factorize(tokens.hashes())
             n = np.bincount(codes, minlength=len(first)) if len(first) else np.zeros(0, np.int64)
             words = tokens.words(first).cast(pa.binary())
@@ -176,7 +176,7 @@ def bigram_counts(training: DataFrame, keys: np.ndarray, width: int) -> DataFram
         order = np.argsort(shared.value)
         known = shared.value[order]
         for batch in batches:
-            for _, _, tokens in _split(batch, 16 << 20):
+            for _, _, tokens in _split(batch, 2 << 20):
                 sequence = _sequence(tokens, _ids(tokens, known, order, n), width - 1)
                 code, c = np.unique(sequence[:-1] * width + sequence[1:], return_counts=True)
                 yield pa.RecordBatch.from_arrays([pa.array(code), pa.array(c)], ["code", "c"])
@@ -242,7 +242,7 @@ def fit(docs: DataFrame, exclude: str = HELD_OUT, head: int = HEAD) -> tuple[Mod
     class_words = np.bincount(classes, minlength=total_classes).astype(np.float64)
     complete = distinct <= len(words) + 1
     if not complete:
-        tail = _tail(counts, keys).mapInArrow(_rare_totals, "k bigint, n bigint, v bigint").groupBy("k").agg(F.sum("n").alias("n"), F.sum("v").alias("v"))
+        tail = _tail_totals(counts, keys).groupBy("k").agg(F.sum("n").alias("n"), F.sum("v").alias("v"))
         for row in tail.collect():  # RARE_CLASSES rows
             class_tokens[n_classes + row.k] += row.n
             class_words[n_classes + row.k] += row.v
@@ -250,34 +250,30 @@ def fit(docs: DataFrame, exclude: str = HELD_OUT, head: int = HEAD) -> tuple[Mod
     class_words[-1] = 1
     # The end token is certain in its class.
     order = np.argsort(keys)
-    model = Model(keys[order], c[order], classes[order], complete, total, distinct, class_tokens, class_words, transitions, total_classes - 1)
+    model = Model(keys[order], c[order], classes[order].astype(np.int32), complete, total, distinct, class_tokens, class_words, transitions, total_classes - 1)
     return model, counts
 
 
-def _tail(counts: DataFrame, keys: np.ndarray) -> DataFrame:
-    """The words of the count table that the head lacks."""
+def _tail_totals(counts: DataFrame, keys: np.ndarray) -> DataFrame:
+    """(k, n, v): tokens and words of each rare class among the words that the head lacks, per batch."""
     shared = counts.sparkSession.sparkContext.broadcast(np.sort(keys))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known = shared.value
         for batch in batches:
             batch = batch.filter(pc.greater(pc.binary_length(batch.column("word")), 0))
-            if batch.num_rows:
-                h = _hash_words(batch.column("word").to_pylist())
-                at = np.minimum(np.searchsorted(shared.value, h), len(shared.value) - 1)
-                yield batch.filter(pa.array(shared.value[at] != h))
-
-    return counts.select("word", "c").mapInArrow(run, "word binary, c bigint")
-
-
-def _rare_totals(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        if batch.num_rows:
+            if not batch.num_rows:
+                continue
             data, offs = utf8(batch.column("word"))
             tokens = Tokens(data, offs, SPACED)
-            k = rare_class(tokens, np.arange(len(tokens)))
-            n = np.bincount(k, batch.column("c").to_numpy(), minlength=RARE_CLASSES).astype(np.int64)
+            h = tokens.hashes()
+            outside = np.flatnonzero(known[np.minimum(np.searchsorted(known, h), len(known) - 1)] != h) if len(known) else np.arange(len(h))
+            k = rare_class(tokens, outside)
+            n = np.bincount(k, batch.column("c").to_numpy()[outside], minlength=RARE_CLASSES).astype(np.int64)
             yield pa.RecordBatch.from_arrays([pa.array(np.arange(RARE_CLASSES)), pa.array(n), pa.array(np.bincount(k, minlength=RARE_CLASSES))], ["k", "n", "v"])
 
+    return counts.select("word", "c").mapInArrow(run, "k bigint, n bigint, v bigint")
+
 
 _SCORED = "doc_id bigint, n_tokens bigint, n_known bigint, base double, score double, rest array<struct<word: binary, k: int, n: int>>"
 

@@ -41,3 +41,14 @@ def discard(df: DataFrame) -> None:
     for path in {f.rpartition("/")[0] for f in df.inputFiles()}:
         target = spark._jvm.org.apache.hadoop.fs.Path(path)
         target.getFileSystem(spark._jsc.hadoopConfiguration()).delete(target, True)
+
+
+def small_batches(spark: SparkSession, most: int = 6 << 20) -> None:
+    """Keep the batches that go to Python workers at a few MB, whatever the length of the texts.
+
+    A running session may change this limit; it is only ever lowered.
+    """
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    now = str(spark.conf.get(key, "67108864")).lower().rstrip("b")
+    if not now.isdigit() or int(now) > most:
+        spark.conf.set(key, str(most))

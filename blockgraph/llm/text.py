@@ -12,7 +12,10 @@ import numpy as np
 import pandas as pd
 import pyarrow as pa
 
-SLICE_BYTES = 6 << 20
+# Freed batches go back to the system at once, so that idle Python workers stay small.
+pa.set_memory_pool(pa.system_memory_pool())
+
+SLICE_BYTES = 3 << 20
 _HASH_BLOCK = 1 << 20
 _BASE = np.uint64(0x9E3779B97F4A7C15 | 1)
 _INVERSE = np.uint64(pow(int(_BASE), -1, 1 << 64))
