@@ -10,33 +10,38 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from blockgraph.llm import decontaminate, jaccard_join, language_id, sentencepiece_codec, toxicity
-from blockgraph.llm.scratch import stored
+from blockgraph.llm.scratch import small_batches, stored
 
 SHINGLE_WORDS, SIMILAR_PERCENT = 5, 80
 
 
 def known_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drop documents without a letter, and those of whose words no learned language has a fair share."""
+    small_batches(spark)
     return language_id.keep_known(docs, language_id.fit(docs))
 
 
 def not_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drop documents that score as toxic."""
+    small_batches(spark)
     return toxicity.keep_clean(docs, toxicity.fit(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))
 
 
 def one_of_each(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keep the least document of each group of near duplicates."""
+    small_batches(spark)
     return jaccard_join.keep_least(docs, SHINGLE_WORDS, SIMILAR_PERCENT)
 
 
 def unleaked(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drop documents that hold a passage of the benchmark."""
+    small_batches(spark)
     return decontaminate.decontaminate(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
 def pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """doc_id, piece_ids and their number."""
+    small_batches(spark)
     import public_tokenizers
 
     return sentencepiece_codec.encode_pieces(docs, public_tokenizers.path("piece_bpe_32k.model")).withColumn("n_pieces", F.size("piece_ids"))
