@@ -5,15 +5,16 @@ from __future__ import annotations
 import numpy as np
 import pandas as pd
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
-@F.pandas_udf("long")
+@F.pandas_udf(T.LongType())
 def merge_intersection_size(a: pd.Series, b: pd.Series) -> pd.Series:
     """Common members of two sorted arrays without repeats."""
     return pd.Series([len(np.intersect1d(x, y, assume_unique=True)) for x, y in zip(a, b, strict=True)], dtype="int64")
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def gini(values: pd.Series) -> float:
     """Inequality of a group's values, 0 for equal ones."""
     x = np.sort(values.to_numpy(np.float64))
@@ -21,7 +22,7 @@ def gini(values: pd.Series) -> float:
     return float((2 * np.arange(1, n + 1) - n - 1) @ x / (n * total)) if n and total else 0.0
 
 
-@F.pandas_udf("long")
+@F.pandas_udf(T.LongType())
 def h_index(values: pd.Series) -> int:
     """Largest h such that h values are h or more."""
     x = np.sort(values.to_numpy())[::-1]

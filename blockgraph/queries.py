@@ -112,10 +112,15 @@ def _block_store(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 _add("block_roundtrip", _block_store, oracles.graph("copurchase", f", m AS (SELECT max(src) + 1 AS m FROM s) SELECT src::BIGINT AS src, dst::BIGINT AS dst FROM s, m WHERE src * {P} // m < 2"))
 _add("lists_single", lambda s, d: blocklists.lists_single(_blocked(s, d, "copurchase", keep=False).manifest).select("list_id", F.col("blocks")[0].alias("block_id")), f"SELECT row_number() OVER (ORDER BY block_id) - 1 AS list_id, block_id FROM ({oracles.manifest('copurchase', P)})")
-_three = [F.col("blocks")[k].alias(n) for k, n in enumerate(("first", "second", "third"))]
-_add("lists_pattern_triangle", lambda s, d: blocklists.lists_pattern(_blocked(s, d, "copurchase", keep=False).manifest).select(*_three), oracles.lists_triangle("copurchase", P))
+
+
+def _three() -> list:
+    return [F.col("blocks")[k].alias(n) for k, n in enumerate(("first", "second", "third"))]
+
+
+_add("lists_pattern_triangle", lambda s, d: blocklists.lists_pattern(_blocked(s, d, "copurchase", keep=False).manifest).select(*_three()), oracles.lists_triangle("copurchase", P))
 _conformal = "m1.row <= m1.col and m2.row <= m2.col and m3.row <= m3.col and m2.row = m1.row and m3.row = m1.col and m3.col = m2.col"
-_add("lists_generic_conformal", lambda s, d: blocklists.compose_where(_blocked(s, d, "copurchase", keep=False).manifest, 3, _conformal).select(*_three), oracles.lists_triangle("copurchase", P))
+_add("lists_generic_conformal", lambda s, d: blocklists.compose_where(_blocked(s, d, "copurchase", keep=False).manifest, 3, _conformal).select(*_three()), oracles.lists_triangle("copurchase", P))
 
 
 def _active(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -156,11 +161,14 @@ _add("density_classes", lambda s, d: planner.classify_density(_blocked(s, d, "pa
 
 # PageRank and HITS
 
-_ROUND = F.round("rank", 8).alias("rank")
+
+def _round(column: str = "rank", digits: int = 8):
+    return F.round(column, digits).alias(column)
+
 
 
 def _pagerank(s: SparkSession, d: str, g: str, layout: str = "2d", **options) -> DataFrame:
-    return pr.pagerank(_blocked(s, d, g, layout=layout), **options).select("id", _ROUND)
+    return pr.pagerank(_blocked(s, d, g, layout=layout), **options).select("id", _round())
 
 
 for _g in graphs.EDGES:
@@ -169,12 +177,12 @@ _add("pagerank_push_copurchase", lambda s, d: _pagerank(s, d, "copurchase", dire
 _add("pagerank_1d_copurchase", lambda s, d: _pagerank(s, d, "copurchase", layout="1d"), oracles.pagerank("copurchase"))
 _add("pagerank_exact_copurchase", lambda s, d: pr.pagerank_exact(_blocked(s, d, "copurchase")), oracles.pagerank_exact("copurchase"))
 _add("pagerank_exact_page_link", lambda s, d: pr.pagerank_exact(_blocked(s, d, "page_link")), oracles.pagerank_exact("page_link"))
-_add("pagerank_flat_copurchase", lambda s, d: flat.pagerank(e := _edges(s, d, "copurchase"), _nodes(e)).select("id", _ROUND), oracles.pagerank("copurchase"))
+_add("pagerank_flat_copurchase", lambda s, d: flat.pagerank(e := _edges(s, d, "copurchase"), _nodes(e)).select("id", _round()), oracles.pagerank("copurchase"))
 
 
 def _weighted(s: SparkSession, d: str) -> DataFrame:
     e = stored(graphs.part_supplier(s, d), "weighted")
-    return pr.pagerank(block_graph(e, _nodes(e), p=P, keep=True), weight_col="w", max_iter=5, tol=0.0).select("id", _ROUND)
+    return pr.pagerank(block_graph(e, _nodes(e), p=P, keep=True), weight_col="w", max_iter=5, tol=0.0).select("id", _round())
 
 
 _add("pagerank_weighted", _weighted, """WITH RECURSIVE e AS (SELECT least(2*l_partkey, 2*l_suppkey+1) AS a, greatest(2*l_partkey, 2*l_suppkey+1) AS b, sum(l_quantity) AS w FROM lineitem GROUP BY ALL),

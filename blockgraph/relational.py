@@ -71,10 +71,15 @@ _loads = "SELECT pmod(l_partkey, 4) AS r, pmod(l_suppkey, 4) AS c FROM lineitem"
 for _n, _op in (("rollup", "ROLLUP(r, c)"), ("cube", "CUBE(r, c)"), ("grouping_sets", "GROUPING SETS ((r), (c), ())")):
     _sql(f"{_n}_block_loads", "lineitem", f"SELECT r, c, count(*) AS n FROM ({_loads}) x GROUP BY {_op}", f"SELECT r, c, count(*)::BIGINT AS n FROM (SELECT l_partkey % 4 AS r, l_suppkey % 4 AS c FROM lineitem) GROUP BY {_op}")
 _add("unpivot_labels", lambda s, d: table(s, d, "labels").unpivot("doc_id", ["quality", "toxic"], "name", "value"), "SELECT doc_id, 'quality' AS name, quality AS value FROM labels UNION ALL SELECT doc_id, 'toxic', toxic FROM labels")
-_by_cust = W.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
-_add("win_ranking", lambda s, d: table(s, d, "orders").select("o_orderkey", F.row_number().over(_by_cust).alias("rn"), F.rank().over(W.partitionBy("o_custkey").orderBy("o_orderpriority")).alias("rk"), F.dense_rank().over(W.partitionBy("o_custkey").orderBy("o_orderpriority")).alias("dr"), F.ntile(3).over(_by_cust).alias("nt"), F.round(F.percent_rank().over(_by_cust), 6).alias("pr"), F.round(F.cume_dist().over(_by_cust), 6).alias("cd")), "SELECT o_orderkey, row_number() OVER w::INTEGER AS rn, rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority)::INTEGER AS rk, dense_rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority)::INTEGER AS dr, ntile(3) OVER w::INTEGER AS nt, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey)".replace("row_number() OVER w::INTEGER", "(row_number() OVER w)::INTEGER").replace("ntile(3) OVER w::INTEGER", "(ntile(3) OVER w)::INTEGER").replace("o_orderpriority)::INTEGER AS", "o_orderpriority))::INTEGER AS").replace(" rank() OVER (", " (rank() OVER (").replace("dense_rank() OVER (", "(dense_rank() OVER ("))
-_add("win_lead_chain", lambda s, d: table(s, d, "orders").select("o_orderkey", F.lag("o_orderkey").over(_by_cust).alias("before"), F.lead("o_orderkey").over(_by_cust).alias("after"), F.first("o_orderkey").over(_by_cust).alias("first"), F.nth_value("o_orderkey", 2).over(_by_cust.rowsBetween(W.unboundedPreceding, W.unboundedFollowing)).alias("second")), "SELECT o_orderkey, lag(o_orderkey) OVER w AS before, lead(o_orderkey) OVER w AS after, first_value(o_orderkey) OVER w AS first, nth_value(o_orderkey, 2) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS second FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey)")
-_add("win_prefix_load", lambda s, d: table(s, d, "orders").select("o_orderkey", F.round(F.sum("o_totalprice").over(_by_cust.rowsBetween(W.unboundedPreceding, 0)), 2).alias("so_far")), "SELECT o_orderkey, round(sum(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS UNBOUNDED PRECEDING), 2) AS so_far FROM orders")
+
+
+def _by_cust():
+    return W.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
+
+
+_add("win_ranking", lambda s, d: table(s, d, "orders").select("o_orderkey", F.row_number().over(_by_cust()).alias("rn"), F.rank().over(W.partitionBy("o_custkey").orderBy("o_orderpriority")).alias("rk"), F.dense_rank().over(W.partitionBy("o_custkey").orderBy("o_orderpriority")).alias("dr"), F.ntile(3).over(_by_cust()).alias("nt"), F.round(F.percent_rank().over(_by_cust()), 6).alias("pr"), F.round(F.cume_dist().over(_by_cust()), 6).alias("cd")), "SELECT o_orderkey, row_number() OVER w::INTEGER AS rn, rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority)::INTEGER AS rk, dense_rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority)::INTEGER AS dr, ntile(3) OVER w::INTEGER AS nt, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey)".replace("row_number() OVER w::INTEGER", "(row_number() OVER w)::INTEGER").replace("ntile(3) OVER w::INTEGER", "(ntile(3) OVER w)::INTEGER").replace("o_orderpriority)::INTEGER AS", "o_orderpriority))::INTEGER AS").replace(" rank() OVER (", " (rank() OVER (").replace("dense_rank() OVER (", "(dense_rank() OVER ("))
+_add("win_lead_chain", lambda s, d: table(s, d, "orders").select("o_orderkey", F.lag("o_orderkey").over(_by_cust()).alias("before"), F.lead("o_orderkey").over(_by_cust()).alias("after"), F.first("o_orderkey").over(_by_cust()).alias("first"), F.nth_value("o_orderkey", 2).over(_by_cust().rowsBetween(W.unboundedPreceding, W.unboundedFollowing)).alias("second")), "SELECT o_orderkey, lag(o_orderkey) OVER w AS before, lead(o_orderkey) OVER w AS after, first_value(o_orderkey) OVER w AS first, nth_value(o_orderkey, 2) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS second FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey)")
+_add("win_prefix_load", lambda s, d: table(s, d, "orders").select("o_orderkey", F.round(F.sum("o_totalprice").over(_by_cust().rowsBetween(W.unboundedPreceding, 0)), 2).alias("so_far")), "SELECT o_orderkey, round(sum(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS UNBOUNDED PRECEDING), 2) AS so_far FROM orders")
 _add("win_range_frame", lambda s, d: table(s, d, "events").select("event_id", F.count("*").over(W.partitionBy("user_id").orderBy(F.unix_micros(F.col("ts").cast("timestamp"))).rangeBetween(-3_600_000_000, 0)).alias("last_hour")), "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY ts RANGE BETWEEN INTERVAL 1 HOUR PRECEDING AND CURRENT ROW)::BIGINT AS last_hour FROM events".replace("count(*) OVER (", "(count(*) OVER (").replace("CURRENT ROW)::BIGINT", "CURRENT ROW))::BIGINT"))
 _add("topk_orders", lambda s, d: table(s, d, "orders").orderBy(F.desc("o_totalprice"), "o_orderkey").limit(20).select("o_orderkey"), "SELECT o_orderkey FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 20")
 _add("topk_per_group", lambda s, d: table(s, d, "orders").withColumn("k", F.row_number().over(W.partitionBy("o_orderpriority").orderBy(F.desc("o_totalprice"), "o_orderkey"))).where("k <= 3").select("o_orderpriority", "o_orderkey"), "SELECT o_orderpriority, o_orderkey FROM orders QUALIFY row_number() OVER (PARTITION BY o_orderpriority ORDER BY o_totalprice DESC, o_orderkey) <= 3")
