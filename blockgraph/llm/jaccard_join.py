@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from .links import connected
-from .scratch import discard, stored
+from .scratch import discard, release, stored
 from .text import SPACED, Tokens, rows_of, slices, splitmix, utf8
 
 WORDS, PERCENT = 4, 85
@@ -265,17 +265,8 @@ def _settle(percent: int):
     return run
 
 
-def jaccard_components(docs: DataFrame, words: int = WORDS, percent: int = PERCENT) -> DataFrame:
-    """doc_id, n_shingles and component_id (the least document reachable over links) for every row of ``docs``."""
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    signed = stored(docs.mapInArrow(_sign(words, percent), _SIGNED), "signed")
-
-    # Equal sets, also across tasks.
-    rows = stored(signed.drop("sigs"), "sets")
-    filled = rows.where("n_shingles > 0 and doc_id is not null")
-    first = stored(filled.groupBy("d1", "d2", "n_shingles").agg(F.min("doc_id").alias("first"), F.count("*").alias("n")).where("n > 1").drop("n"), "copies")
-    copies = filled.join(first, ["d1", "d2", "n_shingles"]).where("doc_id <> first").select(F.col("doc_id").alias("a"), F.col("first").alias("b"))
-
+def _ties(signed: DataFrame, filled: DataFrame) -> DataFrame:
+    """(a, b, odd, least, c, most, rank): how many signatures a document a holds whose least holder is b, for documents that share enough."""
     # Shared signatures with their least holders. The least is combined before the shuffle, and only signatures that may
     # be shared are dealt out again to meet it, in a join whose large partitions Spark can split.
     exploded = signed.select("doc_id", F.explode("sigs").alias("sig"))
@@ -289,31 +280,68 @@ def jaccard_components(docs: DataFrame, words: int = WORDS, percent: int = PERCE
     of_a = W.partitionBy("a", "odd")
     up_to_b = of_a.orderBy("b").rowsBetween(W.unboundedPreceding, 0)
     by_count = of_a.orderBy("c", "b").rowsBetween(W.unboundedPreceding, 0)
-    ties = ties.select("a", "b", "odd", "least", F.sum("c").over(of_a).alias("all"), F.sum("c").over(up_to_b).alias("most"), F.sum("c").over(by_count).alias("rank"))
+    ties = ties.select("a", "b", "odd", "least", "c", F.sum("c").over(of_a).alias("all"), F.sum("c").over(up_to_b).alias("most"), F.sum("c").over(by_count).alias("rank"))
     ties = stored(ties.where("all >= least").drop("all"), "ties")
-    discard(signed)
     discard(shared)
+    return ties
+
+
+def jaccard_components(docs: DataFrame, words: int = WORDS, percent: int = PERCENT) -> DataFrame:
+    """doc_id, n_shingles and component_id (the least document reachable over links) for every row of ``docs``."""
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    signed = stored(docs.mapInArrow(_sign(words, percent), _SIGNED), "signed")
+
+    # Equal sets, also across tasks.
+    rows = stored(signed.drop("sigs"), "sets")
+    filled = rows.where("n_shingles > 0 and doc_id is not null")
+    first = stored(filled.groupBy("d1", "d2", "n_shingles").agg(F.min("doc_id").alias("first"), F.count("*").alias("n")).where("n > 1").drop("n"), "copies")
+    copies = filled.join(first, ["d1", "d2", "n_shingles"]).where("doc_id <> first").select(F.col("doc_id").alias("a"), F.col("first").alias("b"))
+
+    ties = _ties(signed, filled)
+    discard(signed)
+    release(docs.sparkSession)
 
     # What a and b share is under least holders up to b.
     able = ties.select(F.col("a").alias("b"), "odd").distinct()
-    pairs = stored(ties.where("a <> b and most >= least").join(able, ["b", "odd"], "left_semi").select("a", "b").distinct(), "pairs")
-    links = stored(_linked(pairs, _sets_of(docs, pairs, words), percent).unionByName(copies), "found")
+    pairs = ties.where("a <> b and most >= least").join(able, ["b", "odd"], "left_semi").groupBy("a", "b").agg(F.sum("c").alias("c"))
+    by_share = W.partitionBy("a").orderBy(F.desc("c"), "b")
+    pairs = stored(pairs.select("a", "b", (F.row_number().over(by_share) == 1).alias("best")), "pairs")
+    # Each document's best pair first; others only where they may still join two components.
+    best = pairs.where("best").select("a", "b")
+    sets = _sets_of(docs, best, words)
+    links = stored(_linked(best, sets, percent).unionByName(copies), "found")
+    discard(sets)
+    release(docs.sparkSession)
     components = stored(connected(links), "components")
+    rest = pairs.where("not best").select("a", "b")
+    for key, label in (("a", "ca"), ("b", "cb")):
+        rest = rest.join(components.select(F.col("node").alias(key), F.col("component").alias(label)), key, "left").withColumn(label, F.coalesce(label, key))
+    rest = stored(rest.where("ca <> cb").select("a", "b"), "pairs")
+    if not rest.isEmpty():
+        sets = _sets_of(docs, rest, words)
+        links = stored(links.unionByName(_linked(rest, sets, percent)), "found")
+        discard(sets)
+        release(docs.sparkSession)
+        components = stored(connected(links), "components")
 
     # Two linked documents share signatures under the same least holders; each may forget the holders of fewest
     # signatures up to half of what they share, and one common holder is left.
     around = ties.where("2 * rank >= least").select("a", "b", "odd")
     around = stored(around.join(components.select(F.col("node").alias("a"), "component"), "a", "left").withColumn("component", F.coalesce("component", "a")), "around")
     groups = around.groupBy("b", "odd").agg(F.count("*").alias("n"), F.min("component").alias("low"), F.max("component").alias("high"))
-    groups = stored(groups.where("low <> high and n > 2").select("b", "odd", F.ceil(F.col("n") / BLOCK_DOCS).alias("blocks")), "groups")
-    members = around.join(groups, ["b", "odd"]).withColumn("block", F.pmod(F.xxhash64("a"), "blocks"))
+    open_ = stored(around.join(groups.where("low <> high and n > 2").select("b", "odd"), ["b", "odd"]).select("a", "b", "component"), "open")
+    # Holders that meet over any of these least holders form one cluster, so a set is sent out once per block of its cluster.
+    clusters = stored(connected(open_), "clusters")
+    sizes = clusters.groupBy("component").agg(F.ceil(F.count("*") / BLOCK_DOCS).alias("blocks"))
+    members = clusters.join(sizes, "component").select(F.col("node").alias("a"), F.col("component").alias("cluster"), "blocks")
+    members = members.join(open_.select("a", "component").distinct(), "a").withColumn("block", F.pmod(F.xxhash64("a"), "blocks"))
     dealt = members.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
-    dealt = dealt.select(F.col("a").alias("doc_id"), "component", "b", "odd", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"))
-    sets = stored(_fetch_sets(docs, members.select(F.col("a").alias("doc_id")), words), "elements")
-    crossing = stored(dealt.join(sets, "doc_id").groupBy("b", "odd", "i", "j").applyInPandas(_settle(percent), "a bigint, b bigint"), "crossing")
+    dealt = dealt.select(F.col("a").alias("doc_id"), "component", "cluster", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"))
+    sets = stored(_fetch_sets(docs, clusters.select(F.col("node").alias("doc_id")), words), "elements")
+    crossing = stored(dealt.join(sets, "doc_id").groupBy("cluster", "i", "j").applyInPandas(_settle(percent), "a bigint, b bigint"), "crossing")
     if not crossing.isEmpty():
         components = stored(connected(links.unionByName(crossing)), "components")
-    for table in (pairs, ties, around, groups, sets):
+    for table in (pairs, ties, around, open_, clusters, sets):
         discard(table)
     return rows.join(components, rows.doc_id == components.node, "left").select("doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"))
 

@@ -6,6 +6,7 @@ again, so a lost executor never costs more than the stage at hand.
 
 from __future__ import annotations
 
+import gc
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -52,3 +53,9 @@ def small_batches(spark: SparkSession, most: int = 6 << 20) -> None:
     now = str(spark.conf.get(key, "67108864")).lower().rstrip("b")
     if not now.isdigit() or int(now) > most:
         spark.conf.set(key, str(most))
+
+
+def release(spark: SparkSession) -> None:
+    """Let Spark's cleaner delete the shuffle files of steps whose results are stored and whose frames are gone."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
