@@ -328,8 +328,9 @@ def jaccard_components(docs: DataFrame, words: int = WORDS, percent: int = PERCE
     # signatures up to half of what they share, and one common holder is left.
     around = ties.where("2 * rank >= least").select("a", "b", "odd")
     around = stored(around.join(components.select(F.col("node").alias("a"), "component"), "a", "left").withColumn("component", F.coalesce("component", "a")), "around")
-    groups = around.groupBy("b", "odd").agg(F.count("*").alias("n"), F.min("component").alias("low"), F.max("component").alias("high"))
-    open_ = stored(around.join(groups.where("low <> high and n > 2").select("b", "odd"), ["b", "odd"]).select("a", "b", "component"), "open")
+    # A group of two is settled only where one of them is the least holder: its own row may be gone, and then the two never met.
+    groups = around.groupBy("b", "odd").agg(F.count("*").alias("n"), F.max(F.expr("a = b")).alias("own"), F.min("component").alias("low"), F.max("component").alias("high"))
+    open_ = stored(around.join(groups.where("low <> high and (n > 2 or not own)").select("b", "odd"), ["b", "odd"]).select("a", "b", "component"), "open")
     # Holders that meet over any of these least holders form one cluster, so a set is sent out once per block of its cluster.
     clusters = stored(connected(open_), "clusters")
     sizes = clusters.groupBy("component").agg(F.ceil(F.count("*") / BLOCK_DOCS).alias("blocks"))

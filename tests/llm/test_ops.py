@@ -241,6 +241,23 @@ def test_jaccard_join(spark, docs, words, percent, monkeypatch):
     assert got == brute_components(rows, words, percent)
 
 
+def over_passages(seed, n_words=16, n_docs=20, share=11):
+    """Documents that each share a passage with the last two, which link but meet only over holders that drop out."""
+    rng = np.random.default_rng(seed)
+    words = [f"s{seed}w{k}" for k in range(n_words)]
+    texts = []
+    for d in range(n_docs):
+        a = int(rng.integers(0, n_words - share + 1))
+        texts.append(" ".join(words[a : a + share] + [f"s{seed}d{d}f{k}" for k in range(int(rng.integers(5, 9)))]))
+    return [*texts, " ".join(words), " ".join([*words[:-1], f"s{seed}y"])]
+
+
+def test_jaccard_join_meets_over_dropped_holders(spark):
+    rows = list(enumerate(t for seed in range(40) for t in over_passages(seed)))
+    got = sorted((str(r.doc_id), r.n_shingles, str(r.component_id)) for r in jaccard_join.jaccard_components(spark.createDataFrame(rows, "doc_id long, text string")).collect())
+    assert got == brute_components(rows)
+
+
 def test_signatures_always_meet():
     rng = np.random.default_rng(2)
     for size in (1, 5, 7, 13, 40, 150, 700):
