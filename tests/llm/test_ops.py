@@ -167,6 +167,32 @@ def test_exchange_separates_two_languages():
     assert len(set(label[:10])) == 1 and len(set(label[10:])) == 1 and label[0] != label[10]
 
 
+def test_rare_words_take_the_classes_of_their_neighbours(spark, monkeypatch):
+    """Spellings tell nothing here, only neighbours do; beyond the head as well."""
+    monkeypatch.setattr(language_model, "CLUSTERED", 20)
+    monkeypatch.setattr(language_model, "CLASSES", 2)
+    rng = np.random.default_rng(1)
+    rows = []
+    for i in range(400):
+        side = "ab"[i % 2]
+        words = [f"{side}{rng.integers(10)}xx" for _ in range(30)]
+        words[15] = f"r{side}{i}xx"
+        rows.append((i, " ".join(words)))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(key)
+    for head, most in ((25, "3"), (1000, before)):  # with words that go on in the next batch, and without
+        spark.conf.set(key, most)
+        model, placed = language_model.fit(docs, "false", head)
+        spark.conf.set(key, before)
+        assert model.complete == (head == 1000) and model.end_class == 2
+        core = model.look_up(language_model._hash_words([f"{s}{k}xx".encode() for s in "ab" for k in range(10)]))[2]
+        got = {bytes(r.word).decode(): r.k for r in placed.collect()}
+        assert len(set(core[:10])) == len(set(core[10:])) == 1 and core[0] != core[10]
+        assert len(got) == 400 and all(k == core[0 if w[1] == "a" else 10] for w, k in got.items())
+        assert model.class_words.tolist() == [210, 210, 1] and model.class_tokens[:2].sum() == 12000
+
+
 # 4
 
 
