@@ -4,26 +4,42 @@ from __future__ import annotations
 
 import numpy as np
 
-from .text import splitmix
+from .text import LETTERS, Tokens, ragged, splitmix
 
+#: Longer words, such as sentences without spaces, are taken in pieces.
+LONGEST_WORD = 32
 _STEP = np.uint64(0xC2B2AE3D27D4EB4F)
 _SEED = splitmix(np.arange(1, 257, dtype=np.uint64))
 
 
-def word_bytes(mapped: np.ndarray, starts: np.ndarray, ends: np.ndarray, longest: int = 32) -> tuple[np.ndarray, np.ndarray]:
-    """``<word>`` for each span as one byte string with n+1 offsets. Of words over ``longest`` bytes the middle is left out of the n-grams."""
-    lengths = np.minimum(ends - starts, longest)
+def letter_words(data: np.ndarray, offs: np.ndarray) -> Tokens:
+    """The words of letters. Runs over ``LONGEST_WORD`` bytes become pieces of about that size that overlap by half, cut between characters."""
+    tokens = Tokens(data, offs, LETTERS)
+    size = tokens.ends - tokens.starts
+    if (size <= LONGEST_WORD).all():
+        return tokens
+    step = LONGEST_WORD // 2
+    n = np.maximum(1, -(-(size - LONGEST_WORD) // step) + 1)
+    starts, ends = np.repeat(tokens.starts, n), np.repeat(tokens.ends, n)
+    k = np.arange(len(starts)) - np.repeat(np.cumsum(n) - n, n)
+    low, high = starts + k * step, np.minimum(starts + k * step + LONGEST_WORD, ends)
+    for _ in range(3):  # bytes 0x80 to 0xBF go on with a character
+        low -= (low > starts) & (tokens.mapped[low] >> 6 == 2)
+        high -= (high < ends) & (tokens.mapped[np.minimum(high, len(data) - 1)] >> 6 == 2)
+    tokens.starts, tokens.ends = low, high
+    tokens.first = np.searchsorted(low, offs)
+    return tokens
+
+
+def word_bytes(mapped: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """``<word>`` for each span as one byte string with n+1 offsets."""
+    lengths = ends - starts
     offs = np.zeros(len(starts) + 1, np.int64)
     np.cumsum(lengths + 2, out=offs[1:])
     out = np.empty(offs[-1], np.uint8)
     out[offs[:-1]] = 0x3C
     out[offs[1:] - 1] = 0x3E
-    total = int(lengths.sum())
-    if total:
-        at = np.arange(total) - np.repeat(np.cumsum(lengths) - lengths, lengths)
-        spare = np.repeat(ends - starts - lengths, lengths)
-        source = np.repeat(starts, lengths) + at + np.where(at >= longest // 2, spare, 0)
-        out[np.repeat(offs[:-1] + 1, lengths) + at] = mapped[source]
+    out[ragged(offs[:-1] + 1, lengths)] = mapped[ragged(starts, lengths)]
     return out, offs
 
 

@@ -26,8 +26,8 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .features import affixes, subwords, whole, word_bytes
-from .text import LETTERS, Tokens, factorize, rows_of, slices, utf8
+from .features import affixes, letter_words, subwords, whole, word_bytes
+from .text import Tokens, factorize, rows_of, slices, utf8
 
 UNKNOWN = "und"
 #: Most documents to train on, and most bytes of text taken from them together (whole texts only).
@@ -114,7 +114,7 @@ def train(texts: list[str], languages: list[str]) -> Model:
         return Model([], np.zeros((BUCKETS, 0)), np.zeros((0, 0)), np.zeros(0), 0)
     y = np.array([names.index(x) for x in languages])
     data, offs = utf8(pa.array(texts, pa.large_string()))
-    tokens = Tokens(data, offs, LETTERS)
+    tokens = letter_words(data, offs)
     n, labels = len(tokens), len(names)
     weights, transitions, start = np.zeros((BUCKETS, labels)), np.zeros((labels, labels)), np.zeros(labels)
     model = Model(names, weights, transitions, start, int(np.bincount(y).argmax()))
@@ -162,7 +162,7 @@ def training_sample(docs: DataFrame, exclude: str = HELD_OUT) -> tuple[list[str]
 
 def label_words(model: Model, data: np.ndarray, offs: np.ndarray) -> tuple[Tokens, np.ndarray]:
     """The words of a slice and their posteriors."""
-    tokens = Tokens(data, offs, LETTERS)
+    tokens = letter_words(data, offs)
     if not len(tokens):
         return tokens, np.zeros((0, len(model.languages)))
     word, distinct, first = factorize(tokens.hashes())
@@ -229,7 +229,7 @@ def label_spans(docs: DataFrame, model: Model) -> DataFrame:
                     a, b = tokens.first[d], tokens.first[d + 1]
                     cuts = [a, *(np.flatnonzero(np.diff(label[a:b])) + a + 1).tolist(), b] if b > a and names else []
                     base = tokens.offs[d]
-                    out.append([{"begin": int(tokens.starts[x] - base), "end": int(tokens.ends[y - 1] - base), "lang": names[label[x]]} for x, y in zip(cuts, cuts[1:], strict=False)])
+                    out.append([{"begin": int(tokens.starts[x] - base), "end": int((min(tokens.ends[y - 1], tokens.starts[y]) if y < b else tokens.ends[y - 1]) - base), "lang": names[label[x]]} for x, y in zip(cuts, cuts[1:], strict=False)])
                 yield pa.RecordBatch.from_arrays([rows_of(batch, "doc_id").slice(i, j - i), pa.array(out, kind)], ["doc_id", "spans"])
 
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id bigint, spans array<struct<begin: bigint, end: bigint, lang: string>>")

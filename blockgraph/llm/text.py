@@ -125,7 +125,7 @@ class Tokens:
 
 
 def span_hashes(mapped: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """A 64-bit polynomial hash of each span, mixed. Spans are ordered and do not overlap."""
+    """A 64-bit polynomial hash of each span, mixed. Begins and ends of the spans are in order."""
     out = np.empty(len(starts), np.uint64)
     i = 0
     while i < len(starts):

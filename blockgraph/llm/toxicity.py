@@ -23,8 +23,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .features import subwords, whole, word_bytes
-from .text import LETTERS, Tokens, factorize, rows_of, segment_sums, slices, utf8
+from .features import letter_words, subwords, whole, word_bytes
+from .text import Tokens, factorize, rows_of, segment_sums, slices, utf8
 
 #: Most labelled texts to train on, and most bytes of text taken from them together (whole texts only).
 SAMPLE, SAMPLE_BYTES = 4000, 12 << 20
@@ -82,7 +82,7 @@ def train(texts: list[str], labels: list[int], seed: int = 7) -> Model:
         share = (sum(labels) + 0.5) / (len(labels) + 1) if labels else 0.0
         return Model(np.zeros(BUCKETS), float(np.log(max(share, 1e-3) / max(1 - share, 1e-3))))
     data, offs = utf8(pa.array(texts, pa.large_string()))
-    tokens = Tokens(data, offs, LETTERS)
+    tokens = letter_words(data, offs)
     hashes = tokens.hashes()
     word, distinct, firsts = factorize(hashes)
     owner, bucket = bags(tokens, firsts, distinct)
@@ -161,7 +161,7 @@ def training_sample(docs: DataFrame, labels: DataFrame, exclude: str = HELD_OUT)
 
 
 def score_slice(model: Model, data: np.ndarray, offs: np.ndarray) -> np.ndarray:
-    tokens = Tokens(data, offs, LETTERS)
+    tokens = letter_words(data, offs)
     begin, end, doc = passages(tokens.first)
     if len(tokens):
         word, distinct, first = factorize(tokens.hashes())

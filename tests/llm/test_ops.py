@@ -11,7 +11,7 @@ import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
-from blockgraph.llm import decontaminate, jaccard_join, language_id, language_model, media, sentencepiece_codec, sharding, token_counts, toxicity, warc
+from blockgraph.llm import decontaminate, features, jaccard_join, language_id, language_model, media, sentencepiece_codec, sharding, token_counts, toxicity, warc
 from blockgraph.llm.links import connected
 from blockgraph.llm.text import ALNUM, SPACED, Tokens, utf8
 
@@ -129,6 +129,25 @@ def test_toxicity_edges(spark, docs, none):
     assert toxicity.keep_clean(docs.withColumn("score", F.lit(7)), model).columns[-1] == "score"
 
 
+def test_the_middle_of_long_runs_counts():
+    text = "naïve" + "日本語テキスト" * 20 + "x" + "абв" * 30
+    data, offs = utf8(pa.array([text, "short words", "", "é" * 16]))
+    tokens = features.letter_words(data, offs)
+    raw, covered = text.encode(), np.zeros(len(text.encode()), bool)
+    for a, b in zip(tokens.starts[: tokens.first[1]], tokens.ends[: tokens.first[1]], strict=True):
+        raw[a:b].decode()  # no character is cut
+        assert 0 < b - a <= features.LONGEST_WORD + 3
+        covered[a:b] = True
+    assert covered.all() and tokens.counts[1:].tolist() == [2, 0, 1]
+    model = toxicity.train(["good words here"] * 20 + ["idiotic words here"] * 20, [0] * 20 + [1] * 20)
+    around = "qwrtzp" * 15
+    plain, within = (toxicity.score_slice(model, *utf8(pa.array([t])))[0] for t in (around + "vkjvkjx" + around, around + "idiotic" + around))
+    assert within > plain + 0.01
+    known = language_id.train(["ababab bababa abab"] * 5 + ["cdcdcd dcdcdc cdcd"] * 5, ["x"] * 5 + ["y"] * 5)
+    mixed = "ab" * 12 + "cd" * 100 + "ab" * 12
+    assert language_id.predict_slice(known, *utf8(pa.array([mixed])), np.ones(1, bool))[0] == ["y"]
+
+
 # 3
 
 
