@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .features import affixes, letter_words, subwords, whole, word_bytes
-from .text import Tokens, factorize, rows_of, slices, utf8
+from .text import Tokens, factorize, fitting, rows_of, slices, utf8
 
 UNKNOWN = "und"
 #: Most documents to train on, and most bytes of text taken from them together (whole texts only).
@@ -150,14 +150,7 @@ def training_sample(docs: DataFrame, exclude: str = HELD_OUT) -> tuple[list[str]
     chosen = usable.select("doc_id").distinct().orderBy(F.xxhash64("doc_id", F.lit(5)), "doc_id").limit(SAMPLE)
     # SAMPLE rows of one number.
     found = usable.select("doc_id", "text", "lang").join(F.broadcast(chosen), "doc_id").orderBy(F.xxhash64("doc_id", F.lit(6)), "doc_id", F.octet_length("text"), "lang").limit(SAMPLE)
-    texts, languages, size = [], [], 0
-    for row in found.toLocalIterator():
-        size += len(row.text.encode())
-        if size > SAMPLE_BYTES and texts:
-            break
-        texts.append(row.text)
-        languages.append(row.lang)
-    return texts, languages
+    return fitting(found.select("text", "lang").toLocalIterator(), SAMPLE_BYTES)
 
 
 def label_words(model: Model, data: np.ndarray, offs: np.ndarray) -> tuple[Tokens, np.ndarray]:

@@ -173,6 +173,23 @@ def segment_sums(values: np.ndarray, first: np.ndarray) -> np.ndarray:
     return sums[first[1:]] - sums[first[:-1]]
 
 
+def fitting(rows: Iterator, most: int) -> tuple[list[str], list]:
+    """Texts and labels of (text, label) rows that fit into ``most`` bytes together; one that does not fit is passed over. A label none of whose texts fits has its shortest one."""
+    texts, labels, size, spare = [], [], 0, {}
+    for text, label in rows:
+        n = len(text.encode())
+        if size + n <= most:
+            size += n
+            texts.append(text)
+            labels.append(label)
+        elif label not in spare or n < spare[label][0]:
+            spare[label] = n, text
+    for label in sorted(spare.keys() - set(labels)):
+        texts.append(spare[label][1])
+        labels.append(label)
+    return texts, labels
+
+
 def rows_of(table: pa.Table | pa.RecordBatch, name: str) -> pa.Array:
     column = table.column(name)
     return column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column

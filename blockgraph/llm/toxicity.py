@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .features import letter_words, subwords, whole, word_bytes
-from .text import Tokens, factorize, rows_of, segment_sums, slices, utf8
+from .text import Tokens, factorize, fitting, rows_of, segment_sums, slices, utf8
 
 #: Most labelled texts to train on, and most bytes of text taken from them together (whole texts only).
 SAMPLE, SAMPLE_BYTES = 4000, 12 << 20
@@ -150,14 +150,8 @@ def training_sample(docs: DataFrame, labels: DataFrame, exclude: str = HELD_OUT)
         chosen = part if chosen is None else chosen.unionByName(part)
     # SAMPLE rows of two numbers.
     found = docs.select("doc_id", "text").where("text is not null").join(F.broadcast(chosen), "doc_id")
-    texts, marks, size = [], [], 0
-    for row in found.select("text", "toxic").orderBy(F.xxhash64("doc_id", F.lit(12)), "doc_id", F.octet_length("text")).limit(SAMPLE).toLocalIterator():
-        size += len(row.text.encode())
-        if size > SAMPLE_BYTES and texts:
-            break
-        texts.append(row.text)
-        marks.append(row.toxic)
-    return texts, marks
+    rows = found.select("text", "toxic").orderBy(F.xxhash64("doc_id", F.lit(12)), "doc_id", F.octet_length("text")).limit(SAMPLE)
+    return fitting(rows.toLocalIterator(), SAMPLE_BYTES)
 
 
 def score_slice(model: Model, data: np.ndarray, offs: np.ndarray) -> np.ndarray:

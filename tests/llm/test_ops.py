@@ -148,6 +148,19 @@ def test_the_middle_of_long_runs_counts():
     assert language_id.predict_slice(known, *utf8(pa.array([mixed])), np.ones(1, bool))[0] == ["y"]
 
 
+@pytest.mark.parametrize("long", range(6))
+def test_one_long_text_never_ends_the_sample(spark, monkeypatch, long):
+    monkeypatch.setattr(toxicity, "SAMPLE_BYTES", 100)
+    monkeypatch.setattr(language_id, "SAMPLE_BYTES", 100)
+    rows = [(i, "long " * 50 if i == long else f"text {i}", "ab"[i % 2], i % 2) for i in range(6)]
+    table = spark.createDataFrame(rows, "doc_id long, text string, lang string, toxic int").coalesce(1)
+    rest = sorted(t for i, t, *_ in rows if i != long)
+    assert sorted(toxicity.training_sample(table.drop("toxic"), table.select("doc_id", "toxic"), "false")[0]) == rest
+    assert sorted(language_id.training_sample(table, "false")[0]) == rest
+    one = table.where(f"doc_id = {long}")
+    assert len(language_id.training_sample(one, "false")[0]) == 1
+
+
 # 3
 
 
