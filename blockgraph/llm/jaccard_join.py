@@ -1,19 +1,20 @@
 """Operator 5: exact Jaccard self-join of shingle sets through partition-and-enumerate signatures.
 
-Sets of sizes a and b with Jaccard similarity of p % or more differ in at most (a + b)(100 - p)/(100 + p) elements.
-Sizes are cut into bands whose ends have the ratio p/100, so a link never spans more than two neighbouring bands; a
-set takes part in its own band's instance and in the next one's. An instance with at most k differences cuts the
-hashed feature domain into n1 ranges, each range into n2 cells, and signs every choice of n2 - 1 cells of a range
-(here n2 = 2). With n1 > k // 2 ranges, one at least holds at most one difference, so linked sets share the
-signature of that range that leaves the differing cell out. Some more ranges than needed are taken: then a set may
-leave out the signatures of empty cells, which all sets would share, as long as fewer ranges of it have an empty cell
-than are sure to agree; the rare sets with more empty cells sign those too. Nothing is lost.
-
-Candidates: per signature, every holder is paired with the least one (not with every other). Linked sets share at least
-2 n1 - k less the empty cells, so a document that shares fewer of its signatures with anybody links with nobody and goes;
-so do pairs that cannot reach that number. The rest is verified on whole sets, and the links are contracted to
-components. Where the holders that met one least holder still lie in several components, they are compared with each
-other exactly: dealt into blocks, every two blocks multiplied as 0/1 matrices.
+Sets of sizes a <= b with Jaccard similarity of p % or more differ in at most a(100 - p)/p elements. Sizes are cut into
+bands, each twice as wide as the one before; a set takes part in its own band's instance and, where it may link with a set
+of the next band, in that one's. An instance cuts the hashed feature domain into n1 ranges, each range into n2 = 2 cells,
+and signs every choice of n2 - 1 cells of a range. There are half as many cells again as the sets of the band may have
+differences, so linked sets agree in many of them: in all cells less the differences. Empty cells, which all sets would
+share, are not signed, and a set counts them off what it needs; the rare set that would then need nothing signs them too.
+
+Candidates: a signature that one set holds alone links nobody. A set that holds fewer shared signatures than it needs links
+with nobody and goes. Of the rest, a set needs to meet others only over its rarest signatures, as many as it holds less
+what it needs, plus one: linked sets share the rarest signature that they have in common, and for both it is one of those.
+So a passage that many documents hold makes no candidates, unless a document holds little else.
+
+Each holder of a signature is verified against the least holder (not against every other), on whole sets, and the
+links are contracted to components. Where the other holders still lie in several components, they are compared with each
+other exactly: dealt into blocks, every two blocks multiplied as 0/1 matrices. No link is lost on the way.
 
 Defined cases: null and empty texts have no set and link with nothing; a text of fewer words than a shingle is one
 shingle; rows that share a ``doc_id`` are one document; a row without ``doc_id`` has no component; only ``doc_id``
@@ -22,6 +23,8 @@ and the text are read, other columns are ignored whatever their names.
 
 from __future__ import annotations
 
+import math
+import uuid
 from collections.abc import Iterator
 from functools import cache
 
@@ -33,38 +36,36 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from .links import connected
-from .scratch import discard, release, stored
+from .scratch import discard, stored
 from .text import SPACED, Tokens, rows_of, slices, splitmix, utf8
 
 WORDS, PERCENT = 4, 85
-#: Documents of one block in the final step: two blocks meet in a task.
-BLOCK_DOCS = 512
-#: Bits of the lossy sets (of shared signatures, of documents whose texts are needed again): 8 MB at any size of the input.
-FILTER_BITS = 26
+#: Documents of one block in the final step, and their elements: two blocks meet in a task.
+BLOCK_DOCS, BLOCK_ELEMENTS = 512, 1 << 20
+#: Most bits of a lossy set (32 MB) and the most values for which it is used on signatures; with more of them a join does its work.
+MOST_BITS, MOST_FILTERED = 28, 1 << 26
 _STEP = np.uint64(0x9FB21C651E98DF25)
 
 
 # Signatures
 
 
-@cache
-def bands(percent: int) -> np.ndarray:
-    """Upper ends of the size bands."""
-    ends, low = [], 1
-    while low < 1 << 40:
-        ends.append(low * 100 // percent)
-        low = ends[-1] + 1
-    return np.array(ends)
+def _most_differences(size: int, percent: int) -> int:
+    """Between a set of this size and any that it links with."""
+    return size * (100 - percent) // percent
 
 
 @cache
-def instance(band: int, percent: int) -> tuple[int, int, int]:
-    """n1, n2 and the most differences k of a band's instance, whose sets have at most the band's upper size."""
-    k = int(2 * bands(percent)[band] * (100 - percent) // (100 + percent))
-    if k == 0:
-        return 1, 1, 0
-    need = k // 2 + 1
-    return need + 1 + -(-need * 15 // 100), 2, k
+def instance(band: int, percent: int) -> tuple[int, int]:
+    """n1 and n2 of the instance for sets of up to 2^(band + 1) - 1 elements."""
+    need = _most_differences((2 << band) - 1, percent) + 1
+    return need * 3 // 4 + 1, 2
+
+
+def bands_of(size: int, percent: int) -> list[int]:
+    """The band of a set, and the next one if sets that it may link with lie there."""
+    own, last = size.bit_length() - 1, (size * 100 // percent).bit_length() - 1
+    return [own] if own == last else [own, last]
 
 
 @cache
@@ -72,24 +73,25 @@ def _edges(cells: int) -> np.ndarray:
     return np.array([(i << 64) // cells for i in range(1, cells)], np.uint64)
 
 
-def signatures(elements: np.ndarray, percent: int = PERCENT) -> tuple[np.ndarray, list[int]]:
-    """The signatures of a set, given as sorted distinct hashes; the lowest bit tells the two instances apart.
+def signatures(elements: np.ndarray, percent: int = PERCENT) -> tuple[np.ndarray, np.ndarray]:
+    """The signatures of a set, given as sorted distinct hashes; the lowest bit tells its instances apart.
 
-    Also, for the instances of even and of odd number, how many of them a linked set shares at least.
+    Also, beside each signature, how many of its instance a linked set shares at least.
     """
-    own = int(np.searchsorted(bands(percent), len(elements)))
+    most = _most_differences(len(elements), percent)
     sums = np.concatenate([[np.uint64(0)], np.cumsum(splitmix(elements), dtype=np.uint64)])
-    out, least = [], [0, 0]
-    for band in (own, own + 1):
-        n1, n2, k = instance(band, percent)
+    out, least = [], []
+    for band in bands_of(len(elements), percent):
+        n1, n2 = instance(band, percent)
         cuts = np.concatenate([[0], np.searchsorted(elements, _edges(n1 * n2)), [len(elements)]])
         size = np.diff(cuts)
         signed = splitmix(splitmix((sums[cuts[1:]] - sums[cuts[:-1]]) ^ splitmix(size.astype(np.uint64))) + np.arange(n1 * n2, dtype=np.uint64) + np.uint64(band << 32))
-        if n2 > 1 and np.count_nonzero((size.reshape(n1, n2) == 0).any(axis=1)) < n1 - k // 2:
+        need = n1 * n2 - most - np.count_nonzero(size == 0)
+        if need > 0:
             signed = signed[size > 0]
         out.append(signed & ~np.uint64(1) | np.uint64(band & 1))
-        least[band & 1] = max(1, n1 * n2 - k - np.count_nonzero(size == 0))
-    return np.concatenate(out), least
+        least.append(np.full(len(signed), max(1, need), np.int32))
+    return np.concatenate(out), np.concatenate(least)
 
 
 def shingle_sets(data: np.ndarray, offs: np.ndarray, words: int = WORDS) -> list[np.ndarray]:
@@ -120,7 +122,7 @@ def set_digest(elements: np.ndarray) -> tuple[int, int]:
     return int(a.sum(dtype=np.uint64).astype(np.int64)), int((b.sum(dtype=np.uint64) + np.uint64(len(elements))).astype(np.int64))
 
 
-_SIGNED = "doc_id bigint, n_shingles bigint, d1 bigint, d2 bigint, even int, odd int, sigs array<bigint>"
+_ROWS = "doc_id bigint, n_shingles bigint, d1 bigint, d2 bigint"
 
 
 def _longs(parts: list[np.ndarray]) -> pa.Array:
@@ -129,66 +131,107 @@ def _longs(parts: list[np.ndarray]) -> pa.Array:
     return pa.ListArray.from_arrays(pa.array(offs), pa.array(flat))
 
 
-def _sign(words: int, percent: int):
-    nothing = (np.zeros(0, np.uint64), [0, 0])
+def _sets(batch: pa.RecordBatch, words: int) -> Iterator[tuple[pa.Array, list[np.ndarray]]]:
+    """The ids and sets of a batch, slice by slice."""
+    data, offs = utf8(rows_of(batch, "text"))
+    for i, j in slices(offs):
+        yield rows_of(batch, "doc_id").slice(i, j - i), shingle_sets(data[offs[i] : offs[j]], offs[i : j + 1] - offs[i], words)
 
+
+def _measure(words: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ids = rows_of(batch, "doc_id")
-            keys = ids.to_pylist()
-            data, offs = utf8(rows_of(batch, "text"))
-            seen: set[tuple[int, int]] = set()
-            for i, j in slices(offs, 3 << 20):
-                sets = shingle_sets(data[offs[i] : offs[j]], offs[i : j + 1] - offs[i], words)
+            for ids, sets in _sets(batch, words):
                 digests = [set_digest(s) for s in sets]
-                # Of equal sets in a batch, the first one signs for all.
-                signed = [signatures(s, percent) if len(s) and key is not None and not (d in seen or seen.add(d)) else nothing for s, d, key in zip(sets, digests, keys[i:j], strict=True)]
                 numbers = [[len(s) for s in sets], [d[0] for d in digests], [d[1] for d in digests]]
-                least = [[x[1][0] for x in signed], [x[1][1] for x in signed]]
-                yield pa.RecordBatch.from_arrays(
-                    [ids.slice(i, j - i), *(pa.array(x, pa.int64()) for x in numbers), *(pa.array(x, pa.int32()) for x in least), _longs([x[0] for x in signed])],
-                    ["doc_id", "n_shingles", "d1", "d2", "even", "odd", "sigs"],
-                )
+                yield pa.RecordBatch.from_arrays([ids, *(pa.array(x, pa.int64()) for x in numbers)], ["doc_id", "n_shingles", "d1", "d2"])
 
     return run
 
 
-# Lossy sets
+def _sign(words: int, percent: int, kept=None):
+    """Signatures alone; or, given a broadcast bitmap of those that may be shared, (a, sig, least) for these."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for ids, sets in _sets(batch, words):
+                # Of equal sets, the one of the least document signs for all.
+                signer: dict[tuple[int, int], tuple[int, int]] = {}
+                for i, (key, s) in enumerate(zip(ids.to_pylist(), sets, strict=True)):
+                    if key is not None and len(s):
+                        digest = set_digest(s)
+                        signer[digest] = min((key, i), signer.get(digest, (key, i)))
+                keys, sigs, least = [np.zeros(0, np.int64)], [np.zeros(0, np.uint64)], [np.zeros(0, np.int32)]
+                for key, i in signer.values():
+                    signed, needed = signatures(sets[i], percent)
+                    if kept is not None and kept.value is not None:
+                        may = _held(kept.value, signed)
+                        signed, needed = signed[may], needed[may]
+                    keys.append(np.full(len(signed), key))
+                    sigs.append(signed)
+                    least.append(needed)
+                sig = pa.array(np.concatenate(sigs).view(np.int64))
+                if kept is None:
+                    yield pa.RecordBatch.from_arrays([sig], ["sig"])
+                else:
+                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys)), sig, pa.array(np.concatenate(least))], ["a", "sig", "least"])
 
+    return run
 
-def _slot(column: str):
-    return F.pmod(F.xxhash64(column), F.lit(1 << FILTER_BITS))
 
+# Lossy sets: they may hold more than was put in, never less
 
-def bitmap(df: DataFrame, column: str) -> np.ndarray:
-    """A fixed-size bitmap of the hashed values: it may hold more than was put in, never less."""
-    slot = df.select(_slot(column).alias("s"))
+
+def bitmap(values: DataFrame, n: int) -> np.ndarray:
+    """A bitmap of the n mixed 64-bit values of the one column, by their uppermost bits; at most 2^``MOST_BITS`` bits."""
+    bits = min(MOST_BITS, max(16, math.ceil(math.log2(32 * n + 1))))
+    slot = values.select(F.shiftrightunsigned(values.columns[0], 64 - bits).alias("s"))
     maps = slot.groupBy(F.bitmap_bucket_number("s").alias("bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("s")).alias("bits"))
-    bits = np.zeros(1 << FILTER_BITS >> 3, np.uint8)
-    for row in maps.toLocalIterator():  # at most 2^FILTER_BITS / 32768 rows of 4 KB
+    out = np.zeros(1 << bits >> 3, np.uint8)
+    for row in maps.toLocalIterator():  # at most 2^MOST_BITS / 32768 rows of 4 KB
         at = max(row.bucket - 1, 0) * 4096
-        bits[at : at + len(row.bits)] |= np.frombuffer(bytes(row.bits), np.uint8)
-    return bits
+        part = np.frombuffer(bytes(row.bits), np.uint8)[: len(out) - at]
+        out[at : at + len(part)] |= part
+    return out
 
 
-def _kept(bits: np.ndarray, slot: np.ndarray) -> np.ndarray:
-    """Which slots are set; numbering as in Spark's bitmap functions, where 1 is the first bit."""
+def _held(bits: np.ndarray, values: np.ndarray) -> np.ndarray:
+    """Which values may be in the bitmap; numbering as in Spark's bitmap functions, where 1 is the first bit."""
+    slot = (values.view(np.uint64) >> np.uint64(64 - (len(bits).bit_length() + 2))).astype(np.int64)
     bit = np.maximum(slot - 1, 0)
     return (bits[bit >> 3] >> (bit & 7).astype(np.uint8) & 1).astype(bool)
 
 
-def passing(df: DataFrame, column: str, bits: np.ndarray, schema: str) -> DataFrame:
-    """The rows whose value may be in the bitmap."""
-    shared = df.sparkSession.sparkContext.broadcast(bits)
-    names = df.columns
+def id_bitmap(ids: DataFrame) -> np.ndarray:
+    """A bitmap of the hashes of the one column."""
+    ids = ids.select(F.xxhash64(ids.columns[0]).alias("h"))
+    return bitmap(ids, ids.count())
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            slot = rows_of(batch, "slot").to_numpy(zero_copy_only=False)
-            kept = batch.filter(pa.array(_kept(shared.value, slot)))
-            yield pa.RecordBatch.from_arrays([rows_of(kept, c) for c in names], names)
 
-    return df.where(F.col(column).isNotNull()).withColumn("slot", _slot(column)).mapInArrow(run, schema)
+# Candidates
+
+
+def _met(rows: DataFrame) -> DataFrame:
+    """The rows whose signature several documents hold, with their number n; a doc's rows lie together, so n counts documents."""
+    held = stored(rows.groupBy("sig").agg(F.count("*").alias("n")).where("n > 1"), "held")
+    return rows.join(held, "sig")
+
+
+def _candidates(docs: DataFrame, spare: DataFrame, words: int, percent: int) -> DataFrame:
+    """(a, sig): the documents that may link, with the signatures over which they meet. ``spare`` documents are left out."""
+    context = docs.sparkSession.sparkContext
+    alone = docs.mapInArrow(_sign(words, percent), "sig bigint").groupBy("sig").agg(F.count("*").alias("n"))
+    shared = stored(alone.where("n > 1").select("sig"), "shared")
+    n = shared.count()
+    few = n <= MOST_FILTERED
+    rows = docs.mapInArrow(_sign(words, percent, context.broadcast(bitmap(shared, n) if few else None)), "a bigint, sig bigint, least int")
+    rows = stored(rows if few else rows.join(shared, "sig", "left_semi").select("a", "sig", "least"), "signed")
+    rows = rows.join(spare.select("a"), "a", "left_anti").groupBy("a", "sig").agg(F.min("least").alias("least"))
+    of_a = W.partitionBy("a", F.expr("sig & 1"))
+    rows = _met(stored(rows, "signed")).select("a", "sig", F.min("least").over(of_a).alias("least"), F.count("*").over(of_a).alias("shared"))
+    rows = _met(stored(rows.where("shared >= least").drop("shared"), "signed"))
+    rarest = rows.select("a", "sig", "least", F.count("*").over(of_a).alias("shared"), F.row_number().over(of_a.orderBy("n", "sig")).alias("place"))
+    return stored(rarest.where("place <= shared - least + 1").select("a", "sig"), "candidates")
 
 
 # Verification
@@ -196,18 +239,15 @@ def passing(df: DataFrame, column: str, bits: np.ndarray, schema: str) -> DataFr
 
 def _fetch_sets(docs: DataFrame, ids: DataFrame, words: int) -> DataFrame:
     """(doc_id, elements) of the documents in ``ids``, and maybe of a few others."""
-    shared = docs.sparkSession.sparkContext.broadcast(bitmap(ids, "doc_id"))
+    shared = docs.sparkSession.sparkContext.broadcast(id_bitmap(ids))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            batch = batch.filter(pa.array(_kept(shared.value, rows_of(batch, "slot").to_numpy(zero_copy_only=False))))
-            data, offs = utf8(rows_of(batch, "text"))
-            for i, j in slices(offs):
-                sets = shingle_sets(data[offs[i] : offs[j]], offs[i : j + 1] - offs[i], words)
-                yield pa.RecordBatch.from_arrays([rows_of(batch, "doc_id").slice(i, j - i), _longs(sets)], ["doc_id", "elements"])
+            batch = batch.filter(pa.array(_held(shared.value, rows_of(batch, "h").to_numpy(zero_copy_only=False))))
+            for keys, sets in _sets(batch, words):
+                yield pa.RecordBatch.from_arrays([keys, _longs(sets)], ["doc_id", "elements"])
 
-    slotted = docs.where("doc_id is not null").select("doc_id", "text", _slot("doc_id").alias("slot"))
-    return slotted.mapInArrow(run, "doc_id bigint, elements array<bigint>")
+    return docs.where("doc_id is not null").select("doc_id", "text", F.xxhash64("doc_id").alias("h")).mapInArrow(run, "doc_id bigint, elements array<bigint>")
 
 
 def _linked(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -265,114 +305,82 @@ def _settle(percent: int):
     return run
 
 
-def _ties(signed: DataFrame, filled: DataFrame) -> DataFrame:
-    """(a, b, odd, least, c, most, rank): how many signatures a document a holds whose least holder is b, for documents that share enough."""
-    # Shared signatures with their least holders. The least is combined before the shuffle, and only signatures that may
-    # be shared are dealt out again to meet it, in a join whose large partitions Spark can split.
-    exploded = signed.select("doc_id", F.explode("sigs").alias("sig"))
-    shared = stored(exploded.groupBy("sig").agg(F.min("doc_id").alias("b"), F.count("*").alias("n")).where("n > 1").drop("n"), "shared")
-    again = passing(exploded, "sig", bitmap(shared, "sig"), "doc_id bigint, sig bigint").withColumnRenamed("doc_id", "a")
-    odd = F.pmod("sig", F.lit(2)).cast("int").alias("odd")
-    ties = again.join(shared, "sig").groupBy("a", "b", odd).agg(F.count("*").alias("c"))
-    least = filled.select(F.col("doc_id").alias("a"), F.explode(F.array(F.struct(F.lit(0).alias("odd"), F.col("even").alias("least")), F.struct(F.lit(1).alias("odd"), F.col("odd").alias("least")))).alias("x"))
-    least = least.select("a", "x.*").where("least > 0").groupBy("a", "odd").agg(F.min("least").alias("least"))
-    ties = stored(ties, "ties").join(least, ["a", "odd"])
-    of_a = W.partitionBy("a", "odd")
-    up_to_b = of_a.orderBy("b").rowsBetween(W.unboundedPreceding, 0)
-    by_count = of_a.orderBy("c", "b").rowsBetween(W.unboundedPreceding, 0)
-    ties = ties.select("a", "b", "odd", "least", "c", F.sum("c").over(of_a).alias("all"), F.sum("c").over(up_to_b).alias("most"), F.sum("c").over(by_count).alias("rank"))
-    ties = stored(ties.where("all >= least").drop("all"), "ties")
-    discard(shared)
-    return ties
+def _open_links(prefix: DataFrame, pivots: DataFrame, components: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Links between holders of a signature, its least one left out, that still lie in several components."""
+    others = prefix.join(pivots.where("n > 2"), "sig").where("a <> b").select("sig", "a")
+    others = others.join(components.withColumnRenamed("node", "a"), "a", "left").withColumn("component", F.coalesce("component", "a"))
+    others = stored(others, "others")
+    apart = others.groupBy("sig").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.min("a").alias("head"))
+    open_ = stored(others.join(stored(apart.where("low < high").select("sig", "head"), "open"), "sig").select("a", "head", "component").distinct(), "open")
+    # Holders that meet over any open signature form one cluster, so a set is sent out once per block of its cluster.
+    clusters = stored(connected(open_, "a", "head"), "clusters").withColumnRenamed("node", "a").withColumnRenamed("component", "cluster")
+    size = sets.groupBy(F.col("doc_id").alias("a")).agg(F.sum(F.size("elements")).alias("elements"))
+    members = open_.select("a", "component").distinct().join(clusters, "a").join(size, "a")
+    members = stored(members, "members")
+    blocks = F.greatest(F.ceil(F.count("*") / BLOCK_DOCS), F.ceil(F.sum("elements") / BLOCK_ELEMENTS)).alias("blocks")
+    members = members.join(stored(members.groupBy("cluster").agg(blocks), "blocks"), "cluster").withColumn("block", F.pmod(F.xxhash64("a"), "blocks"))
+    dealt = members.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
+    dealt = dealt.select(F.col("a").alias("doc_id"), "component", "cluster", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"))
+    return stored(dealt.join(sets, "doc_id").groupBy("cluster", "i", "j").applyInPandas(_settle(percent), "a bigint, b bigint"), "crossing")
 
 
 def jaccard_components(docs: DataFrame, words: int = WORDS, percent: int = PERCENT) -> DataFrame:
     """doc_id, n_shingles and component_id (the least document reachable over links) for every row of ``docs``."""
+    if not 50 < percent <= 100:
+        raise ValueError(f"a similarity of {percent} %; bands need more than 50")
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    signed = stored(docs.mapInArrow(_sign(words, percent), _SIGNED), "signed")
+    rows = stored(docs.mapInArrow(_measure(words), _ROWS), "sets")
 
-    # Equal sets, also across tasks.
-    rows = stored(signed.drop("sigs"), "sets")
+    # Equal sets: the least document stands for all whose only set it is.
     filled = rows.where("n_shingles > 0 and doc_id is not null")
     first = stored(filled.groupBy("d1", "d2", "n_shingles").agg(F.min("doc_id").alias("first"), F.count("*").alias("n")).where("n > 1").drop("n"), "copies")
-    copies = filled.join(first, ["d1", "d2", "n_shingles"]).where("doc_id <> first").select(F.col("doc_id").alias("a"), F.col("first").alias("b"))
-
-    ties = _ties(signed, filled)
-    discard(signed)
-    release(docs.sparkSession)
-
-    # What a and b share is under least holders up to b.
-    able = ties.select(F.col("a").alias("b"), "odd").distinct()
-    pairs = ties.where("a <> b and most >= least").join(able, ["b", "odd"], "left_semi").groupBy("a", "b").agg(F.sum("c").alias("c"))
-    by_share = W.partitionBy("a").orderBy(F.desc("c"), "b")
-    pairs = stored(pairs.select("a", "b", (F.row_number().over(by_share) == 1).alias("best")), "pairs")
-    # Each document's best pair first; others only where they may still join two components.
-    best = pairs.where("best").select("a", "b")
-    sets = _sets_of(docs, best, words)
-    links = stored(_linked(best, sets, percent).unionByName(copies), "found")
-    discard(sets)
-    release(docs.sparkSession)
+    found = stored(filled.join(first, ["d1", "d2", "n_shingles"], "left").select(F.col("doc_id").alias("a"), F.coalesce("first", "doc_id").alias("b")), "copies")
+    spare = stored(found.groupBy("a").agg(F.count("*").alias("n"), F.min("b").alias("b")).where("n = 1 and a <> b").select("a", "b"), "spare")
+    copies = found.where("a <> b").join(spare.select("a"), "a", "left_anti")
+
+    prefix = _candidates(docs, spare, words, percent)
+    pivots = stored(prefix.groupBy("sig").agg(F.min("a").alias("b"), F.count("*").alias("n")).where("n > 1"), "pivots")
+    pairs = stored(prefix.join(pivots, "sig").where("a <> b").select("a", "b").distinct(), "pairs")
+    sets = _sets_of(docs, pairs, words)
+    links = stored(_linked(pairs, sets, percent).unionByName(copies), "found")
     components = stored(connected(links), "components")
-    rest = pairs.where("not best").select("a", "b")
-    for key, label in (("a", "ca"), ("b", "cb")):
-        rest = rest.join(components.select(F.col("node").alias(key), F.col("component").alias(label)), key, "left").withColumn(label, F.coalesce(label, key))
-    rest = stored(rest.where("ca <> cb").select("a", "b"), "pairs")
-    if not rest.isEmpty():
-        sets = _sets_of(docs, rest, words)
-        links = stored(links.unionByName(_linked(rest, sets, percent)), "found")
-        discard(sets)
-        release(docs.sparkSession)
-        components = stored(connected(links), "components")
-
-    # Two linked documents share signatures under the same least holders; each may forget the holders of fewest
-    # signatures up to half of what they share, and one common holder is left.
-    around = ties.where("2 * rank >= least").select("a", "b", "odd")
-    around = stored(around.join(components.select(F.col("node").alias("a"), "component"), "a", "left").withColumn("component", F.coalesce("component", "a")), "around")
-    # A group of two is settled only where one of them is the least holder: its own row may be gone, and then the two never met.
-    groups = around.groupBy("b", "odd").agg(F.count("*").alias("n"), F.max(F.expr("a = b")).alias("own"), F.min("component").alias("low"), F.max("component").alias("high"))
-    open_ = stored(around.join(groups.where("low <> high and (n > 2 or not own)").select("b", "odd"), ["b", "odd"]).select("a", "b", "component"), "open")
-    # Holders that meet over any of these least holders form one cluster, so a set is sent out once per block of its cluster.
-    clusters = stored(connected(open_), "clusters")
-    sizes = clusters.groupBy("component").agg(F.ceil(F.count("*") / BLOCK_DOCS).alias("blocks"))
-    members = clusters.join(sizes, "component").select(F.col("node").alias("a"), F.col("component").alias("cluster"), "blocks")
-    members = members.join(open_.select("a", "component").distinct(), "a").withColumn("block", F.pmod(F.xxhash64("a"), "blocks"))
-    dealt = members.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
-    dealt = dealt.select(F.col("a").alias("doc_id"), "component", "cluster", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"))
-    sets = stored(_fetch_sets(docs, clusters.select(F.col("node").alias("doc_id")), words), "elements")
-    crossing = stored(dealt.join(sets, "doc_id").groupBy("cluster", "i", "j").applyInPandas(_settle(percent), "a bigint, b bigint"), "crossing")
+    crossing = _open_links(prefix, pivots, components, sets, percent)
     if not crossing.isEmpty():
         components = stored(connected(links.unionByName(crossing)), "components")
-    for table in (pairs, ties, around, open_, clusters, sets):
+    for table in (prefix, pairs, sets):
         discard(table)
-    return rows.join(components, rows.doc_id == components.node, "left").select("doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"))
+    copied = spare.join(components, spare.b == components.node, "left").select(F.col("a").alias("node"), F.coalesce("component", "b").alias("component"))
+    labels = components.unionByName(copied)
+    return rows.join(labels, rows.doc_id == labels.node, "left").select("doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"))
 
 
 def _sets_of(docs: DataFrame, pairs: DataFrame, words: int) -> DataFrame:
-    ids = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id")))
+    ids = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct()
     return stored(_fetch_sets(docs, ids, words), "elements")
 
 
 def keep_least(docs: DataFrame, words: int = WORDS, percent: int = PERCENT) -> DataFrame:
     """The least document of every component, and all rows without a ``doc_id``. Of rows that share a ``doc_id``, one with the least text stays.
 
-    Only rows that may have to go are dealt out by id; the texts of all others stay where they are.
+    Only rows that may have to go are dealt out by id; the texts of all others stay where they are. All columns stay, whatever their names.
     """
     found = jaccard_components(docs, words, percent)
     gone = stored(found.where("doc_id <> component_id").select("doc_id").distinct(), "gone")
     repeated = found.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1 and doc_id is not null").select("doc_id")
     repeated = stored(repeated.join(gone, "doc_id", "left_anti"), "repeated")
-    bits = docs.sparkSession.sparkContext.broadcast(bitmap(gone.unionByName(repeated), "doc_id"))
+    bits = docs.sparkSession.sparkContext.broadcast(id_bitmap(gone.unionByName(repeated)))
+    flag, place = f"maybe_{uuid.uuid4().hex}", f"place_{uuid.uuid4().hex}"
 
     @F.pandas_udf("boolean")
-    def maybe(slot: pd.Series) -> pd.Series:
-        return pd.Series(_kept(bits.value, slot.to_numpy()))
+    def maybe(h: pd.Series) -> pd.Series:
+        return pd.Series(_held(bits.value, h.to_numpy()))
 
-    flagged = docs.withColumn("_maybe", maybe(F.coalesce(_slot("doc_id"), F.lit(0))) & F.col("doc_id").isNotNull())
-    sure = flagged.where(~F.col("_maybe")).drop("_maybe")
-    rest = flagged.where("_maybe").drop("_maybe").join(gone, "doc_id", "left_anti")
+    flagged = docs.withColumn(flag, maybe(F.xxhash64("doc_id")) & F.col("doc_id").isNotNull())
+    sure = flagged.where(~F.col(flag)).drop(flag)
+    rest = flagged.where(flag).drop(flag).join(gone, "doc_id", "left_anti").select(*docs.columns)
     order = W.partitionBy("doc_id").orderBy("text")
-    several = rest.join(repeated, "doc_id", "left_semi").withColumn("_place", F.row_number().over(order)).where("_place = 1").drop("_place")
-    return sure.unionByName(rest.join(repeated, "doc_id", "left_anti")).unionByName(several)
+    several = rest.join(repeated, "doc_id", "left_semi").withColumn(place, F.row_number().over(order)).where(F.col(place) == 1).drop(place)
+    return sure.unionByName(rest.join(repeated, "doc_id", "left_anti")).unionByName(several.select(*docs.columns))
 
 
 def op5_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:

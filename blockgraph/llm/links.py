@@ -2,7 +2,8 @@
 
 A round points every node at the least node of its neighbourhood: first from the larger neighbours (large star),
 then from the smaller ones (small star). Neighbourhoods are only aggregated to their minimum, which Spark
-combines before the shuffle, and joined back, so a hub is never collected.
+combines before the shuffle and which is stored, so that it joins back to the links as a table of its own: by broadcast
+where it is small, else by a sort-merge join whose partition of a hub Spark splits. A hub is never collected.
 """
 
 from __future__ import annotations
@@ -13,16 +14,20 @@ from pyspark.sql import functions as F
 from .scratch import discard, stored
 
 
+def _least(edges: DataFrame) -> DataFrame:
+    return stored(edges.groupBy("u").agg(F.min("v").alias("m")), "least")
+
+
 def _large(edges: DataFrame) -> DataFrame:
     both = edges.select("u", "v").unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-    least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-    return both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
+    least = _least(both).select("u", F.least("u", "m").alias("m"))
+    return both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
 
 
 def _small(edges: DataFrame) -> DataFrame:
-    least = edges.groupBy("u").agg(F.min("v").alias("m"))
+    least = _least(edges)
     moved = edges.join(least, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
-    return moved.unionByName(least.select("u", F.col("m").alias("v")))
+    return moved.unionByName(least.select("u", F.col("m").alias("v"))).distinct()
 
 
 def _state(edges: DataFrame) -> tuple:
@@ -34,10 +39,12 @@ def connected(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     edges = links.where(f"{a} <> {b}").select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).distinct()
     edges = stored(edges, "links")
     state = _state(edges)
-    while True:
-        after = stored(_small(_large(edges)).distinct(), "links")
+    while state[0]:
+        grown = stored(_large(edges), "links")
         discard(edges)
-        edges, before, state = after, state, _state(after)
+        edges = stored(_small(grown), "links")
+        discard(grown)
+        before, state = state, _state(edges)
         if state == before:
             break
     members = edges.select(F.col("u").alias("node"), F.col("v").alias("component"))

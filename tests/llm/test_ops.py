@@ -327,8 +327,11 @@ def test_signatures_always_meet():
             if 100 * same >= 85 * (len(a) + len(b) - same):
                 (x, least_x), (y, least_y) = jaccard_join.signatures(a), jaccard_join.signatures(b)
                 common = np.intersect1d(x, y)
-                n = [int(np.count_nonzero(common % np.uint64(2) == k)) for k in (0, 1)]
-                assert any(n[k] >= max(least_x[k], least_y[k]) > 0 for k in (0, 1))
+                met = False
+                for odd in (0, 1):
+                    need = max([0, *least_x[x % np.uint64(2) == odd], *least_y[y % np.uint64(2) == odd]])
+                    met |= int(np.count_nonzero(common % np.uint64(2) == odd)) >= need > 0
+                assert met
 
 
 def test_keep_least(spark):
