@@ -41,9 +41,9 @@ from .text import SPACED, Tokens, rows_of, slices, splitmix, utf8
 
 WORDS, PERCENT = 4, 85
 #: Documents of one block in the final step, and their elements: two blocks meet in a task.
-BLOCK_DOCS, BLOCK_ELEMENTS = 512, 1 << 20
-#: Most bits of a lossy set (32 MB) and the most values for which it is used on signatures; with more of them a join does its work.
-MOST_BITS, MOST_FILTERED = 28, 1 << 26
+BLOCK_DOCS, BLOCK_ELEMENTS = 512, 1 << 19
+#: Most bits of a lossy set (16 MB) and the most values for which it is used on signatures; with more of them a join does its work.
+MOST_BITS, MOST_FILTERED = 27, 1 << 25
 _STEP = np.uint64(0x9FB21C651E98DF25)
 
 
@@ -184,7 +184,7 @@ def _sign(words: int, percent: int, kept=None):
 
 def bitmap(values: DataFrame, n: int) -> np.ndarray:
     """A bitmap of the n mixed 64-bit values of the one column, by their uppermost bits; at most 2^``MOST_BITS`` bits."""
-    bits = min(MOST_BITS, max(16, math.ceil(math.log2(32 * n + 1))))
+    bits = min(MOST_BITS, max(16, math.ceil(math.log2(16 * n + 1))))
     slot = values.select(F.shiftrightunsigned(values.columns[0], 64 - bits).alias("s"))
     maps = slot.groupBy(F.bitmap_bucket_number("s").alias("bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("s")).alias("bits"))
     out = np.zeros(1 << bits >> 3, np.uint8)
@@ -224,8 +224,10 @@ def _candidates(docs: DataFrame, spare: DataFrame, words: int, percent: int) ->
     shared = stored(alone.where("n > 1").select("sig"), "shared")
     n = shared.count()
     few = n <= MOST_FILTERED
-    rows = docs.mapInArrow(_sign(words, percent, context.broadcast(bitmap(shared, n) if few else None)), "a bigint, sig bigint, least int")
+    bits = context.broadcast(bitmap(shared, n) if few else None)
+    rows = docs.mapInArrow(_sign(words, percent, bits), "a bigint, sig bigint, least int")
     rows = stored(rows if few else rows.join(shared, "sig", "left_semi").select("a", "sig", "least"), "signed")
+    bits.unpersist()
     rows = rows.join(spare.select("a"), "a", "left_anti").groupBy("a", "sig").agg(F.min("least").alias("least"))
     of_a = W.partitionBy("a", F.expr("sig & 1"))
     rows = _met(stored(rows, "signed")).select("a", "sig", F.min("least").over(of_a).alias("least"), F.count("*").over(of_a).alias("shared"))
@@ -272,9 +274,9 @@ def block_links(sets: list[np.ndarray], component: np.ndarray, percent: int) ->
     common = np.zeros((n, n), np.float32)
     order = np.argsort(column, kind="stable")
     owner, column = owner[order], column[order]
-    for low in range(0, int(column[-1]) + 1 if len(column) else 0, 8192):
-        a, b = np.searchsorted(column, [low, low + 8192])
-        part = np.zeros((n, 8192), np.float32)
+    for low in range(0, int(column[-1]) + 1 if len(column) else 0, 4096):
+        a, b = np.searchsorted(column, [low, low + 4096])
+        part = np.zeros((n, 4096), np.float32)
         part[owner[a:b], column[a:b] - low] = 1
         common += part @ part.T
     whole = common.astype(np.int64)
