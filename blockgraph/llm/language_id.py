@@ -3,7 +3,7 @@
 Every word of a sentence is labelled; its features are hashed affixes, byte n-grams and the word itself (the
 lexicon), and neighbouring labels are tied by learned transitions, so code-switched text gets a label for each stretch.
 Training maximises the conditional likelihood of sentences whose words carry their document's language, with
-gradients from forward-backward, in numpy on the driver, on at most ``SAMPLE`` documents chosen by a hash of their id.
+gradients from forward-backward, in numpy, in one task, on at most ``SAMPLE`` documents chosen by a hash of their id.
 A document's language is the label with most posterior mass over all its words; the score is that share.
 
 A sentence ends at a line end or after ``.``, ``!`` or ``?``, and after ``LONGEST`` words, where the chain starts anew; every word of
@@ -27,6 +27,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .features import affixes, letter_words, subwords, whole, word_bytes
+from .scratch import trained
 from .text import Tokens, factorize, fitting, rows_of, slices, utf8
 
 UNKNOWN = "und"
@@ -144,13 +145,13 @@ def train(texts: list[str], languages: list[str]) -> Model:
     return model
 
 
-def training_sample(docs: DataFrame, exclude: str = HELD_OUT) -> tuple[list[str], list[str]]:
-    """Whole texts and languages of at most ``SAMPLE`` documents, chosen by a hash of the id."""
+def training_sample(docs: DataFrame, exclude: str = HELD_OUT) -> DataFrame:
+    """(text, lang): whole texts and languages of at most ``SAMPLE`` documents, chosen by a hash of the id."""
     usable = docs.where(f"text is not null and lang is not null and doc_id is not null and not ({exclude})")
     chosen = usable.select("doc_id").distinct().orderBy(F.xxhash64("doc_id", F.lit(5)), "doc_id").limit(SAMPLE)
     # SAMPLE rows of one number.
-    found = usable.select("doc_id", "text", "lang").join(F.broadcast(chosen), "doc_id").orderBy(F.xxhash64("doc_id", F.lit(6)), "doc_id", F.octet_length("text"), "lang").limit(SAMPLE)
-    return fitting(found.select("text", "lang").toLocalIterator(), SAMPLE_BYTES)
+    found = usable.select("doc_id", "text", "lang").join(F.broadcast(chosen), "doc_id").orderBy(F.xxhash64("doc_id", F.lit(6)), "doc_id", F.octet_length("text"), "text", "lang").limit(SAMPLE)
+    return found.select("text", "lang")
 
 
 def label_words(model: Model, data: np.ndarray, offs: np.ndarray) -> tuple[Tokens, np.ndarray]:
@@ -240,8 +241,12 @@ def keep_known(docs: DataFrame, model: Model, least: float = 0.3) -> DataFrame:
     return docs.where(share("text") >= least)
 
 
+def _train_rows(rows: Iterator[tuple]) -> Model:
+    return train(*fitting(rows, SAMPLE_BYTES))
+
+
 def fit(docs: DataFrame) -> Model:
-    return train(*training_sample(docs))
+    return trained(training_sample(docs), _train_rows)
 
 
 def op7_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -2,7 +2,7 @@
 
 A word is the bag of its own bucket and its byte n-grams' buckets; misspelt words share most n-grams with the word
 they come from. Embeddings are averaged over the bags of a passage, and a linear softmax reads the average. Both are
-trained together in numpy on the driver, on at most ``SAMPLE`` labelled texts chosen by a hash of their id.
+trained together in numpy, in one task, on at most ``SAMPLE`` labelled texts chosen by a hash of their id.
 
 A document is scored as the passage that looks worst: passages of ``PASSAGE`` words with half overlaps cover the whole
 text, so a few words in a long text weigh as much as in a short one. Training begins with whole texts; later the passage of
@@ -24,6 +24,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .features import letter_words, subwords, whole, word_bytes
+from .scratch import trained
 from .text import Tokens, factorize, fitting, rows_of, segment_sums, slices, utf8
 
 #: Most labelled texts to train on, and most bytes of text taken from them together (whole texts only).
@@ -141,8 +142,8 @@ def train(texts: list[str], labels: list[int], seed: int = 7) -> Model:
     return Model(weights, float(bias[1] - bias[0]))
 
 
-def training_sample(docs: DataFrame, labels: DataFrame, exclude: str = HELD_OUT) -> tuple[list[str], list[int]]:
-    """At most ``SAMPLE`` labelled texts, half of each class where there are enough, chosen by a hash of the id."""
+def training_sample(docs: DataFrame, labels: DataFrame, exclude: str = HELD_OUT) -> DataFrame:
+    """(text, toxic) of at most ``SAMPLE`` labelled texts, half of each class where there are enough, chosen by a hash of the id."""
     usable = labels.select("doc_id", F.col("toxic").cast("int").alias("toxic")).where(f"toxic in (0, 1) and doc_id is not null and not ({exclude})")
     chosen = None
     for value in (0, 1):
@@ -150,8 +151,7 @@ def training_sample(docs: DataFrame, labels: DataFrame, exclude: str = HELD_OUT)
         chosen = part if chosen is None else chosen.unionByName(part)
     # SAMPLE rows of two numbers.
     found = docs.select("doc_id", "text").where("text is not null").join(F.broadcast(chosen), "doc_id")
-    rows = found.select("text", "toxic").orderBy(F.xxhash64("doc_id", F.lit(12)), "doc_id", F.octet_length("text")).limit(SAMPLE)
-    return fitting(rows.toLocalIterator(), SAMPLE_BYTES)
+    return found.select("text", "toxic").orderBy(F.xxhash64("doc_id", F.lit(12)), "doc_id", F.octet_length("text"), "text").limit(SAMPLE)
 
 
 def score_slice(model: Model, data: np.ndarray, offs: np.ndarray) -> np.ndarray:
@@ -195,10 +195,14 @@ def keep_clean(docs: DataFrame, model: Model, threshold: float = 0.5) -> DataFra
     return docs.where(score("text") < threshold)
 
 
+def _train_rows(rows: Iterator[tuple]) -> tuple[Model, list[int]]:
+    texts, marks = fitting(rows, SAMPLE_BYTES)
+    return train(texts, marks), marks
+
+
 def fit(docs: DataFrame, labels: DataFrame) -> Model:
     """Train on the sample; the bias is then moved from the sample's share of each class to that of all usable labels."""
-    texts, marks = training_sample(docs, labels)
-    model = train(texts, marks)
+    model, marks = trained(training_sample(docs, labels), _train_rows)
     if len(set(marks)) == 2:
         there = {r.toxic: r.n for r in labels.select("doc_id", F.col("toxic").cast("int").alias("toxic")).where(f"toxic in (0, 1) and doc_id is not null and not ({HELD_OUT})").groupBy("toxic").agg(F.count("*").alias("n")).collect()}
         model.bias += float(np.log(there[1] / there[0]) - np.log(sum(marks) / (len(marks) - sum(marks))))

@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from blockgraph.llm import decontaminate, features, jaccard_join, language_id, language_model, media, sentencepiece_codec, sharding, token_counts, toxicity, warc
 from blockgraph.llm.links import connected
-from blockgraph.llm.text import ALNUM, SPACED, Tokens, utf8
+from blockgraph.llm.text import ALNUM, SPACED, Tokens, fitting, utf8
 
 LOWER = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
 LONG = "lorem Ipsum-dolor sit " * 3000
@@ -155,10 +155,10 @@ def test_one_long_text_never_ends_the_sample(spark, monkeypatch, long):
     rows = [(i, "long " * 50 if i == long else f"text {i}", "ab"[i % 2], i % 2) for i in range(6)]
     table = spark.createDataFrame(rows, "doc_id long, text string, lang string, toxic int").coalesce(1)
     rest = sorted(t for i, t, *_ in rows if i != long)
-    assert sorted(toxicity.training_sample(table.drop("toxic"), table.select("doc_id", "toxic"), "false")[0]) == rest
-    assert sorted(language_id.training_sample(table, "false")[0]) == rest
+    assert sorted(fitting(toxicity.training_sample(table.drop("toxic"), table.select("doc_id", "toxic"), "false").collect(), toxicity.SAMPLE_BYTES)[0]) == rest
+    assert sorted(fitting(language_id.training_sample(table, "false").collect(), language_id.SAMPLE_BYTES)[0]) == rest
     one = table.where(f"doc_id = {long}")
-    assert len(language_id.training_sample(one, "false")[0]) == 1
+    assert len(fitting(language_id.training_sample(one, "false").collect(), language_id.SAMPLE_BYTES)[0]) == 1
 
 
 # 3
