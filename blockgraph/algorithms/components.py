@@ -9,14 +9,18 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import Window as W
 
 from ..functions.bits import PRIME, int_hash
-from ..operators.prepare import symmetric
-from ..plans.store import Kept, stored
+from ..operators.exchange import gather, scatter
+from ..plans import cuts as cutting
+from ..plans.blocks import block_graph, placed
+from ..plans.kernels import combining
+from ..plans.program import Context, merge, run
+from ..plans.store import Kept, bucketed, stored
 
 JUMPS_PER_JOB = 2
-ROUNDS_PER_JOB = 8
+ROUNDS_PER_JOB = 5
+STEPS_PER_JOB = 6
 
 
 def _start(vertices: DataFrame) -> DataFrame:
@@ -29,7 +33,7 @@ def _lift(links: DataFrame, labels: DataFrame, a: str = "a", b: str = "b") -> Da
     return x.where("x <> y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
 
 
-def _compress(hooks: DataFrame) -> DataFrame:
+def _compress(hooks: DataFrame, turn: int, log: list | None) -> DataFrame:
     """(root, parent) with every parent replaced by the end of its chain: pointer jumping on roots only."""
     while True:
         jumped = hooks.withColumn("first", F.col("parent"))
@@ -37,7 +41,9 @@ def _compress(hooks: DataFrame) -> DataFrame:
             up = jumped.select(F.col("root").alias("r2"), F.col("parent").alias("p2"))
             jumped = jumped.join(up, F.col("parent") == F.col("r2"), "left").select("root", F.coalesce("p2", "parent").alias("parent"), "first")
         jumped = stored(jumped, "jumps")
-        moved = jumped.where("parent <> first").limit(1).count()
+        moved = jumped.where("parent <> first").count()
+        if log is not None:
+            log.append((turn, "link", moved))
         hooks = jumped.select("root", "parent")
         if not moved:
             return hooks
@@ -47,11 +53,23 @@ def _relabel(labels: DataFrame, hooks: DataFrame) -> DataFrame:
     return labels.join(hooks.withColumnRenamed("root", "component"), "component", "left").select("id", F.coalesce("parent", "component").alias("component"))
 
 
-def _hook_rounds(links: DataFrame, labels: DataFrame, log: list | None, wide: bool = False) -> DataFrame:
-    """Hook the larger root of every link below the least smaller one, compress, until no link is left."""
-    turn = 0
-    while True:
-        hooks = links.groupBy(F.col("b").alias("root")).agg(F.min("a").alias("parent"))
+def _offer(ctx: Context, links: DataFrame) -> DataFrame:
+    """The smaller root of every link, offered to the larger one."""
+    return links.select(F.col("dst").alias("root"), F.col("src").alias("parent"))
+
+
+def _hook_rounds(links: DataFrame, labels: DataFrame, log: list | None, wide: bool = False, lane: str = "light", p: int = 4) -> DataFrame:
+    """Hook the larger root of every link below the least smaller one, compress, until no link is left.
+
+    A block program: its kernels make the offers of the links in their blocks, and the step behind a round hooks, jumps and moves the
+    links on to the new roots. The hook has both lanes; the jumps are a join of the roots with themselves, in SQL in every lane.
+    """
+    cuts = cutting.symmetric(links.withColumnsRenamed({"a": "src", "b": "dst"}), p, "uniform") if lane == "both" else None
+    ctx_labels = {"labels": labels, "links": links}
+
+    def after(ctx: Context, updates: DataFrame) -> bool:
+        links, labels = ctx_labels["links"], ctx_labels["labels"]
+        hooks = merge(updates, ["root"], "parent", "min")
         if wide:
             # Offer a root also what its neighbours are offered.
             other = links.select(F.col("a").alias("root"), "b").join(hooks.withColumnsRenamed({"root": "b", "parent": "p"}), "b").where("p < root").groupBy("root").agg(F.min("p").alias("parent"))
@@ -59,102 +77,141 @@ def _hook_rounds(links: DataFrame, labels: DataFrame, log: list | None, wide: bo
         hooks = stored(hooks, "hooks")
         n = hooks.count()
         if log is not None:
-            log.append((turn, "hook", n))
-        turn += 1
+            log.append((ctx.round, "hook", n))
         if not n:
-            return labels
-        hooks = _compress(hooks)
+            return False
+        hooks = _compress(hooks, ctx.round, log)
         labels = stored(_relabel(labels, hooks), "labels")
         to = hooks.select(F.col("root").alias("x"), F.col("parent").alias("px"))
         moved = links.join(to, F.col("a") == F.col("x"), "left").withColumn("a", F.coalesce("px", "a")).drop("x", "px")
         moved = moved.join(to, F.col("b") == F.col("x"), "left").withColumn("b", F.coalesce("px", "b")).drop("x", "px")
         links = stored(moved.where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "links")
+        ctx_labels.update(labels=labels, links=links)
+        ctx.graph = placed(links, cuts)
+        return True
+
+    run(combining(_offer, "min", after), placed(links, cuts), lane=lane)
+    return ctx_labels["labels"]
 
 
 def _links(edges: DataFrame) -> DataFrame:
     return edges.where("src <> dst").select(F.least("src", "dst").alias("a"), F.greatest("src", "dst").alias("b"))
 
 
-def components_hook(edges: DataFrame, vertices: DataFrame, log: list | None = None) -> DataFrame:
+def components_hook(edges: DataFrame, vertices: DataFrame, log: list | None = None, lane: str = "light") -> DataFrame:
     """Hook and compress: even rounds hook roots, odd rounds jump pointers to the root."""
-    return _hook_rounds(stored(_links(edges), "links"), _start(vertices), log)
+    return _hook_rounds(stored(_links(edges), "links"), _start(vertices), log, lane=lane)
 
 
-def components_fast_hook(edges: DataFrame, vertices: DataFrame, log: list | None = None) -> DataFrame:
+def components_fast_hook(edges: DataFrame, vertices: DataFrame, log: list | None = None, lane: str = "light") -> DataFrame:
     """Hook and compress in which a root is also offered its neighbours' parents, which saves rounds on some graphs."""
-    return _hook_rounds(stored(_links(edges), "links"), _start(vertices), log, wide=True)
+    return _hook_rounds(stored(_links(edges), "links"), _start(vertices), log, wide=True, lane=lane)
 
 
-def components_spread(edges: DataFrame, vertices: DataFrame, log: list | None = None, max_rounds: int = 10_000) -> DataFrame:
+def components_spread(edges: DataFrame, vertices: DataFrame, log: list | None = None, max_rounds: int = 10_000, lane: str = "light") -> DataFrame:
     """Label propagation: the least label of the neighbourhood, until nothing changes. Several rounds per job."""
-    both = stored(symmetric(edges.select("src", "dst")), "edges")
-    state = _start(vertices).select("id", F.col("component").alias("l0"))
-    turn, kept = 0, Kept()
-    while True:
-        for k in range(ROUNDS_PER_JOB):
-            near = both.join(state.select(F.col("id").alias("src"), F.col(f"l{k}").alias("l")), "src").groupBy(F.col("dst").alias("id")).agg(F.min("l").alias("l"))
-            state = kept.keep(state.join(near, "id", "left").select(*state.columns, F.least(f"l{k}", F.coalesce("l", f"l{k}")).alias(f"l{k + 1}")))
-        state = stored(state, "labels")
+    graph = block_graph(edges.select("src", "dst"), vertices, keep=True)
+    kept, found = Kept(), {}
+
+    def send(ctx: Context, links: DataFrame) -> DataFrame:
+        near = gather(links, ctx.state.withColumnRenamed(f"l{ctx.round % ROUNDS_PER_JOB}", "l"), "l")
+        return near.select(F.col("dst").alias("id"), "l")
+
+    def after(ctx: Context, updates: DataFrame) -> bool:
+        k = ctx.round % ROUNDS_PER_JOB
+        joined = ctx.state.join(scatter(updates, "l", "min"), "id", "left")
+        ctx.state = kept.keep(joined.select(*ctx.state.columns, F.least(f"l{k}", F.coalesce("l", f"l{k}")).alias(f"l{k + 1}")))
+        if k + 1 < ROUNDS_PER_JOB:
+            return True
+        state = stored(ctx.state, "labels")
         kept.release()
-        changes = state.agg(*(F.sum((F.col(f"l{k}") != F.col(f"l{k + 1}")).cast("long")) for k in range(ROUNDS_PER_JOB))).first()
-        for n in changes:
+        changes = state.agg(*(F.sum((F.col(f"l{j}") != F.col(f"l{j + 1}")).cast("long")) for j in range(ROUNDS_PER_JOB))).first()
+        for j, n in enumerate(changes):
+            turn = ctx.round - k + j
             if log is not None:
                 log.append((turn, "spread", n or 0))
-            turn += 1
-            if not n or turn >= max_rounds:
-                return state.select("id", F.col(f"l{ROUNDS_PER_JOB}").alias("component"))
-        state = state.select("id", F.col(f"l{ROUNDS_PER_JOB}").alias("l0"))
-
-
-def components_sampled(edges: DataFrame, vertices: DataFrame, neighbour_rounds: int = 2, sample: int = 1024, seed: int = 1, log: list | None = None) -> DataFrame:
+            if not n or turn + 1 >= max_rounds:
+                found["labels"] = state.select("id", F.col(f"l{ROUNDS_PER_JOB}").alias("component"))
+                return False
+        ctx.state = state.select("id", F.col(f"l{ROUNDS_PER_JOB}").alias("l0"))
+        return True
+
+    run(combining(send, "min", after, static=True), graph, _start(vertices).select("id", F.col("component").alias("l0")), lane)
+    return found["labels"]
+
+
+def _few_neighbours(links: DataFrame, rounds: int) -> DataFrame:
+    """Up to ``rounds`` links per end of every vertex: to its least larger and its greatest smaller neighbours, found by sums that
+    Spark combines before the shuffle, so that a hub's neighbours are never brought together."""
+    out, up, down = None, links, links
+    for k in range(rounds):
+        low, high = up.groupBy("a").agg(F.min("b").alias("b")), down.groupBy("b").agg(F.max("a").alias("a")).select("a", "b")
+        one = low.unionByName(high)
+        out = one if out is None else out.unionByName(one)
+        if k + 1 < rounds:
+            up = up.join(low.withColumnRenamed("b", "seen"), "a").where("b > seen").drop("seen")
+            down = down.join(high.withColumnRenamed("a", "seen"), "b").where("a < seen").select("a", "b")
+    return out.distinct()
+
+
+def components_sampled(
+    edges: DataFrame, vertices: DataFrame, neighbour_rounds: int = 1, sample: int = 1024, seed: int = 1, log: list | None = None, lane: str = "light", finish: str | None = None
+) -> DataFrame:
     """Join over a few neighbours of each vertex first, find the likely giant in a sample of labels, and then move only edges
-    with an end outside it. Labels never depend on the sample: an edge inside the giant joins nothing."""
-    both = symmetric(edges.select("src", "dst"))
-    place = F.row_number().over(W.partitionBy("src").orderBy("dst"))
-    few = both.withColumn("k", place).where(F.col("k") <= neighbour_rounds).select("src", "dst")
-    labels = stored(_hook_rounds(stored(_links(few).distinct(), "links"), _start(vertices), log), "labels")
+    with an end outside it. Labels never depend on the sample: an edge inside the giant joins nothing.
+
+    The first phase runs in ``lane``, the last one in ``finish`` (the same one if absent)."""
+    links = stored(_links(edges), "links")
+    labels = stored(_hook_rounds(stored(_few_neighbours(links, neighbour_rounds), "links"), _start(vertices), log, lane=lane), "labels")
     drawn = labels.orderBy(int_hash(F.pmod("id", F.lit(PRIME)), seed), "id").limit(sample)
     top = drawn.groupBy("component").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "component").first()
-    giant = None if top is None else top.component
-    outside = labels.where(F.col("component") != giant) if giant is not None else labels
-    # Both directions are stored, so an edge with one end outside is found at that end.
-    rest = both.join(outside.select(F.col("id").alias("src")), "src", "left_semi")
+    outside = labels.where(F.col("component") != top.component) if top is not None else labels
+    outside = stored(outside.select(F.col("id").alias("v")), "outside")
+    # Mostly a small table: then a broadcast one, and the links stay where they are.
+    first = links.join(outside, F.col("a") == F.col("v"), "left_semi")
+    second = links.join(outside, F.col("b") == F.col("v"), "left_semi")
+    rest = stored(first.unionByName(second).distinct(), "rest")
     if log is not None:
-        log.append((-1, "skipped", both.count() - rest.count()))
-        log.append((-1, "edges", both.count()))
-    links = stored(_lift(_links(rest).distinct(), labels), "links")
-    return _hook_rounds(links, labels, log)
+        total = links.count()
+        log.append((-1, "skipped", total - rest.count()))
+        log.append((-1, "edges", total))
+    return _hook_rounds(stored(_lift(rest, labels), "links"), labels, log, lane=finish or lane)
 
 
-def components_decompose(edges: DataFrame, vertices: DataFrame, beta: float = 0.4, seed: int = 1, log: list | None = None, max_rounds: int = 3) -> DataFrame:
+def components_decompose(edges: DataFrame, vertices: DataFrame, beta: float = 0.4, seed: int = 1, log: list | None = None, max_rounds: int = 60) -> DataFrame:
     """Low-diameter decomposition: vertices start balls at seeded, exponentially spread times, balls grow step by step over
-    free vertices, are contracted, and the rest is decomposed again, ``max_rounds`` times. Labels are turned to least members at the end."""
+    free vertices, are contracted, and the rest is decomposed again until no link is left. Several steps per job. Labels are turned
+    to least members at the end."""
     links = stored(_links(edges), "links")
     labels = _start(vertices)
     for turn in range(max_rounds):
         nodes = stored(links.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "nodes")
-        if not nodes.limit(1).count():
+        if nodes.isEmpty():
             break
         # Start time: a vertex of shift s starts at (largest shift - s), if it is free then. Shifts are exponential, in whole steps.
-        u = (int_hash(F.pmod("id", F.lit(PRIME)), seed + turn, 3) + 1) / (PRIME + 1.0)
-        shift = F.floor(-F.log(u) / beta)
-        shifted = stored(nodes.withColumn("shift", shift.cast("long")), "nodes")
+        # Each turn multiplies by another power: ids that share a start once are not tied to do so again.
+        u = (int_hash(F.pmod("id", F.lit(PRIME)), seed + turn, 3 + turn) + 1) / (PRIME + 1.0)
+        shifted = stored(nodes.withColumn("shift", F.floor(-F.log(u) / beta).cast("long")), "nodes")
         last = shifted.agg(F.max("shift")).first()[0]
-        begin = stored(shifted.select("id", (F.lit(last) - F.col("shift")).alias("begin")), "nodes")
-        both = stored(links.select("a", "b").unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b"))), "links")
-        owned = nodes.sparkSession.createDataFrame([], "id long, centre long")
-        for step in range(int(last) + 1):
-            started = begin.where(F.col("begin") == step).select("id", F.col("id").alias("centre"))
-            grown = both.join(owned.withColumnRenamed("id", "a"), "a").select(F.col("b").alias("id"), "centre")
-            new = grown.unionByName(started).groupBy("id").agg(F.min("centre").alias("centre")).join(owned.select("id"), "id", "left_anti")
-            owned = stored(owned.unionByName(new), "balls")
+        state = shifted.select("id", (F.lit(last) - F.col("shift")).alias("begin"), F.lit(None).cast("long").alias("centre"))
+        both = bucketed(links.select("a", "b").unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b"))), "a", "links")
+        step, kept = 0, Kept()
+        while step <= last:
+            for _ in range(STEPS_PER_JOB):
+                near = both.join(state.where("centre is not null").select(F.col("id").alias("a"), "centre"), "a").groupBy(F.col("b").alias("id")).agg(F.min("centre").alias("near"))
+                started = F.when(F.col("begin") == step, F.col("id"))
+                state = kept.keep(state.join(near, "id", "left").select("id", "begin", F.coalesce("centre", F.least("near", started)).alias("centre")))
+                step += 1
+            state = stored(state, "balls")
+            kept.release()
+            if state.where("centre is null").isEmpty():
+                break
         if log is not None:
-            log.append((turn, "balls", owned.select("centre").distinct().count()))
-        as_labels = owned.select("id", F.col("centre").alias("component"))
-        labels = stored(labels.join(owned.select(F.col("id").alias("component"), "centre"), "component", "left").select("id", F.coalesce("centre", "component").alias("component")), "labels")
-        links = stored(_lift(links, as_labels), "links")
-    # What few links are left after that are joined by hooks.
-    labels = _hook_rounds(links, labels, log)
+            log.append((turn, "balls", state.select("centre").distinct().count()))
+        labels = stored(labels.join(state.select(F.col("id").alias("component"), "centre"), "component", "left").select("id", F.coalesce("centre", "component").alias("component")), "labels")
+        links = stored(_lift(links, state.select("id", F.col("centre").alias("component"))), "links")
+    else:
+        labels = _hook_rounds(links, labels, log)
     least = labels.groupBy("component").agg(F.min("id").alias("least"))
     return labels.join(least, "component").select("id", F.col("least").alias("component"))
 

@@ -24,21 +24,29 @@ def _light(ctx: Context, edges: DataFrame) -> DataFrame:
     return uv.join(uw, ["list_id", "u"]).where("v < w").join(vw, ["list_id", "v", "w"]).groupBy("list_id").agg(F.count("*").alias("value"))
 
 
+#: Wedges that a heavy kernel holds at a time.
+WEDGES = 1 << 22
+
+
 def _count_list(pdf: pd.DataFrame) -> pd.DataFrame:
-    """Triangles of one list: sorted adjacency of the second and third block, intersected edge by edge."""
-    def adjacency(position: int):
-        part = pdf[pdf["position"] == position].sort_values(["src", "dst"])
-        src, dst = part["src"].to_numpy(), part["dst"].to_numpy()
-        keys, at = np.unique(src, return_index=True)
-        return dict(zip(keys.tolist(), np.split(dst, at[1:]), strict=True)) if len(keys) else {}
-
-    of_u, of_v = adjacency(1), adjacency(2)
-    first = pdf[pdf["position"] == 0]
-    total = 0
-    for u, v in zip(first["src"].tolist(), first["dst"].tolist(), strict=True):
-        a, b = of_u.get(u), of_v.get(v)
-        if a is not None and b is not None:
-            total += len(np.intersect1d(a, b, assume_unique=True))
+    """Triangles of one list: sorted edges of the second block, walked for each edge of the first, and looked up in the third."""
+    parts = [pdf[pdf["position"] == k][["src", "dst"]].to_numpy().T for k in range(3)]
+    (u, v), (us, uw), (vs, vw) = parts
+    order = np.lexsort((uw, us))
+    us, uw = us[order], uw[order]
+    names = np.unique(np.concatenate([vs, vw, v, uw]))
+    closing = np.sort(np.searchsorted(names, vs) * len(names) + np.searchsorted(names, vw))
+    v_at, w_at = np.searchsorted(names, v) * len(names), np.searchsorted(names, uw)
+    low, n = np.searchsorted(us, u), np.searchsorted(us, u, "right") - np.searchsorted(us, u)
+    done, total, upto = 0, 0, np.cumsum(n)
+    while done < len(u) and len(closing):
+        end = max(done + 1, int(np.searchsorted(upto, (upto[done - 1] if done else 0) + WEDGES, "right")))
+        k = n[done:end]
+        at = np.arange(k.sum()) + np.repeat(low[done:end] - (np.cumsum(k) - k), k)
+        keys = np.repeat(v_at[done:end], k) + w_at[at]
+        place = np.minimum(np.searchsorted(closing, keys), len(closing) - 1)
+        total += int(np.count_nonzero(closing[place] == keys))
+        done = end
     return pd.DataFrame({"list_id": [pdf["list_id"].iloc[0]], "value": [total]})
 
 
@@ -128,3 +136,14 @@ def butterflies(edges: DataFrame) -> DataFrame:
     side, centre = ("even", "odd") if cost["even"] <= cost["odd"] else ("odd", "even")
     pairs = e.join(e.withColumnRenamed(side, "other"), centre).where(F.col(side) < F.col("other")).groupBy(side, "other").agg(F.count("*").alias("c"))
     return pairs.agg(F.coalesce(F.sum((F.col("c") * (F.col("c") - 1) / 2).cast("decimal(38,0)")), F.lit(0)).cast("long").alias("butterflies"))
+
+
+def butterflies_per_vertex(edges: DataFrame) -> DataFrame:
+    """(id, butterflies) of the vertices of both sides that lie on any: pairs of a side with two common neighbours or more."""
+    e = edges.select(F.when(F.col("src") % 2 == 0, F.col("src")).otherwise(F.col("dst")).alias("even"), F.when(F.col("src") % 2 == 0, F.col("dst")).otherwise(F.col("src")).alias("odd"))
+    out = None
+    for side, centre in (("even", "odd"), ("odd", "even")):
+        pairs = e.join(e.withColumnRenamed(side, "other"), centre).where(F.col(side) < F.col("other")).groupBy(side, "other").agg(F.count("*").alias("c")).where("c > 1")
+        one = pairs.select(F.explode(F.array(side, "other")).alias("id"), (F.col("c") * (F.col("c") - 1) / 2).cast("long").alias("n"))
+        out = one if out is None else out.unionByName(one)
+    return out.groupBy("id").agg(F.sum("n").alias("butterflies"))

@@ -5,16 +5,14 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.blocks import BlockedGraph
-from ..plans.program import COMBINERS
+from ..plans.program import merge
 
 
-def gather(graph: BlockedGraph, state: DataFrame, column: str, side: str = "src") -> DataFrame:
-    """Edges with the attribute of one end: the owner stripe's rows go to all blocks of its row (or column)."""
-    return graph.blocks.join(state.select(F.col("id").alias(side), F.col(column)), side)
+def gather(edges: DataFrame, state: DataFrame, column: str, side: str = "src") -> DataFrame:
+    """Edges with the attribute of one end. Blocks lie in buckets of the source, so only the attribute rows move."""
+    return edges.join(state.select(F.col("id").alias(side), F.col(column)), side)
 
 
 def scatter(updates: DataFrame, column: str, combiner: str = "sum") -> DataFrame:
-    """(dst, value) updates of blocks, combined inside each block and then along the column of blocks: (id, value)."""
-    one = updates.groupBy("block_id", "dst").agg(COMBINERS[combiner](column).alias(column))
-    return one.groupBy(F.col("dst").alias("id")).agg(COMBINERS[combiner](column).alias(column))
+    """(id, value) of updates: combined where the blocks lie, then along the columns of blocks, in one exchange."""
+    return merge(updates, ["id"], column, combiner)

@@ -17,10 +17,10 @@ EDGES = {
         UNION ALL SELECT 4*c_custkey+1, 4*c_nationkey::BIGINT+2 FROM customer UNION ALL SELECT 4*n_nationkey::BIGINT+2, 4*n_regionkey::BIGINT+3 FROM nation)""",
     "embed_cos": """SELECT x.vec_id AS a, y.vec_id AS b FROM embeddings x JOIN embeddings y ON x.vec_id < y.vec_id
         WHERE list_cosine_similarity(x.embedding::DOUBLE[], y.embedding::DOUBLE[]) >= 0.3""",
-    "doc_line": """SELECT DISTINCT x.doc_id AS a, y.doc_id AS b FROM hashed x JOIN hashed y USING (h) JOIN (SELECT h FROM hashed GROUP BY h HAVING count(*) BETWEEN 2 AND 50) k USING (h)
-        WHERE x.doc_id < y.doc_id""",
+    "doc_line": """SELECT x.doc_id AS a, y.doc_id AS b FROM hashed x JOIN hashed y USING (h) JOIN held k USING (h) WHERE n <= 50 AND x.doc_id < y.doc_id
+        UNION SELECT least, doc_id FROM hashed JOIN held USING (h) WHERE n > 50 AND doc_id > least""",
 }
-HASHED = "hashed AS (SELECT DISTINCT doc_id, md5(trim(line)) AS h FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE length(trim(line)) >= 40)"
+HASHED = "hashed AS (SELECT DISTINCT doc_id, md5(trim(line)) AS h FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE length(trim(line)) >= 40), held AS (SELECT h, count(*) AS n, min(doc_id) AS least FROM hashed GROUP BY h HAVING count(*) > 1)"
 
 
 def graph(name: str, rest: str) -> str:
@@ -107,15 +107,48 @@ def butterflies(name: str) -> str:
       w AS (SELECT x.s AS s1, y.s AS s2, count(*) AS c FROM q x JOIN q y ON y.p = x.p AND x.s < y.s GROUP BY 1, 2) SELECT coalesce(sum(c * (c - 1) // 2), 0)::BIGINT AS butterflies FROM w""")
 
 
+def _along_curve(side: int) -> list[tuple[int, int]]:
+    """Cells of a Hilbert curve over a square, in order: four smaller curves, the first and the last one turned."""
+    if side == 1:
+        return [(0, 0)]
+    half, small = side // 2, _along_curve(side // 2)
+    return (
+        [(y, x) for x, y in small] + [(x, y + half) for x, y in small] + [(x + half, y + half) for x, y in small] + [(side - 1 - y, half - 1 - x) for x, y in small]
+    )
+
+
 def manifest(name: str, p: int, order: str = "row") -> str:
     """Uniform cuts from 0: stripe = id p // (max + 1)."""
-    number = f"i * {p} + j" if order == "row" else " + ".join(f"((i >> {k}) & 1) * {2 << 2 * k} + ((j >> {k}) & 1) * {1 << 2 * k}" for k in range(max(1, (p - 1).bit_length())))
+    number = {
+        "row": f"i * {p} + j",
+        "morton": " + ".join(f"((i >> {k}) & 1) * {2 << 2 * k} + ((j >> {k}) & 1) * {1 << 2 * k}" for k in range(max(1, (p - 1).bit_length()))),
+        "hilbert": "CASE " + " ".join(f"WHEN i = {y} AND j = {x} THEN {k}" for k, (x, y) in enumerate(_along_curve(1 << max(1, (p - 1).bit_length())))) + " END",
+    }[order]
     return graph(name, f""", m AS (SELECT max(src) + 1 AS m FROM s), b AS (SELECT src * {p} // m AS i, dst * {p} // m AS j, src, dst FROM s, m)
       SELECT ({number})::BIGINT AS block_id, i::INTEGER AS row, j::INTEGER AS col, ((i * any_value(m) + {p - 1}) // {p})::BIGINT AS src_lo, (((i + 1) * any_value(m) + {p - 1}) // {p})::BIGINT AS src_hi,
         ((j * any_value(m) + {p - 1}) // {p})::BIGINT AS dst_lo, (((j + 1) * any_value(m) + {p - 1}) // {p})::BIGINT AS dst_hi, count(*)::BIGINT AS n_edges,
         count(DISTINCT src)::BIGINT AS n_src, count(DISTINCT dst)::BIGINT AS n_dst, (16 * count(*))::BIGINT AS bytes FROM b, m GROUP BY i, j""")
 
 
+def hits(name: str, rounds: int) -> str:
+    """Half steps one after another, each scaled to length 1."""
+    steps, hub = [], "SELECT id, 1.0::DOUBLE AS x FROM v"
+    for k in range(rounds):
+        for kind, by, to in (("a", "src", "dst"), ("h", "dst", "src")):
+            before = f"({hub})" if not steps else steps[-1].split(" AS ")[0]
+            steps.append(f"{kind}{k} AS MATERIALIZED (SELECT id, x / sqrt(sum(x * x) OVER ()) AS x FROM (SELECT s.{to} AS id, sum(r.x) AS x FROM s JOIN {before} r ON r.id = s.{by} GROUP BY s.{to}))")
+    return graph(name, f", {', '.join(steps)} SELECT v.id::BIGINT AS id, round(h.x, 6) AS hub, round(a.x, 6) AS authority FROM v JOIN h{rounds - 1} h USING (id) JOIN a{rounds - 1} a USING (id)")
+
+
+def lightest_first(weighed: str, bins: int) -> str:
+    """Lists in falling weight, each into the lightest bin so far. ``weighed`` has (list_id, weight)."""
+    return f"""WITH RECURSIVE w AS ({weighed}), o AS (SELECT weight, row_number() OVER (ORDER BY weight DESC, list_id) AS i FROM w),
+      r(i, loads, lists) AS (SELECT 0, list_transform(range({bins}), lambda x: 0.0::DOUBLE), list_transform(range({bins}), lambda x: 0::BIGINT) UNION ALL
+        SELECT r.i + 1, list_transform(range({bins}), lambda x: loads[x + 1] + CASE WHEN x + 1 = list_position(loads, list_min(loads)) THEN o.weight ELSE 0 END),
+          list_transform(range({bins}), lambda x: lists[x + 1] + CASE WHEN x + 1 = list_position(loads, list_min(loads)) THEN 1 ELSE 0 END) FROM r JOIN o ON o.i = r.i + 1)
+      SELECT k::INTEGER AS bin, lists[k + 1]::BIGINT AS lists, loads[k + 1] AS weight FROM (SELECT loads, lists FROM r ORDER BY i DESC LIMIT 1), range({bins}) t(k) WHERE lists[k + 1] > 0"""
+
+
 def lists_triangle(name: str, p: int) -> str:
     return graph(name, f""", m AS (SELECT max(src) + 1 AS m FROM s), b AS (SELECT DISTINCT src * {p} // m AS i, dst * {p} // m AS j FROM s, m WHERE src * {p} // m <= dst * {p} // m)
       SELECT (x.i * {p} + x.j)::BIGINT AS first, (y.i * {p} + y.j)::BIGINT AS second, (z.i * {p} + z.j)::BIGINT AS third FROM b x JOIN b y ON y.i = x.i JOIN b z ON z.i = x.j AND z.j = y.j""")

@@ -11,7 +11,7 @@ from ..functions.bits import ORDERS
 from ..operators.prepare import endpoints, symmetric
 from . import cuts as cutting
 from .cuts import Cuts
-from .store import stored
+from .store import bucketed
 
 EDGE_BYTES = 16
 
@@ -25,6 +25,8 @@ class BlockedGraph:
     vertices: DataFrame
     cuts: Cuts
     layout: str = "2d"
+    #: Whether the blocks lie in buckets of the source, in the order of (src, dst).
+    kept: bool = False
 
     @property
     def p(self) -> int:
@@ -37,7 +39,8 @@ def block_graph(
     """Assign every directed edge to one block.
 
     ``2d``: the same cuts on both axes. ``1d``: destinations are cut, every row of blocks is one stripe wide, so a
-    destination's sum needs no merge across blocks. ``keep`` writes the blocks to the shared folder first.
+    destination's sum needs no merge across blocks. ``keep`` writes the blocks to the shared folder first, in buckets of the
+    source, so that a round moves attributes to the edges and never edges.
     """
     if order not in ORDERS:
         raise ValueError(f"unknown block order {order!r}")
@@ -50,9 +53,22 @@ def block_graph(
     placed = both.select(row.alias("row"), chosen.stripe("dst").alias("col"), "src", "dst", *rest)
     blocks = placed.select("row", "col", ORDERS[order](F.col("row"), F.col("col"), chosen.p).cast("long").alias("block_id"), "src", "dst", *rest)
     if keep:
-        blocks = stored(blocks.repartition("row", "col").sortWithinPartitions("row", "col", "src", "dst"), "blocks")
+        blocks = bucketed(blocks, "src", order=["src", "dst"])
     nodes = (vertices if vertices is not None else endpoints(edges)).select("id", chosen.stripe("id").alias("stripe"))
-    return BlockedGraph(blocks, manifest_of(blocks, chosen, layout), nodes, chosen, layout)
+    return BlockedGraph(blocks, manifest_of(blocks, chosen, layout), nodes, chosen, layout, keep)
+
+
+def sizes_of(blocks: DataFrame) -> DataFrame:
+    """The part of the manifest that planning needs: a row per block with its place, edges and bytes."""
+    return blocks.groupBy("block_id", "row", "col").agg(F.count("*").alias("n_edges")).withColumn("bytes", F.col("n_edges") * EDGE_BYTES)
+
+
+def placed(links: DataFrame, cuts: Cuts | None) -> BlockedGraph:
+    """A graph over links (a, b) as they are, for programs whose edges change with the rounds. Without cuts it is one block."""
+    row, col = (cuts.stripe("a"), cuts.stripe("b")) if cuts else (F.lit(0), F.lit(0))
+    blocks = links.select(row.alias("row"), col.alias("col"), F.col("a").alias("src"), F.col("b").alias("dst"))
+    blocks = blocks.withColumn("block_id", (F.col("row") * (cuts.p if cuts else 1) + F.col("col")).cast("long"))
+    return BlockedGraph(blocks, sizes_of(blocks), None, cuts)
 
 
 def manifest_of(blocks: DataFrame, cuts: Cuts, layout: str = "2d") -> DataFrame:

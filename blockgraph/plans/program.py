@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import planner
-from .blocklists import compose_where, lists_single, members
+from .blocklists import compose_where, lists_active, lists_single, members
 from .blocks import BlockedGraph
 from .store import stored
 
@@ -49,6 +49,8 @@ class BlockProgram:
     ``light(ctx, edges)`` and ``heavy(ctx, edges)`` return update rows for the edges of their lists (with ``list_id`` and
     ``position``); one may be absent. Lists come from ``lists(ctx)`` or from a predicate (``lists_where`` with ``size``).
     ``before(ctx)`` runs ahead of a round; ``after(ctx, updates)`` behind it, and tells whether another follows.
+    ``active(ctx)`` names the stripes whose rows of blocks make the lists of a round. ``static`` lists are planned once. ``lazy`` updates are not stored: ``after`` gets them as a plan and may let several
+    rounds grow into one job.
     """
 
     light: Callable | None = None
@@ -59,10 +61,15 @@ class BlockProgram:
     after: Callable | None = None
     weight: str = "n_edges"
     size: int = 1
+    static: bool = False
+    lazy: bool = False
+    active: Callable | None = None
 
     def __post_init__(self) -> None:
         if self.light is None and self.heavy is None:
             raise ValueError("a program needs a light or a heavy kernel")
+        if self.active:
+            self.lists = lambda ctx: lists_active(ctx.graph.manifest, self.active(ctx)) if ctx.graph.layout == "2d" else single(ctx)
         if self.lists is None and self.lists_where is None:
             raise ValueError("a program needs lists or a predicate for lists")
 
@@ -112,32 +119,44 @@ def submit_lanes(jobs: list[Callable], max_jobs: int = MAX_JOBS) -> list:
         return [f.result() for f in [pool.submit(j) for j in jobs]]
 
 
-def run(program: BlockProgram, graph: BlockedGraph, state: DataFrame | None = None, lane: str = "light", max_rounds: int = 1000, **planning) -> Context:
-    """Rounds until ``after`` says stop (one round without it). Lanes and waves of a round are separate jobs; updates are their union."""
+def _parts(program: BlockProgram, ctx: Context, planning: dict) -> list[tuple[Callable, DataFrame]]:
+    """Kernels with the edges of their lists. Where all blocks go to one lane alone, there is nothing to plan."""
+    if ctx.lane != "both" and (program.active or program.lists is single) and not planning:
+        kernel = program.light if program.heavy is None or (ctx.lane == "light" and program.light) else program.heavy
+        rows = program.active(ctx) if program.active and ctx.graph.layout == "2d" else None
+        return [(kernel, ctx.graph.blocks if rows is None else ctx.graph.blocks.where(F.col("row").isin(rows)))]
+    lists = stored(plan(program, ctx, ctx.lane, **planning), "lists")
+    waves = [r.wave for r in lists.select("wave").distinct().orderBy("wave").collect()] if "wave" in lists.columns else [None]
+    parts = []
+    for name, kernel in (("light", program.light), ("heavy", program.heavy)):
+        for wave in waves if kernel else ():
+            mine = lists.where(F.col("lane") == name)
+            mine = mine if wave is None else mine.where(F.col("wave") == wave)
+            parts.append((kernel, edges_of(ctx, mine.select("list_id", "blocks"))))
+    return parts
+
+
+def run(program: BlockProgram, graph: BlockedGraph, state: DataFrame | None = None, lane: str = "light", max_rounds: int = 1_000_000, ctx: Context | None = None, **planning) -> Context:
+    """Rounds until ``after`` says stop (one round without it). Lanes and waves of a round are separate jobs, unless updates are lazy; updates are their union."""
     if lane not in planner.LANES:
         raise ValueError(f"unknown lane {lane!r}")
-    ctx = Context(graph, state, lane=lane)
+    ctx = ctx or Context(graph, state, lane=lane)
+    parts = None
     while ctx.round < max_rounds:
         began = time.time()
         if program.before:
             program.before(ctx)
-        lists = stored(plan(program, ctx, ctx.lane, **planning), "lists")
-        parts = []
-        waves = [r.wave for r in lists.select("wave").distinct().orderBy("wave").collect()] if "wave" in lists.columns else [None]
-        for name, kernel in (("light", program.light), ("heavy", program.heavy)):
-            if kernel is None:
-                continue
-            for wave in waves:
-                mine = lists.where(F.col("lane") == name)
-                mine = mine if wave is None else mine.where(F.col("wave") == wave)
-                parts.append(lambda kernel=kernel, mine=mine: stored(kernel(ctx, edges_of(ctx, mine.select("list_id", "blocks"))), "updates"))
-        done = submit_lanes(parts)
+        parts = parts if program.static and parts else _parts(program, ctx, planning)
+        if program.lazy:
+            done = [kernel(ctx, edges) for kernel, edges in parts]
+        else:
+            done = submit_lanes([lambda kernel=kernel, edges=edges: stored(kernel(ctx, edges), "updates") for kernel, edges in parts])
         updates = done[0]
         for more in done[1:]:
             updates = updates.unionByName(more)
-        go_on = bool(program.after and program.after(ctx, updates))
         ctx.globals["updates"] = updates
-        ctx.note("round", "seconds", time.time() - began, seconds=time.time() - began)
+        go_on = bool(program.after and program.after(ctx, updates))
+        ctx.note("round", "seconds", time.time() - began, lists=len(parts), seconds=time.time() - began)
         ctx.round += 1
         if not go_on:
             break

@@ -31,6 +31,26 @@ def stored(df: DataFrame, name: str = "round") -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def bucketed(df: DataFrame, key: str, name: str = "blocks", order: list[str] | None = None) -> DataFrame:
+    """Write ``df`` in buckets of ``key``, sorted, and read it as a table: a join on the key moves only the other side.
+
+    There are as many buckets as shuffle partitions, so the session's setting for the scale holds here too.
+    """
+    spark = df.sparkSession
+    n = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    table = f"blockgraph_{name}_{uuid.uuid4().hex}"
+    df.repartition(n, key).write.format("parquet").bucketBy(n, key).sortBy(*(order or [key])).option("path", fresh_path(spark, name)).saveAsTable(table)
+    return spark.table(table)
+
+
+def discard(df: DataFrame) -> None:
+    """Delete the files of a table made by :func:`stored`; no plan may read it afterwards."""
+    spark = df.sparkSession
+    for path in {f.rpartition("/")[0] for f in df.inputFiles()}:
+        target = spark._jvm.org.apache.hadoop.fs.Path(path)
+        target.getFileSystem(spark._jsc.hadoopConfiguration()).delete(target, True)
+
+
 class Kept:
     """Intermediate rounds held in memory (or on disk) between two stored tables, so that each is computed once and
     plans refer to it by name. What a lost executor held is computed again from the last stored table."""

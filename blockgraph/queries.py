@@ -59,7 +59,7 @@ for _g in ("part_supplier", "page_link", "geo_tree"):
 for _g in ("copurchase", "part_supplier"):
     _add(f"manifest_2d_{_g}", lambda s, d, g=_g: _blocked(s, d, g, keep=False).manifest, oracles.manifest(_g, P))
 _add("block_ids_morton", lambda s, d: _blocked(s, d, "copurchase", order="morton", keep=False).manifest, oracles.manifest("copurchase", P, "morton"))
-_add("block_ids_hilbert", lambda s, d: _blocked(s, d, "copurchase", order="hilbert", keep=False).manifest)
+_add("block_ids_hilbert", lambda s, d: _blocked(s, d, "copurchase", order="hilbert", keep=False).manifest, oracles.manifest("copurchase", P, "hilbert"))
 
 
 def _cuts_1d(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -155,9 +155,12 @@ def _bins(spark: SparkSession, sf_dir: str) -> DataFrame:
     return planner.bins_lpt(planner.weigh(blocklists.lists_pattern(g.manifest), g.manifest), 4).groupBy("bin").agg(F.count("*").alias("lists"), F.sum("weight").alias("weight"))
 
 
-_add("plan_bins_lpt", _bins)
+_TRIPLES = f"""SELECT row_number() OVER (ORDER BY first, second, third) - 1 AS list_id, (x.n_edges + y.n_edges + z.n_edges)::DOUBLE AS weight FROM ({oracles.lists_triangle('copurchase', P)}) l
+  JOIN m x ON x.block_id = first JOIN m y ON y.block_id = second JOIN m z ON z.block_id = third"""
+_add("plan_bins_lpt", _bins, oracles.lightest_first(f"WITH m AS ({oracles.manifest('copurchase', P)}) {_TRIPLES}", 4))
 _add("plan_report", lambda s, d: program.explain(program.BlockProgram(light=lambda c, e: e, heavy=lambda c, e: e, lists=program.single), _blocked(s, d, "copurchase")))
-_add("density_classes", lambda s, d: planner.classify_density(_blocked(s, d, "part_supplier", keep=False).manifest).groupBy("kind").agg(F.count("*").alias("blocks"), F.sum("n_edges").alias("edges")))
+_add("density_classes", lambda s, d: planner.classify_density(_blocked(s, d, "part_supplier", keep=False).manifest).groupBy("kind").agg(F.count("*").alias("blocks"), F.sum("n_edges").alias("edges")), f"""SELECT CASE WHEN n >= 0.1 THEN 'dense' WHEN n >= 0.001 THEN 'light' ELSE 'sparse' END AS kind, count(*)::BIGINT AS blocks, sum(n_edges)::BIGINT AS edges
+  FROM (SELECT n_edges, n_edges / ((src_hi - src_lo) * (dst_hi - dst_lo)) AS n FROM ({oracles.manifest('part_supplier', P)})) GROUP BY 1""")
 
 # PageRank and HITS
 
@@ -201,36 +204,31 @@ def _rank_log(s: SparkSession, d: str) -> DataFrame:
 
 
 _add("pagerank_round_log", _rank_log, oracles.pagerank("copurchase").rpartition("SELECT id::BIGINT")[0] + "SELECT g.step::INTEGER AS round, round(delta, 8) AS delta FROM g, t WHERE g.step <= t.step")
-_add("hits_page_link", lambda s, d: pr.hits(_blocked(s, d, "page_link"), 5).select("id", F.round("hub", 6).alias("hub"), F.round("authority", 6).alias("authority")))
+_add("hits_page_link", lambda s, d: pr.hits(_blocked(s, d, "page_link"), 5).select("id", F.round("hub", 6).alias("hub"), F.round("authority", 6).alias("authority")), oracles.hits("page_link", 5))
 
 # Components
 
-_HOOKED = ("copurchase", "part_supplier", "page_link", "order_chain", "event_chain", "geo_tree", "embed_cos", "doc_line")
-for _g in _HOOKED:
-    for _m in ("hook", "sampled"):
+for _g in graphs.EDGES:
+    for _m in cc.METHODS:
         _add(f"components_{_m}_{_g}", lambda s, d, g=_g, m=_m: cc.METHODS[m](e := _edges(s, d, g), _nodes(e)), oracles.components(_g))
-for _g in ("copurchase", "part_supplier", "order_chain", "geo_tree", "doc_line"):
-    _add(f"components_spread_{_g}", lambda s, d, g=_g: cc.components_spread(e := _edges(s, d, g), _nodes(e)), oracles.components(_g))
-for _g in ("copurchase", "page_link", "order_chain", "embed_cos", "doc_line"):
-    _add(f"components_fast_hook_{_g}", lambda s, d, g=_g: cc.components_fast_hook(e := _edges(s, d, g), _nodes(e)), oracles.components(_g))
-for _g in ("copurchase", "doc_line"):
-    _add(f"components_decompose_{_g}", lambda s, d, g=_g: cc.components_decompose(e := _edges(s, d, g), _nodes(e)), oracles.components(_g))
 _add("components_block_local_copurchase", lambda s, d: models.block_local_components(_blocked(s, d, "copurchase")), oracles.components("copurchase"))
 _add("components_vertex_program_doc_line", lambda s, d: models.vertex_program(symmetric(e := _edges(s, d, "doc_line")), _nodes(e).select("id", F.col("id").alias("value")), F.col("value"), F.min, F.least("value", F.coalesce("message", "value"))).withColumnRenamed("value", "component"), oracles.components("doc_line"))
 _add("components_edge_program_embed_cos", lambda s, d: models.edge_program(symmetric(e := _edges(s, d, "embed_cos")), _nodes(e).select("id", F.col("id").alias("value")), F.col("a"), F.min).withColumnRenamed("value", "component"), oracles.components("embed_cos"))
 
 
 def _round_counts(s: SparkSession, d: str) -> DataFrame:
-    """Rounds of each method; the last, idle one counts."""
+    """Rounds of each method, jumps between hooks among them; the last, idle one counts."""
     out = []
-    for g in ("doc_line",):
+    for g in ("doc_line", "order_chain"):
         e = _edges(s, d, g)
         v = stored(_nodes(e), "nodes")
-        for m in ("hook", "spread"):
+        for m in ("hook", "fast_hook", "spread"):
             log: list = []
             cc.METHODS[m](e, v, log=log)
-            out.append((g, m, len(log)))
-    return s.createDataFrame(out, "graph string, method string, rounds int")
+            for step in ("hook", "link", "spread"):
+                if n := sum(x[1] == step for x in log):
+                    out.append((g, m, step, n))
+    return s.createDataFrame(out, "graph string, method string, step string, rounds int")
 
 
 _add("components_round_counts", _round_counts)
@@ -266,20 +264,47 @@ for _g in graphs.EDGES:
     _add(f"bfs_down_{_g}", lambda s, d, g=_g: _bfs(s, d, g, "down"), oracles.bfs(_g))
 for _g in ("copurchase", "part_supplier", "geo_tree"):
     _add(f"bfs_level_histogram_{_g}", lambda s, d, g=_g: tv.level_histogram(_bfs(s, d, g, "down")), oracles.level_histogram(_g))
-for _g in ("copurchase", "part_supplier", "embed_cos", "geo_tree", "doc_line"):
+for _g in graphs.EDGES:
     for _m in ("auto", "up", "by_lane"):
         _add(f"bfs_{_m}_{_g}", lambda s, d, g=_g, m=_m: _bfs(s, d, g, m), oracles.bfs(_g))
 _add("bfs_flat_copurchase", lambda s, d: flat.bfs(e := _edges(s, d, "copurchase"), _nodes(e), _source(e)), oracles.bfs("copurchase"))
 
 
 def _bfs_work(s: SparkSession, d: str) -> DataFrame:
-    log: list = []
+    """Edges that either direction reads on each level of the co-purchase graph: all of the frontier's; or, of every unvisited vertex,
+    those into stripes that hold a part of the frontier, up to its first neighbour there."""
+    e = _edges(s, d, "copurchase")
+    g = block_graph(e, _nodes(e), p=P, keep=True)
+    out = []
+    for direction in ("down", "up"):
+        log: list = []
+        tv.bfs(g, _source(e), direction, log=log)
+        out += [(direction, level, n) for level, step, n in log if step == "edges"]
+    return s.createDataFrame(out, "direction string, level int, edges long")
+
+
+_EXAMINED = f""", d AS (SELECT src AS id, count(*) AS deg FROM s GROUP BY src), k AS (SELECT max(level) AS last FROM t), n AS (SELECT unnest(range(last + 1)) AS level FROM k),
+  m AS (SELECT max(src) + 1 AS m FROM s), f AS (SELECT DISTINCT level, id * {P} // m AS stripe FROM t, m),
+  p AS (SELECT t.id, t.level, min(f.id) AS parent FROM t JOIN s ON s.src = t.id JOIN t f ON f.id = s.dst AND f.level = t.level - 1 GROUP BY t.id, t.level)
+  SELECT 'down' AS direction, t.level::INTEGER AS level, sum(d.deg)::BIGINT AS edges FROM t JOIN d USING (id) GROUP BY t.level
+  UNION ALL SELECT 'up', n.level::INTEGER, count(s.dst)::BIGINT FROM n LEFT JOIN (f CROSS JOIN m JOIN s ON s.dst * {P} // m = f.stripe LEFT JOIN t ON t.id = s.src LEFT JOIN p ON p.id = s.src)
+    ON f.level = n.level AND coalesce(t.level, 1000000) > n.level AND (coalesce(t.level, 1000000) > n.level + 1 OR s.dst <= p.parent) GROUP BY n.level"""
+_add("bfs_edges_examined", _bfs_work, oracles._bfs("copurchase", _EXAMINED))
+
+
+def _bfs_saved(s: SparkSession, d: str) -> DataFrame:
+    """Whether changing direction reads fewer edges than going down all the way."""
     e = _edges(s, d, "copurchase")
-    tv.bfs(block_graph(e, _nodes(e), p=P, keep=True), _source(e), "auto", log=log)
-    return measures.round_log(s, log)
+    g = block_graph(e, _nodes(e), p=P, keep=True)
+    read = {}
+    for direction in ("down", "auto"):
+        log: list = []
+        tv.bfs(g, _source(e), direction, log=log)
+        read[direction] = sum(n for _, step, n in log if step == "edges")
+    return s.createDataFrame([(read["auto"] < read["down"],)], "fewer boolean")
 
 
-_add("bfs_edges_examined", _bfs_work)
+_add("bfs_auto_reads_fewer_edges", _bfs_saved, "SELECT true AS fewer")
 
 
 def _sssp(s: SparkSession, d: str) -> DataFrame:
@@ -310,35 +335,56 @@ _add("kclique4_copurchase", lambda s, d: tc.k_cliques(_edges(s, d, "copurchase")
 _add("ktruss_copurchase", lambda s, d: tc.k_truss(_edges(s, d, "copurchase"), 5))
 _add("ktruss3_embed_cos", lambda s, d: tc.k_truss(_edges(s, d, "embed_cos"), 3), oracles.graph("embed_cos", f"{oracles.ORIENTED} SELECT DISTINCT least(x, y)::BIGINT AS src, greatest(x, y)::BIGINT AS dst FROM (SELECT a AS x, b AS y FROM tri UNION ALL SELECT a, c FROM tri UNION ALL SELECT b, c FROM tri)"))
 _add("butterflies_part_supplier", lambda s, d: tc.butterflies(_edges(s, d, "part_supplier")), oracles.butterflies("part_supplier"))
+_add("butterflies_per_vertex", lambda s, d: tc.butterflies_per_vertex(_edges(s, d, "part_supplier")), oracles.graph("part_supplier", """, w AS (SELECT x.src AS id, y.src AS other, count(*) AS c FROM s x JOIN s y ON y.dst = x.dst AND y.src <> x.src GROUP BY ALL)
+  SELECT id::BIGINT AS id, sum(c * (c - 1) // 2)::BIGINT AS butterflies FROM w GROUP BY id HAVING sum(c * (c - 1) // 2) > 0"""))
 _add("wedges", lambda s, d: (u := orient(_edges(s, d, "doc_line"))).join(u.withColumnRenamed("v", "w"), "u").where("v < w").agg(F.count("*").alias("wedges")), oracles.graph("doc_line", f"{oracles.ORIENTED} SELECT count(*)::BIGINT AS wedges FROM o x JOIN o y ON x.u = y.u AND x.v < y.v"))
 
 # Lanes agree
 
 
+def _differing(results: dict[str, DataFrame]) -> DataFrame:
+    """Rows in which any lane differs from the light one."""
+    light, out = results["light"], None
+    for lane in ("heavy", "both"):
+        one = light.exceptAll(results[lane]).unionByName(results[lane].exceptAll(light))
+        out = one if out is None else out.unionByName(one)
+    return out.agg(F.count("*").alias("differing"))
+
+
 def _lane_triangles(s: SparkSession, d: str) -> DataFrame:
     e = _edges(s, d, "copurchase")
-    counts = {lane: tc.triangles(e, lane=lane).first()[0] for lane in planner.LANES}
-    return s.createDataFrame([(len(set(counts.values())) - 1,)], "differing long")
+    return _differing({lane: tc.triangles(e, lane=lane) for lane in planner.LANES})
 
 
-def _lane_components(s: SparkSession, d: str) -> DataFrame:
-    e = _edges(s, d, "doc_line")
-    a, b = cc.components_hook(e, v := _nodes(e)), models.block_local_components(block_graph(e, v, p=P, keep=True))
-    return a.exceptAll(b).unionByName(b.exceptAll(a)).agg(F.count("*").alias("differing"))
+def _lane_components(s: SparkSession, d: str, method: str) -> DataFrame:
+    e = _edges(s, d, "copurchase")
+    v = stored(_nodes(e), "nodes")
+    return _differing({lane: cc.METHODS[method](e, v, lane=lane) for lane in planner.LANES})
 
 
 def _lane_bfs(s: SparkSession, d: str) -> DataFrame:
-    a, b = _bfs(s, d, "copurchase", "by_lane"), _bfs(s, d, "copurchase", "down")
-    return a.exceptAll(b).unionByName(b.exceptAll(a)).agg(F.count("*").alias("differing"))
+    e = _edges(s, d, "copurchase")
+    g = block_graph(e, _nodes(e), p=P, keep=True)
+    return _differing({lane: tv.bfs(g, _source(e), m) for lane, m in (("light", "down"), ("heavy", "up"), ("both", "by_lane"))})
 
 
 def _lane_pagerank(s: SparkSession, d: str) -> DataFrame:
-    a, b = (_pagerank(s, d, "embed_cos", direction=x) for x in ("pull", "push"))
-    return a.join(b.withColumnRenamed("rank", "other"), "id").where("abs(rank - other) > 1e-7").agg(F.count("*").alias("differing"))
+    """In whole units, so that the order of sums cannot matter."""
+    g = _blocked(s, d, "copurchase")
+    return _differing({lane: pr.pagerank_exact(g, lane=lane) for lane in planner.LANES})
 
 
-for _n, _f in (("triangles", _lane_triangles), ("components", _lane_components), ("bfs", _lane_bfs), ("pagerank", _lane_pagerank)):
+_LANES = {"triangles": _lane_triangles, "bfs": _lane_bfs, "pagerank": _lane_pagerank}
+_LANES |= {f"components_{m}": lambda s, d, m=m: _lane_components(s, d, m) for m in ("hook", "fast_hook", "spread", "sampled")}
+for _n, _f in _LANES.items():
     _add(f"lane_equivalence_{_n}", _f, "SELECT 0::BIGINT AS differing")
+for _l in ("heavy", "both"):
+    _add(f"pagerank_{_l}_copurchase", lambda s, d, lane=_l: _pagerank(s, d, "copurchase", lane=lane), oracles.pagerank("copurchase"))
+    _add(f"pagerank_1d_{_l}_copurchase", lambda s, d, lane=_l: _pagerank(s, d, "copurchase", layout="1d", lane=lane), oracles.pagerank("copurchase"))
+    _add(f"triangles_{_l}_copurchase", lambda s, d, lane=_l: tc.triangles(_edges(s, d, "copurchase"), lane=lane), oracles.triangles("copurchase"))
+    for _m in ("hook", "sampled"):
+        _add(f"components_{_m}_{_l}_copurchase", lambda s, d, lane=_l, m=_m: cc.METHODS[m](e := _edges(s, d, "copurchase"), _nodes(e), lane=lane), oracles.components("copurchase"))
+_add("components_sampled_split_copurchase", lambda s, d: cc.components_sampled(e := _edges(s, d, "copurchase"), _nodes(e), lane="heavy", finish="light"), oracles.components("copurchase"))
 
 # Synthetic graphs, published table, pipeline, applied components
 
@@ -455,11 +501,13 @@ _add("stream_tumbling", lambda s, d: streams.replay(streams.tumbling(_stream_edg
 _add("stream_sliding", lambda s, d: streams.replay(streams.sliding(_stream_edges(s, d)), "complete"), "SELECT start, count(*)::BIGINT AS edges FROM (SELECT unnest([date_trunc('day', ts)::TIMESTAMP, date_trunc('day', ts)::TIMESTAMP - INTERVAL 1 DAY]) AS start FROM events) GROUP BY start")
 _add("stream_session", lambda s, d: streams.replay(streams.sessions(_stream_edges(s, d)), "complete"), "WITH x AS (SELECT user_id, ts, CASE WHEN ts >= lag(ts) OVER w + INTERVAL 12 HOURS THEN 1 ELSE 0 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), y AS (SELECT user_id, ts, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS g FROM x) SELECT user_id, min(ts) AS start, count(*)::BIGINT AS edges FROM y GROUP BY user_id, g")
 _add("stream_dedup", lambda s, d: streams.replay(streams.dedup(_stream_edges(s, d))).select("event_id"), "SELECT event_id FROM events")
-_add("stream_late_drop", lambda s, d: streams.replay(streams.late_drop(_stream_edges(s, d))))
+_LATE = """WITH e AS (SELECT ts, date_trunc('hour', ts)::TIMESTAMP AS start FROM events), m AS (SELECT max(ts) AS last FROM events)
+  SELECT start, count(*)::BIGINT AS edges FROM e, m WHERE start + INTERVAL 1 HOUR <= last - INTERVAL 1 HOUR GROUP BY start"""
+_add("stream_late_drop", lambda s, d: streams.replay(streams.late_drop(_stream_edges(s, d))), _LATE)
 _add("stream_degree_state", lambda s, d: streams.latest_degrees(s, streams.source_folder(s, d, 3)), "SELECT user_id, count(*)::BIGINT AS degree FROM events GROUP BY user_id")
 _add("stream_components", lambda s, d: streams.stream_components(s, streams.source_folder(s, d, 2)), f"WITH RECURSIVE s AS (SELECT 2 * user_id AS src, 2 * {_K} + 1 AS dst FROM events UNION ALL SELECT 2 * {_K} + 1, 2 * user_id FROM events), v AS (SELECT DISTINCT src AS id FROM s) {oracles.COMPONENTS} SELECT id::BIGINT AS id, label::BIGINT AS component FROM c")
 _add("stream_static_join", lambda s, d: streams.replay(streams.with_static(_stream_edges(s, d), s.read.parquet(f"{d}/customer.parquet").select(F.col("c_custkey").alias("user_id"), "c_mktsegment"), "user_id")).select("event_id", "c_mktsegment"), "SELECT event_id, c_mktsegment FROM events JOIN customer ON c_custkey = user_id")
-_add("stream_interval_join", lambda s, d: streams.replay(streams.purchases_after_clicks(_stream_edges(s, d, 1))), "SELECT c.user_id, c.event_id AS click, p.event_id AS purchase FROM events c JOIN events p ON p.user_id = c.user_id AND p.event_type = 'purchase' AND p.ts >= c.ts AND p.ts <= c.ts + INTERVAL 1 HOUR WHERE c.event_type = 'click'")
+_add("stream_interval_join", lambda s, d: streams.replay(streams.purchases_after_clicks(_stream_edges(s, d))), "SELECT c.user_id, c.event_id AS click, p.event_id AS purchase FROM events c JOIN events p ON p.user_id = c.user_id AND p.event_type = 'purchase' AND p.ts >= c.ts AND p.ts <= c.ts + INTERVAL 1 HOUR WHERE c.event_type = 'click'")
 
 QUERIES |= RELATIONAL
 ORACLES |= RELATIONAL_ORACLES

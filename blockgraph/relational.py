@@ -64,7 +64,7 @@ _add("agg_group", lambda s, d: table(s, d, "lineitem").groupBy("l_returnflag", "
 _add("agg_min_max_by", lambda s, d: table(s, d, "orders").groupBy("o_custkey").agg(F.max_by("o_orderkey", F.struct("o_totalprice", "o_orderkey")).alias("top"), F.min_by("o_orderkey", F.struct("o_orderdate", "o_orderkey")).alias("first")), "SELECT o_custkey, arg_max(o_orderkey, (o_totalprice, o_orderkey)) AS top, arg_min(o_orderkey, (o_orderdate, o_orderkey)) AS first FROM orders GROUP BY o_custkey")
 _add("agg_bool_bit", lambda s, d: table(s, d, "labels").groupBy("quality").agg(F.bool_or(F.col("toxic") == 1).alias("any_toxic"), F.bool_and(F.col("toxic") == 0).alias("all_clean"), F.bit_or(F.pmod("doc_id", F.lit(8))).alias("bits")), "SELECT quality, bool_or(toxic = 1) AS any_toxic, bool_and(toxic = 0) AS all_clean, bit_or(doc_id % 8)::BIGINT AS bits FROM labels GROUP BY quality")
 _add("agg_collect", lambda s, d: table(s, d, "lineitem").groupBy("l_orderkey").agg(F.array_join(F.array_sort(F.collect_set("l_partkey")), ",").alias("parts")), "SELECT l_orderkey, array_to_string(list_sort(list_distinct(list(l_partkey))), ',') AS parts FROM lineitem GROUP BY l_orderkey")
-_add("agg_median_mode", lambda s, d: table(s, d, "events").groupBy("event_type").agg(F.round(F.median("value"), 6).alias("middle"), F.round(F.percentile("value", 0.9), 6).alias("p90")), "SELECT event_type, round(median(value), 6) AS middle, round(quantile_cont(value, 0.9), 6) AS p90 FROM events GROUP BY event_type")
+_add("agg_median_mode", lambda s, d: table(s, d, "events").groupBy("event_type").agg(F.round(F.median("value"), 6).alias("middle"), F.round(F.percentile("value", 0.9), 6).alias("p90"), F.mode("user_id", True).alias("busiest")), "SELECT event_type, round(median(value), 6) AS middle, round(quantile_cont(value, 0.9), 6) AS p90, (SELECT user_id FROM events y WHERE y.event_type = x.event_type GROUP BY user_id ORDER BY count(*) DESC, user_id LIMIT 1) AS busiest FROM events x GROUP BY event_type")
 _add("agg_distinct", lambda s, d: table(s, d, "lineitem").groupBy("l_returnflag").agg(F.count_distinct("l_partkey").alias("parts"), F.count_distinct("l_suppkey").alias("suppliers")), "SELECT l_returnflag, count(DISTINCT l_partkey)::BIGINT AS parts, count(DISTINCT l_suppkey)::BIGINT AS suppliers FROM lineitem GROUP BY l_returnflag")
 _add("agg_approx_distinct", lambda s, d: table(s, d, "lineitem").agg((F.abs(F.approx_count_distinct("l_partkey", 0.02) / F.count_distinct("l_partkey") - 1) < 0.1).alias("near")), "SELECT true AS near")
 _loads = "SELECT pmod(l_partkey, 4) AS r, pmod(l_suppkey, 4) AS c FROM lineitem"

@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from ..operators.prepare import canonical, global_rank
+from ..plans.store import stored
 
 COSINE = 0.3
 BLOCK_VECTORS = 512
@@ -93,13 +94,17 @@ def embed_cos(spark: SparkSession, sf_dir: str) -> DataFrame:
     return dealt.groupBy("i", "j").applyInPandas(_cosine_block(COSINE), "src long, dst long").distinct()
 
 
-def doc_line(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Documents that share a line of 40 characters or more, if 2 to 50 documents have it."""
+def doc_line(spark: SparkSession, sf_dir: str, pairs_up_to: int = 50) -> DataFrame:
+    """Documents that share a line of 40 characters or more: every pair of them, or, where more than ``pairs_up_to`` documents hold
+    the line, each with the least of them. So no two documents that share a line are apart, and edges grow with the holders."""
     lines = _read(spark, sf_dir, "documents").select("doc_id", F.explode(F.split("text", "\n")).alias("line")).select("doc_id", F.trim("line").alias("line"))
     hashed = lines.where(F.length("line") >= 40).select("doc_id", F.md5("line").alias("h")).distinct()
-    common = hashed.groupBy("h").agg(F.count("*").alias("n")).where("n between 2 and 50").select("h")
-    kept = hashed.join(common, "h")
-    return kept.join(kept.withColumnRenamed("doc_id", "dst"), "h").where("doc_id < dst").select(F.col("doc_id").alias("src"), "dst").distinct()
+    # A table of its own, so that the join can split the partition of a line that many documents hold.
+    held = stored(hashed.groupBy("h").agg(F.count("*").alias("n"), F.min("doc_id").alias("least")).where("n > 1"), "lines")
+    few = hashed.join(held.where(F.col("n") <= pairs_up_to), "h").select("h", "doc_id")
+    pairs = few.join(few.withColumnRenamed("doc_id", "dst"), "h").where("doc_id < dst").select(F.col("doc_id").alias("src"), "dst")
+    stars = hashed.join(held.where(F.col("n") > pairs_up_to), "h").where("doc_id > least").select(F.col("least").alias("src"), F.col("doc_id").alias("dst"))
+    return pairs.unionByName(stars).distinct()
 
 
 EDGES = {

@@ -32,11 +32,15 @@ def batch_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _edges(spark.read.parquet(f"{sf_dir}/events.parquet"))
 
 
-def source_folder(spark: SparkSession, sf_dir: str, parts: int = 1) -> str:
-    """The events in files by time, for replays in several triggers."""
+def source_folder(spark: SparkSession, sf_dir: str, parts: int = 1, reverse: bool = False) -> str:
+    """The events in files by time, for replays in several triggers.
+
+    A file stream takes files by their time of writing, so they are written one after another: oldest events first, or last."""
     path = fresh_path(spark, "events")
     events = spark.read.parquet(f"{sf_dir}/events.parquet")
-    events.repartitionByRange(parts, "ts").sortWithinPartitions("ts").write.parquet(path)
+    dealt = stored(events.repartitionByRange(parts, "ts").withColumn("part", F.spark_partition_id()), "events-dealt")
+    for k in sorted(range(parts), reverse=reverse):
+        dealt.where(F.col("part") == k).drop("part").coalesce(1).sortWithinPartitions("ts", "event_id").write.mode("append").parquet(path)
     return path
 
 
