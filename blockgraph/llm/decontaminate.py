@@ -13,6 +13,7 @@ documents clean.
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -136,8 +137,8 @@ def window_sets(benchmark: DataFrame, size: int = WINDOW) -> list[WindowSet]:
     return [s.seal() for s in sets if s.items]
 
 
-def find_contamination(docs: DataFrame, benchmark: DataFrame, size: int = WINDOW) -> DataFrame:
-    """All columns of ``docs`` plus ``contamination``: struct(n_words, n_hit, items, spans). Spans are byte ranges of hit words."""
+def find_contamination(docs: DataFrame, benchmark: DataFrame, size: int = WINDOW, column: str = "contamination") -> DataFrame:
+    """All columns of ``docs`` plus ``column`` (replaced if it is there): struct(n_words, n_hit, items, spans). Spans are byte ranges of hit words."""
     spark = docs.sparkSession
     sets = spark.sparkContext.broadcast(window_sets(benchmark, size))
     schema = "struct<n_words: bigint, n_hit: bigint, items: array<string>, spans: array<struct<begin: bigint, end: bigint>>>"
@@ -152,7 +153,7 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, size: int = WINDOW
         parts["spans"] = [[{"begin": a, "end": b} for a, b in s] for s in parts["spans"]]
         return pd.DataFrame(parts)
 
-    return docs.withColumn("contamination", report("text"))
+    return docs.withColumn(column, report("text"))
 
 
 def contamination_report(docs: DataFrame, benchmark: DataFrame, size: int = WINDOW) -> DataFrame:
@@ -177,9 +178,10 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, mode: str = "documents"
     """``documents``: drop every document with a hit. ``spans``: cut the hit words out of the texts, with what stands between them."""
     if mode not in ("documents", "spans"):
         raise ValueError(f"unknown mode {mode!r}")
-    found = find_contamination(docs, benchmark, size)
+    marks = f"marks_{uuid.uuid4().hex}"
+    found = find_contamination(docs, benchmark, size, marks)
     if mode == "documents":
-        return found.where("contamination.n_hit = 0").drop("contamination")
+        return found.where(F.col(marks)["n_hit"] == 0).drop(marks)
 
     @F.pandas_udf("string")
     def cut(texts: pd.Series, spans: pd.Series) -> pd.Series:
@@ -194,7 +196,7 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, mode: str = "documents"
             out.append(text)
         return pd.Series(out, dtype=object)
 
-    return found.withColumn("text", cut("text", "contamination.spans")).drop("contamination")
+    return found.withColumn("text", cut("text", F.col(marks)["spans"])).drop(marks)
 
 
 def op1_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:

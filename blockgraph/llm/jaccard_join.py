@@ -23,7 +23,6 @@ and the text are read, other columns are ignored whatever their names.
 
 from __future__ import annotations
 
-import math
 import uuid
 from collections.abc import Iterator
 from functools import cache
@@ -36,14 +35,13 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from .links import connected
+from .lossy import MOST_FILTERED, bitmap, held, id_bitmap
 from .scratch import discard, stored
 from .text import SPACED, Tokens, rows_of, slices, splitmix, utf8
 
 WORDS, PERCENT = 4, 85
 #: Documents of one block in the final step, and their elements: two blocks meet in a task.
 BLOCK_DOCS, BLOCK_ELEMENTS = 512, 1 << 19
-#: Most bits of a lossy set (16 MB) and the most values for which it is used on signatures; with more of them a join does its work.
-MOST_BITS, MOST_FILTERED = 27, 1 << 25
 _STEP = np.uint64(0x9FB21C651E98DF25)
 
 
@@ -165,7 +163,7 @@ def _sign(words: int, percent: int, kept=None):
                 for key, i in signer.values():
                     signed, needed = signatures(sets[i], percent)
                     if kept is not None and kept.value is not None:
-                        may = _held(kept.value, signed)
+                        may = held(kept.value, signed)
                         signed, needed = signed[may], needed[may]
                     keys.append(np.full(len(signed), key))
                     sigs.append(signed)
@@ -179,42 +177,13 @@ def _sign(words: int, percent: int, kept=None):
     return run
 
 
-# Lossy sets: they may hold more than was put in, never less
-
-
-def bitmap(values: DataFrame, n: int) -> np.ndarray:
-    """A bitmap of the n mixed 64-bit values of the one column, by their uppermost bits; at most 2^``MOST_BITS`` bits."""
-    bits = min(MOST_BITS, max(16, math.ceil(math.log2(16 * n + 1))))
-    slot = values.select(F.shiftrightunsigned(values.columns[0], 64 - bits).alias("s"))
-    maps = slot.groupBy(F.bitmap_bucket_number("s").alias("bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("s")).alias("bits"))
-    out = np.zeros(1 << bits >> 3, np.uint8)
-    for row in maps.toLocalIterator():  # at most 2^MOST_BITS / 32768 rows of 4 KB
-        at = max(row.bucket - 1, 0) * 4096
-        part = np.frombuffer(bytes(row.bits), np.uint8)[: len(out) - at]
-        out[at : at + len(part)] |= part
-    return out
-
-
-def _held(bits: np.ndarray, values: np.ndarray) -> np.ndarray:
-    """Which values may be in the bitmap; numbering as in Spark's bitmap functions, where 1 is the first bit."""
-    slot = (values.view(np.uint64) >> np.uint64(64 - (len(bits).bit_length() + 2))).astype(np.int64)
-    bit = np.maximum(slot - 1, 0)
-    return (bits[bit >> 3] >> (bit & 7).astype(np.uint8) & 1).astype(bool)
-
-
-def id_bitmap(ids: DataFrame) -> np.ndarray:
-    """A bitmap of the hashes of the one column."""
-    ids = ids.select(F.xxhash64(ids.columns[0]).alias("h"))
-    return bitmap(ids, ids.count())
-
-
 # Candidates
 
 
 def _met(rows: DataFrame) -> DataFrame:
     """The rows whose signature several documents hold, with their number n; a doc's rows lie together, so n counts documents."""
-    held = stored(rows.groupBy("sig").agg(F.count("*").alias("n")).where("n > 1"), "held")
-    return rows.join(held, "sig")
+    several = stored(rows.groupBy("sig").agg(F.count("*").alias("n")).where("n > 1"), "several")
+    return rows.join(several, "sig")
 
 
 def _candidates(docs: DataFrame, spare: DataFrame, words: int, percent: int) -> DataFrame:
@@ -223,7 +192,7 @@ def _candidates(docs: DataFrame, spare: DataFrame, words: int, percent: int) ->
     alone = docs.mapInArrow(_sign(words, percent), "sig bigint").groupBy("sig").agg(F.count("*").alias("n"))
     shared = stored(alone.where("n > 1").select("sig"), "shared")
     n = shared.count()
-    few = n <= MOST_FILTERED
+    few = n <= MOST_FILTERED  # beyond, a join does the bitmap's work
     bits = context.broadcast(bitmap(shared, n) if few else None)
     rows = docs.mapInArrow(_sign(words, percent, bits), "a bigint, sig bigint, least int")
     rows = stored(rows if few else rows.join(shared, "sig", "left_semi").select("a", "sig", "least"), "signed")
@@ -245,7 +214,7 @@ def _fetch_sets(docs: DataFrame, ids: DataFrame, words: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            batch = batch.filter(pa.array(_held(shared.value, rows_of(batch, "h").to_numpy(zero_copy_only=False))))
+            batch = batch.filter(pa.array(held(shared.value, rows_of(batch, "h").to_numpy(zero_copy_only=False))))
             for keys, sets in _sets(batch, words):
                 yield pa.RecordBatch.from_arrays([keys, _longs(sets)], ["doc_id", "elements"])
 
@@ -375,7 +344,7 @@ def keep_least(docs: DataFrame, words: int = WORDS, percent: int = PERCENT) -> D
 
     @F.pandas_udf("boolean")
     def maybe(h: pd.Series) -> pd.Series:
-        return pd.Series(_held(bits.value, h.to_numpy()))
+        return pd.Series(held(bits.value, h.to_numpy()))
 
     flagged = docs.withColumn(flag, maybe(F.xxhash64("doc_id")) & F.col("doc_id").isNotNull())
     sure = flagged.where(~F.col(flag)).drop(flag)

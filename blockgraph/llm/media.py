@@ -5,7 +5,8 @@ nibbles. Reading parses the container again, expands mu-law and A-law by table,
 all blocks of a slice at once, and resamples the 16-bit PCM.
 
 Defined cases: a null or empty text gives one padding unit; equal contents give equal media; a blob that is no
-WAV file of these codecs decodes to nulls; no other column is touched.
+WAV file of these codecs decodes to nulls; an empty table gives empty ones; a text of any length is one blob; other columns stay
+as they are, but for one that has the name of the new column (``media``, ``audio`` or the name given), which is replaced.
 """
 
 from __future__ import annotations
@@ -21,6 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .scratch import scratch_path
 from .text import rows_of, slices, utf8
 
 UNIT = 576
@@ -153,53 +155,80 @@ def codec_of(payload: bytes) -> str:
     return ("mulaw", "alaw", "ima_adpcm")[zlib.crc32(payload) % 3]
 
 
-def store_media(docs: DataFrame, codec: str | None = None) -> DataFrame:
-    """All columns of ``docs`` plus ``media``: the text's bytes as a telephony WAV."""
+def store_media(docs: DataFrame, codec: str | None = None, column: str = "media") -> DataFrame:
+    """All columns of ``docs`` plus ``column``: the text's bytes as a telephony WAV."""
 
     @F.pandas_udf("binary")
     def build(texts: pd.Series) -> pd.Series:
         payloads = [padded((t or "").encode()) for t in texts.where(texts.notna(), None)]
         return pd.Series([to_wav(p, codec or codec_of(p)) for p in payloads], dtype=object)
 
-    return docs.withColumn("media", build("text"))
+    return docs.withColumn(column, build("text"))
 
 
-def decode_media(df: DataFrame, column: str = "media", target: int = RESAMPLED) -> DataFrame:
-    """All columns plus ``audio``: struct(codec, payload, rate, pcm), pcm little-endian 16-bit at the target rate."""
+def decode_media(df: DataFrame, column: str = "media", target: int = RESAMPLED, into: str = "audio") -> DataFrame:
+    """All columns plus ``into``: struct(codec, payload, rate, pcm), pcm little-endian 16-bit at the target rate."""
 
     @F.pandas_udf("struct<codec: string, payload: binary, rate: int, pcm: binary>")
     def decode(blobs: pd.Series) -> pd.DataFrame:
         found = decode_all([None if b is None else bytes(b) for b in blobs], target)
         return pd.DataFrame([(None,) * 4 if f is None else (f[0], f[1], target, f[3].astype("<i2").tobytes()) for f in found], columns=["codec", "payload", "rate", "pcm"])
 
-    return df.withColumn("audio", decode(column))
+    return df.withColumn(into, decode(column))
 
 
 SUMMARY = "doc_id bigint, n_bytes bigint, payload_bytes bigint, payload_sha256 string, tail_crc32 bigint, media_bytes bigint, media_sha256 string, feature string"
 
 
-def media_summary(docs: DataFrame) -> DataFrame:
-    """Store every text, read the stored bytes back, and describe both; blobs stay inside the task."""
+def write_media(docs: DataFrame, path: str, codec: str | None = None) -> None:
+    """Store (doc_id, n_bytes, media) of every row: the text's bytes, their number before padding, as a telephony WAV."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids = rows_of(batch, "doc_id")
             data, offs = utf8(rows_of(batch, "text"))
             for i, j in slices(offs, 2 << 20):
-                raw = data[offs[i] : offs[j]].tobytes()
-                cuts = (offs[i : j + 1] - offs[i]).tolist()
-                media = [to_wav(p, codec_of(p)) for p in (padded(raw[a:b]) for a, b in zip(cuts, cuts[1:], strict=False))]
+                raw, cuts = data[offs[i] : offs[j]].tobytes(), (offs[i : j + 1] - offs[i]).tolist()
+                media = [to_wav(p, codec or codec_of(p)) for p in (padded(raw[a:b]) for a, b in zip(cuts, cuts[1:], strict=False))]
+                yield pa.RecordBatch.from_arrays([ids.slice(i, j - i), pa.array(np.diff(offs[i : j + 1])), pa.array(media, pa.binary())], ["doc_id", "n_bytes", "media"])
+
+    docs.select("doc_id", "text").mapInArrow(run, "doc_id bigint, n_bytes bigint, media binary").write.option("compression", "zstd").parquet(path)
+
+
+def read_media(spark: SparkSession, path: str) -> DataFrame:
+    return spark.read.schema("doc_id bigint, n_bytes bigint, media binary").parquet(path)
+
+
+def write_pcm(media: DataFrame, path: str, target: int = RESAMPLED) -> None:
+    """Store (doc_id, codec, rate, pcm) of every stored blob: 16-bit PCM at the target rate, a table 4 to 8 times the bytes of the media."""
+    decode_media(media.select("doc_id", "media"), "media", target).select("doc_id", "audio.codec", "audio.rate", "audio.pcm").write.option("compression", "zstd").parquet(path)
+
+
+def media_summary(stored: DataFrame) -> DataFrame:
+    """Describe stored blobs (doc_id, n_bytes, media): payload and PCM are decoded from what was read back."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            ids, sizes = rows_of(batch, "doc_id"), rows_of(batch, "n_bytes")
+            blobs = rows_of(batch, "media")
+            _, offs = utf8(blobs)
+            for i, j in slices(offs, 2 << 20):
+                media = blobs.slice(i, j - i).to_pylist()
                 rows = []
-                for blob, (codec, payload, pcm, stored) in zip(media, decode_all(media), strict=True):
-                    rows.append((len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-32:]), len(blob), hashlib.sha256(blob).hexdigest(), feature(codec, pcm, stored)))
+                for blob, (codec, payload, pcm, resampled) in zip(media, decode_all(media), strict=True):
+                    rows.append((len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-32:]), len(blob), hashlib.sha256(blob).hexdigest(), feature(codec, pcm, resampled)))
                 columns = list(zip(*rows, strict=True))
                 yield pa.RecordBatch.from_arrays(
-                    [ids.slice(i, j - i), pa.array(np.diff(offs[i : j + 1])), *(pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()), strict=True))],
+                    [ids.slice(i, j - i), sizes.slice(i, j - i), *(pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()), strict=True))],
                     ["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature"],
                 )
 
-    return docs.select("doc_id", "text").mapInArrow(run, SUMMARY)
+    return stored.select("doc_id", "n_bytes", "media").mapInArrow(run, SUMMARY)
 
 
 def op10_telephony(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return media_summary(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+    """Every text is written to a media table, and the result comes from the table as read back. PCM is resampled and described; storing it
+    too (:func:`write_pcm`) would take 4 to 8 times the input's bytes."""
+    path = scratch_path(spark, "media")
+    write_media(spark.read.parquet(f"{sf_dir}/documents.parquet"), path)
+    return media_summary(read_media(spark, path))

@@ -2,16 +2,17 @@
 
 A text becomes units that no piece can cross: a run of spaces with the characters up to the next space. A unit is
 segmented by repeatedly merging the candidate pair of best score, leftmost first, as the library's agenda does;
-with dropout, a candidate is skipped for good if a keyed hash of (seed, variant, unit, place, piece) falls below
-the rate. The key knows nothing of partitions or batches, so results repeat exactly, and ``variant`` (from the document
-id) varies segmentations between documents. With rate 0 the result is the library's.
+with dropout, a candidate is skipped for good if a keyed hash of (seed, document id, number of the unit in its text, unit,
+place, piece) falls below the rate. So every occurrence of a word draws anew, and as the key knows nothing of partitions or
+batches, results repeat exactly. With rate 0 the result is the library's, and equal units are segmented once per slice.
 
-All distinct (unit, variant) pairs of a slice are segmented at once, one merge per unit and step, in matrices by unit
+All units of a slice are segmented at once, one merge per unit and step, in matrices by unit
 length; units longer than ``LONG`` symbols use a heap each. Decoding concatenates the pieces' bytes and is lossless: characters
 that the vocabulary lacks, and a literal U+2581, are spelt in byte pieces.
 
-Defined cases: null and empty texts have no pieces and decode to an empty text; a null ``doc_id`` has variant 0; equal
-(text, doc_id) rows have equal pieces.
+Defined cases: null and empty texts have no pieces and decode to an empty text; a null ``doc_id`` draws as 0 does; equal
+(text, doc_id) rows have equal pieces; a text of any length is taken whole, at least one to a slice; an empty table gives an empty
+one; other columns are not read, and :func:`decode_pieces` replaces a column ``decoded`` that is there already.
 """
 
 from __future__ import annotations
@@ -29,7 +30,8 @@ from pyspark.sql import functions as F
 
 from .text import factorize, ragged, rows_of, slices, span_hashes, splitmix, utf8
 
-SEED, RATE, VARIANTS = 1729, 0.1, 4
+SEED, RATE = 1729, 0.1
+SLICE = 1 << 20
 LONG = 48
 _NONE = np.int32(2**31 - 1)
 _META = "▁".encode()
@@ -275,20 +277,25 @@ def segment(v: Vocabulary, spelt: np.ndarray, starts: np.ndarray, ends: np.ndarr
     return symbols.astype(np.int32), count
 
 
-def encode_slice(v: Vocabulary, data: np.ndarray, offs: np.ndarray, variant: np.ndarray, seed: int, rate: float) -> tuple[np.ndarray, np.ndarray]:
-    """Piece ids of all texts of a slice and the n+1 offsets of the texts."""
+def encode_slice(v: Vocabulary, data: np.ndarray, offs: np.ndarray, ids: np.ndarray, seed: int, rate: float) -> tuple[np.ndarray, np.ndarray]:
+    """Piece ids of all texts of a slice, whose documents have these 64-bit ids, and the n+1 offsets of the texts."""
     spelt, moved, starts = units(data, offs)
     ends = np.append(starts[1:], len(spelt))
-    doc = np.searchsorted(moved, starts, "right") - 1
     if not len(starts):
         return np.zeros(0, np.int32), np.zeros(len(offs), np.int64)
-    key = span_hashes(spelt, starts, ends) ^ splitmix(variant[doc].astype(np.uint64) + np.uint64(seed << 8)) if rate > 0 else span_hashes(spelt, starts, ends)
-    codes, distinct, first = factorize(key)
-    symbols, count = segment(v, spelt, starts[first], ends[first], distinct, rate)
-    place = np.cumsum(count) - count
-    ids = symbols[ragged(place[codes], count[codes])]
-    sums = np.concatenate([[0], np.cumsum(count[codes])])
-    return ids, sums[np.searchsorted(starts, moved)]
+    key = span_hashes(spelt, starts, ends)
+    if rate > 0:
+        doc = np.searchsorted(moved, starts, "right") - 1
+        number = np.arange(len(starts)) - np.searchsorted(starts, moved)[doc]
+        draws = splitmix(splitmix(ids.astype(np.uint64) ^ np.uint64(seed << 32))[doc] + number.astype(np.uint64))
+        pieces, count = segment(v, spelt, starts, ends, key ^ draws, rate)
+    else:
+        codes, distinct, first = factorize(key)
+        symbols, size = segment(v, spelt, starts[first], ends[first], distinct, rate)
+        count = size[codes]
+        pieces = symbols[ragged((np.cumsum(size) - size)[codes], count)]
+    sums = np.concatenate([[0], np.cumsum(count)])
+    return pieces, sums[np.searchsorted(starts, moved)]
 
 
 def decode_slice(v: Vocabulary, ids: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -303,12 +310,11 @@ def decode_slice(v: Vocabulary, ids: np.ndarray, offs: np.ndarray) -> tuple[np.n
     return flat[keep], ends - np.concatenate([[0], np.cumsum(filled)])
 
 
-def variants(ids: pa.Array, seed: int, n: int) -> np.ndarray:
-    numbers = ids.fill_null(0).to_numpy(zero_copy_only=False).astype(np.int64).view(np.uint64)
-    return np.where(ids.is_valid().to_numpy(zero_copy_only=False), splitmix(numbers ^ np.uint64(seed)) % np.uint64(n), 0)
+def document_numbers(ids: pa.Array) -> np.ndarray:
+    return ids.fill_null(0).to_numpy(zero_copy_only=False).astype(np.int64).view(np.uint64)
 
 
-def encode_pieces(docs: DataFrame, model_path: str, rate: float = RATE, seed: int = SEED, n_variants: int = VARIANTS) -> DataFrame:
+def encode_pieces(docs: DataFrame, model_path: str, rate: float = RATE, seed: int = SEED) -> DataFrame:
     """doc_id and piece_ids of every document."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -316,9 +322,9 @@ def encode_pieces(docs: DataFrame, model_path: str, rate: float = RATE, seed: in
         for batch in batches:
             ids = rows_of(batch, "doc_id")
             data, offs = utf8(rows_of(batch, "text"))
-            kinds = variants(ids, seed, n_variants)
-            for i, j in slices(offs, 2 << 20):
-                pieces, ends = encode_slice(v, data[offs[i] : offs[j]], offs[i : j + 1] - offs[i], kinds[i:j], seed, rate)
+            numbers = document_numbers(ids)
+            for i, j in slices(offs, SLICE):
+                pieces, ends = encode_slice(v, data[offs[i] : offs[j]], offs[i : j + 1] - offs[i], numbers[i:j], seed, rate)
                 yield pa.RecordBatch.from_arrays([ids.slice(i, j - i), pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(pieces))], ["doc_id", "piece_ids"])
 
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id bigint, piece_ids array<int>")
@@ -340,7 +346,7 @@ def decode_pieces(df: DataFrame, model_path: str, column: str = "piece_ids") ->
 DIGESTS = "doc_id bigint, n_bytes bigint, n_pieces bigint, pieces_sha256 string, decoded_sha256 string, lossless boolean"
 
 
-def piece_digests(docs: DataFrame, model_path: str, rate: float = RATE, seed: int = SEED, n_variants: int = VARIANTS) -> DataFrame:
+def piece_digests(docs: DataFrame, model_path: str, rate: float = RATE, seed: int = SEED) -> DataFrame:
     """Per document: bytes, pieces, SHA-256 of the ids (4 bytes each, little-endian) and of the decoded text, and whether it is the text."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -348,10 +354,10 @@ def piece_digests(docs: DataFrame, model_path: str, rate: float = RATE, seed: in
         for batch in batches:
             ids = rows_of(batch, "doc_id")
             data, offs = utf8(rows_of(batch, "text"))
-            kinds = variants(ids, seed, n_variants)
-            for i, j in slices(offs, 2 << 20):
+            numbers = document_numbers(ids)
+            for i, j in slices(offs, SLICE):
                 part, cuts = data[offs[i] : offs[j]], offs[i : j + 1] - offs[i]
-                pieces, ends = encode_slice(v, part, cuts, kinds[i:j], seed, rate)
+                pieces, ends = encode_slice(v, part, cuts, numbers[i:j], seed, rate)
                 back, spans = decode_slice(v, pieces, ends)
                 raw, raw_ids, raw_back = part.tobytes(), pieces.astype("<i4").tobytes(), back.tobytes()
                 rows = []

@@ -86,6 +86,16 @@ def test_decontamination(spark, docs, none):
     assert decontaminate.contamination_report(docs, bench.limit(0)).where("n_hit > 0").count() == 0
 
 
+def test_no_column_is_lost_to_a_name(spark, docs):
+    more = docs.withColumn("contamination", F.lit("mine")).withColumn("_maybe", F.lit(1)).withColumn("_place", F.lit(2)).withColumn("score", F.lit(3)).withColumn("h", F.lit(4))
+    bench = spark.createDataFrame([(2, "b C")], "item_id long, text string")
+    for mode in ("documents", "spans"):
+        found = decontaminate.decontaminate(more, bench, mode)
+        assert found.columns == more.columns and found.where("contamination <> 'mine'").count() == 0
+    kept = jaccard_join.keep_least(more)
+    assert kept.columns == more.columns and kept.where("_maybe <> 1 or _place <> 2 or h <> 4").count() == 0
+
+
 def test_decontamination_in_several_sets(spark, docs, monkeypatch):
     bench = spark.createDataFrame([(i, f"b c w{i}") for i in range(5)] + [(9, "b c")], "item_id long, text string")
     monkeypatch.setattr(decontaminate, "MAX_WINDOWS", 2)
@@ -244,6 +254,29 @@ def test_sharding(spark, docs, real, none):
     assert sharding.stratified_shards(none).count() == 0
 
 
+def test_sharding_against_brute_force(spark, docs, real):
+    for table in (docs.withColumn("rank", F.lit(1)).withColumn("place", F.lit(1)).withColumn("h", F.lit("x")), real):
+        rows = []
+        for r in table.select("doc_id", "text", "source").collect():
+            raw = (r.text or "").encode()
+            rows.append((r.doc_id, len(raw) + 1, zlib.crc32(raw), "-" if r.source is None else "+" + r.source))
+        frame = spark.createDataFrame(rows, "doc_id long, size long, crc long, stratum string")
+        hashed = frame.withColumn("h", F.xxhash64(F.lit(sharding.SEED), "doc_id", "size", "crc")).collect()
+        least = lambda x: (x.doc_id is not None, x.doc_id or 0, x.size, x.crc)
+        laid = []
+        for stratum in {r.stratum for r in hashed}:
+            mine = sorted((r for r in hashed if r.stratum == stratum), key=lambda r: (r.h, least(r)))
+            laid += [((2 * k + 1) / (2 * len(mine)), stratum, r.h, least(r), r) for k, r in enumerate(mine)]
+        laid.sort(key=lambda x: x[:4])
+        n, want, slots = len(laid), collections.Counter(), collections.Counter()
+        for position, (*_, r) in enumerate(laid):
+            shard = position * 16 // n
+            want[r.doc_id, r.size, r.crc, "rows", shard, slots[shard], None] += 1
+            slots[shard] += 1
+        got = sharding.stratified_shards(table).select("doc_id", "size", "text_crc32", "law", "shard", "slot", "grown_shard").collect()
+        assert collections.Counter(tuple(r) for r in got) == want
+
+
 def test_sharding_buckets_give_plain_ranks(real, monkeypatch):
     def run():
         return sorted((r.doc_id, r.shard, r.slot, r["rank"]) for r in sharding.stratified_shards(real).collect())
@@ -352,7 +385,7 @@ def test_connected(spark):
 # 6
 
 
-def test_token_counts_and_cache(spark, docs, none, tmp_path):
+def test_token_counts_and_cache(spark, docs, none, tmp_path, monkeypatch):
     import public_tokenizers
     from tokenizers import Tokenizer
 
@@ -364,6 +397,13 @@ def test_token_counts_and_cache(spark, docs, none, tmp_path):
         assert got == want
     assert spark.read.parquet(cache).count() == len({t or "" for t in ODD})
     assert token_counts.count_tokens(none, path, cache).count() == 0
+    # Hits are not encoded again: of a second load only what is new.
+    more = docs.unionByName(spark.createDataFrame([(70, "brand new", "en", "s", 1), (71, "brand new", "en", "s", 1), (72, "new too", "en", "s", 1)], docs.schema))
+    assert token_counts.extend_cache(docs, path, cache) == (len({t or "" for t in ODD}), 0)
+    assert token_counts.extend_cache(more, path, cache) == (len({t or "" for t in ODD}) + 2, 2)
+    assert spark.read.parquet(cache).count() == len({t or "" for t in ODD}) + 2
+    monkeypatch.setattr(token_counts, "MOST_FILTERED", 0)
+    assert collections.Counter((r.doc_id, r.n_bytes, r.n_tokens) for r in token_counts.count_tokens(docs, path, str(tmp_path / "long-way")).collect()) == want
     other = public_tokenizers.path("piece_bpe_32k.model")
     token_counts.count_tokens(docs, other, cache)
     assert spark.read.parquet(cache).select("version").distinct().count() == 2
@@ -482,6 +522,21 @@ def test_sentencepiece_is_lossless(pieces, rate, real):
     assert back.tobytes() == data.tobytes() and (spans == offs).all()
 
 
+def test_dropout_draws_for_every_occurrence(pieces):
+    data, offs = utf8(pa.array([" ".join(["understanding"] * 400)] * 2, pa.string()))
+    ids, ends = sentencepiece_codec.encode_slice(pieces, data, offs, np.array([1, 2]), 9, 0.1)
+    again, _ = sentencepiece_codec.encode_slice(pieces, data, offs, np.array([1, 2]), 9, 0.1)
+    assert (ids == again).all() and ids[: ends[1]].tolist() != ids[ends[1] :].tolist()
+    spelt = [pieces.bytes[i] for i in ids[: ends[1]].tolist()]
+    words, one = set(), []
+    for p in spelt:
+        if p.startswith(b" ") and one:
+            words.add(tuple(one))
+            one = []
+        one.append(p)
+    assert len(words) > 20
+
+
 def test_sentencepiece_matrices_equal_heap(pieces, real):
     data, offs = utf8(pa.array([r.text for r in real.limit(10).collect()], pa.string()))
     spelt, _, starts = sentencepiece_codec.units(data, offs)
@@ -536,15 +591,40 @@ def test_adpcm_against_a_plain_decoder():
         assert got.tolist() == out
 
 
-def test_media(docs, none):
-    got = collections.Counter((r.doc_id, r.n_bytes, r.payload_sha256, r.tail_crc32) for r in media.media_summary(docs).collect())
+def plain_feature(codec, payload):
+    """Samples, peak, mean, zero crossings and the resampled PCM's CRC, sample by sample."""
+    if codec == "ima_adpcm":
+        pcm = [int(x) for block in range(0, len(payload), 576) for x in media.decode_adpcm(np.frombuffer(payload[block : block + 576], np.uint8).reshape(1, -1))[0]]
+    else:
+        pcm = [int(media.EXPAND[codec][b]) for b in payload]
+    # Twice the rate: every sample, then the middle of it and its neighbour, rounded down; the last one is repeated.
+    twice = [y for i, x in enumerate(pcm) for y in (x, (x + pcm[min(i + 1, len(pcm) - 1)]) // 2)]
+    crossings = sum((a < 0) != (b < 0) for a, b in zip(pcm, pcm[1:], strict=False))
+    packed = b"".join(x.to_bytes(2, "little", signed=True) for x in twice)
+    return f"{codec};n={len(pcm)};peak={max(map(abs, pcm))};mean={sum(map(abs, pcm)) // len(pcm)};zc={crossings};pcm16000={zlib.crc32(packed):08x}"
+
+
+def test_media(spark, docs, none, tmp_path):
+    media.write_media(docs, str(tmp_path / "m"))
+    stored = media.read_media(spark, str(tmp_path / "m"))
+    rows = media.media_summary(stored).collect()
+    blobs = {hashlib.sha256(bytes(r.media)).hexdigest(): bytes(r.media) for r in stored.collect()}
+    for r in rows:
+        codec, _, _, payload = media.read_wav(blobs[r.media_sha256])
+        assert r.media_bytes == len(blobs[r.media_sha256]) and r.payload_bytes == len(payload) and r.feature == plain_feature(codec, payload)
+    media.write_pcm(stored, str(tmp_path / "pcm"))
+    assert spark.read.parquet(str(tmp_path / "pcm")).where("rate = 16000 and length(pcm) > 0").count() == len(rows)
+    got = collections.Counter((r.doc_id, r.n_bytes, r.payload_sha256, r.tail_crc32) for r in rows)
     want = collections.Counter()
     for i, t in [*enumerate(ODD), (5, ODD[5])]:
         raw = (t or "").encode()
         payload = raw + b"\xff" * (max(576, -(-len(raw) // 576) * 576) - len(raw))
         want[i if i != 4 else None, len(raw), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-32:])] += 1
     assert got == want
-    assert media.media_summary(none).count() == 0
+    media.write_media(none, str(tmp_path / "none"))
+    assert media.media_summary(media.read_media(spark, str(tmp_path / "none"))).count() == 0
+    kept = media.decode_media(media.store_media(docs.withColumn("audio", F.lit(1)), column="blob"), "blob", into="sound")
+    assert kept.columns == [*docs.columns, "audio", "blob", "sound"]
     for codec in media.FORMATS:
         back = media.decode_media(media.store_media(docs, codec)).select("text", "audio.*").collect()
         assert all(bytes(r.payload).startswith((r.text or "").encode()) and r.codec == codec for r in back)
