@@ -240,3 +240,128 @@ def test_measures(spark):
     assert [profile["REF-HYB", t] for t in (1.5, 2.0, 4.0, 8.0)] == [27, 28, 32, 33]
     medians = {r.other: round(r.median, 2) for r in measures.median_over(table, "REF-HYB").collect()}
     assert medians["CPU-A"] == 1.90 and medians["CPU-B"] == 1.77 and medians["CPU-D"] == 3.46 and medians["GPU-F"] == 2.01
+
+
+def plan_of(df):
+    return df._jdf.queryExecution().executedPlan().toString()
+
+
+def test_rounds_move_attributes_and_never_edges(spark):
+    from blockgraph.operators.exchange import gather
+
+    e = frame(spark, TWO_K4)
+    g = block_graph(e, ids(e), p=2, keep=True)
+    before = {k: spark.conf.get(k) for k in ("spark.sql.autoBroadcastJoinThreshold", "spark.sql.adaptive.enabled")}
+    try:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+        spark.conf.set("spark.sql.adaptive.enabled", "false")
+        plan = plan_of(gather(g.blocks, g.vertices.withColumn("x", F.lit(1.0)), "x").groupBy("dst").agg(F.sum("x")))
+    finally:
+        for k, v in before.items():
+            spark.conf.set(k, v)
+    # Read upwards from the scan of the blocks: the join comes before any exchange.
+    lines = plan.split("\n")
+    at = next(i for i, line in enumerate(lines) if "Bucketed: true" in line)
+    above = [line for line in lines[:at][::-1]]
+    assert "Join" in next(line for line in above if "Join" in line or "Exchange" in line)
+
+
+@pytest.mark.parametrize("lane", planner.LANES)
+def test_lanes_agree(spark, lane):
+    e = frame(spark, TWO_K4)
+    g = block_graph(e, ids(e), p=3, keep=True)
+    want = brute.pagerank(TWO_K4, range(8))
+    got = {r.id: r.rank for r in pr.pagerank(g, lane=lane).collect()}
+    assert all(abs(got[v] - want[v]) < 1e-12 for v in want)
+    light = {r.id: r.rank_units for r in pr.pagerank_exact(g).collect()}
+    assert {r.id: r.rank_units for r in pr.pagerank_exact(g, lane=lane).collect()} == light
+    for method in ("hook", "fast_hook", "spread", "sampled"):
+        for pairs in (TWO_K4[:-1], PATH, FAR):
+            e = frame(spark, pairs)
+            assert {r.id: r.component for r in cc.METHODS[method](e, ids(e), lane=lane).collect()} == brute.components(pairs)
+
+
+def test_bottom_up_stops_early():
+    import numpy as np
+
+    n = 200
+    frontier = np.zeros(n // 8 + 1, np.uint8)
+    for v in (3, 150):
+        frontier[v >> 3] |= 1 << (v & 7)
+    runs = [[0, 1, 3, 5], [4, 5], list(range(4, 190)), [], [3]]
+    ends = np.cumsum([len(r) for r in runs])
+    found, read = tv.first_in_frontier(ends - [len(r) for r in runs], ends, np.array(sum(runs, [])), frontier)
+    dst = sum(runs, [])
+    assert [dst[i] if i >= 0 else None for i in found.tolist()] == [3, None, 150, None, 3]
+    assert read == 3 + 2 + 147 + 0 + 1
+
+
+def test_traversal_reads_only_active_stripes(spark):
+    e = frame(spark, PATH)
+    log = []
+    tv.bfs(block_graph(e, ids(e), p=3, keep=True), 0, "down", log=log)
+    assert [n for _, step, n in log if step == "edges"] == [1] + [2] * 8 + [1]
+    assert {n for _, step, n in log if step == "down"} == {1}  # a path's frontier lies in one stripe
+    e, read = frame(spark, STAR), {}
+    for direction in ("down", "up"):
+        log = []
+        tv.bfs(block_graph(e, ids(e), p=3, keep=True), 0, direction, log=log)
+        read[direction] = sum(n for _, step, n in log if step == "edges")
+    assert read == {"down": 22, "up": 11}
+
+
+def test_several_sources_and_wide_ids(spark, monkeypatch):
+    e = frame(spark, PATH)
+    got = {r.id: r.level for r in tv.bfs(block_graph(e, ids(e), p=2), [0, 9], "up").collect()}
+    assert got == {i: min(i, 9 - i) for i in range(10)}
+    monkeypatch.setattr(tv, "MOST_BITS", 0)
+    assert {r.id: r.level for r in tv.bfs(block_graph(e, ids(e), p=2), [0, 9], "up").collect()} == got
+
+
+def test_shortest_paths_over_edges_of_weight_zero(spark):
+    e = spark.createDataFrame([(0, 1, 1.0), (1, 2, 0.0), (2, 3, 0.0), (1, 3, 0.0)], "src long, dst long, w double")
+    got = {r.id: (r.dist, r.parent) for r in tv.shortest_paths(block_graph(e, p=2), 0, "w").collect()}
+    assert got == {0: (0.0, 0), 1: (1.0, 0), 2: (1.0, 1), 3: (1.0, 1)}
+
+
+def test_a_line_of_many_documents_keeps_them_together(spark, tmp_path):
+    line = "a line that very many documents of this table do share"
+    spark.createDataFrame([(i, f"text {i}\n{line}") for i in range(70)] + [(100, "x" * 50), (101, "x" * 50)], "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    e = graphs.edges(spark, str(tmp_path), "doc_line")
+    assert e.count() == 69 + 1
+    assert {r.component for r in cc.components_hook(e, ids(e)).collect()} == {0, 100}
+
+
+@pytest.mark.parametrize("reverse", [False, True])
+def test_streams_equal_batches(spark, sf, reverse):
+    from blockgraph.streaming import edges as streams
+
+    path = streams.source_folder(spark, sf, 3, reverse)
+    stream = lambda: streams.edge_stream(spark, path)
+    batch = streams.batch_edges(spark, sf)
+    assert sorted(r.event_id for r in streams.replay(stream()).collect()) == sorted(r.event_id for r in batch.collect())
+    for windowed in (streams.tumbling, streams.sliding, streams.sessions):
+        assert sorted(map(tuple, streams.replay(windowed(stream()), "complete").collect())) == sorted(map(tuple, windowed(batch).collect()))
+    degrees_ = {r.user_id: r.degree for r in streams.latest_degrees(spark, path).collect()}
+    assert degrees_ == {r.user_id: r["count"] for r in batch.groupBy("user_id").count().collect()}
+    kept = {r.event_id for r in streams.replay(streams.dedup(stream())).collect()}
+    # In order nothing is late; backwards all but the newest file is.
+    assert (len(kept) == batch.count()) != reverse
+
+
+def test_a_stream_goes_on_where_it_stopped(spark, sf, tmp_path):
+    from blockgraph.streaming import edges as streams
+
+    source, out, state = (str(tmp_path / x) for x in ("in", "out", "state"))
+    events = spark.read.parquet(f"{sf}/events.parquet")
+
+    def go():
+        q = streams.edge_stream(spark, source).select("event_id").writeStream.format("parquet").option("checkpointLocation", state).trigger(availableNow=True).start(out)
+        q.awaitTermination()
+        return spark.read.parquet(out).count()
+
+    events.where("event_id % 2 = 0").coalesce(1).write.mode("append").parquet(source)
+    first = go()
+    assert go() == first
+    events.where("event_id % 2 = 1").coalesce(1).write.mode("append").parquet(source)
+    assert go() == events.count()
