@@ -6,12 +6,14 @@ Training maximises the conditional likelihood of sentences whose words carry the
 gradients from forward-backward, in numpy, in one task, on at most ``SAMPLE`` documents chosen by a hash of their id.
 A document's language is the label with most posterior mass over all its words; the score is that share.
 
-A sentence ends at a line end or after ``.``, ``!`` or ``?``, and after ``LONGEST`` words, where the chain starts anew; every word of
+A sentence ends at a line end or after ``.``, ``!`` or ``?``. Sentences over ``LONGEST`` words are computed in pieces of that
+size: the pieces' transfer matrices hand on what stands before and behind, so the chain is exact at any length. Every word of
 every text is labelled.
 
 Defined cases: a text that is null or has no letter is ``und`` with score 0; one whose letters make no word (none can,
 by this alphabet) falls back to the most frequent language; null languages are not learned; with no labelled row at
-all everything is ``und``; ``lang``, ``source`` and ``doc_id`` are never inputs of a prediction.
+all everything is ``und``; ``lang``, ``source`` and ``doc_id`` are never inputs of a prediction; repeated rows are
+predicted alike, and repeated ids are drawn together; columns of other names are not read.
 """
 
 from __future__ import annotations
@@ -59,10 +61,10 @@ def emissions(weights: np.ndarray, owner: np.ndarray, bucket: np.ndarray, n: int
     return np.stack([np.bincount(owner, weights[bucket, k], minlength=n) for k in range(weights.shape[1])], axis=1) / np.sqrt(size)[:, None]
 
 
-def sentences(data: np.ndarray, tokens: Tokens) -> tuple[np.ndarray, np.ndarray]:
-    """Begin (token number) and length of the chains of a slice."""
+def sentences(data: np.ndarray, tokens: Tokens) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Begin (token number) and length of the pieces of a slice's chains, and whether a piece goes on with the one before."""
     if not len(tokens):
-        return np.zeros(0, np.int64), np.zeros(0, np.int64)
+        return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, bool)
     stops = np.flatnonzero((data == 10) | (data == 33) | (data == 46) | (data == 63))
     new = np.searchsorted(stops, tokens.starts[1:]) > np.searchsorted(stops, tokens.ends[:-1])
     begins = np.zeros(len(tokens), bool)
@@ -74,39 +76,82 @@ def sentences(data: np.ndarray, tokens: Tokens) -> tuple[np.ndarray, np.ndarray]
     pieces = -(-size // LONGEST)
     k = np.arange(pieces.sum()) - np.repeat(np.cumsum(pieces) - pieces, pieces)
     begin = np.repeat(at, pieces) + k * LONGEST
-    return begin, np.minimum(np.repeat(at + size, pieces) - begin, LONGEST)
-
-
-def posteriors(emit: np.ndarray, begin: np.ndarray, size: np.ndarray, model_t: np.ndarray, start: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, float]:
-    """Forward-backward over all chains at once: word posteriors, expected transitions, expected starts, log likelihood of everything."""
+    return begin, np.minimum(np.repeat(at + size, pieces) - begin, LONGEST), k > 0
+
+
+def _handed_on(local: np.ndarray, begin: np.ndarray, size: np.ndarray, goes_on: np.ndarray, move: np.ndarray, start: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """For every piece what stands before its first word and behind its last one, from the transfer matrices of the pieces of long chains."""
+    labels = local.shape[1]
+    before, behind = np.tile(np.exp(start), (len(size), 1)), np.ones((len(size), labels))
+    parts = np.flatnonzero(goes_on | np.append(goes_on[1:], False))
+    if not len(parts):
+        return before, behind
+    order = parts[np.argsort(-size[parts], kind="stable")]
+    whole = local[begin[order]][:, None, :] * np.eye(labels)
+    for t in range(1, int(size[order[0]])):
+        n = int(np.searchsorted(-size[order], -t, "left"))
+        step = (whole[:n] @ move) * local[begin[order[:n]] + t][:, None, :]
+        whole[:n] = step / step.max(axis=(1, 2), keepdims=True)
+    transfer = dict(zip(order.tolist(), whole, strict=True))
+    for p in parts.tolist():
+        if goes_on[p]:
+            before[p] = out @ move
+        out = before[p] @ transfer[p]
+        out /= out.sum()
+    for p in parts[::-1].tolist():
+        if p + 1 < len(size) and goes_on[p + 1]:
+            behind[p] = move @ into
+            behind[p] /= behind[p].sum()
+        into = transfer[p] @ behind[p]
+        into /= into.sum()
+    return before, behind
+
+
+def posteriors(
+    emit: np.ndarray, begin: np.ndarray, size: np.ndarray, model_t: np.ndarray, start: np.ndarray, goes_on: np.ndarray | None = None
+) -> tuple[np.ndarray, np.ndarray, np.ndarray, float]:
+    """Forward-backward over all pieces at once: word posteriors, expected transitions, expected starts, log likelihood of everything."""
     labels = emit.shape[1]
     gamma = np.empty_like(emit)
     pairs = np.zeros((labels, labels))
-    order = np.argsort(-size, kind="stable")
-    begin, size = begin[order], size[order]
-    alive = len(size) - np.searchsorted(size[::-1], np.arange(1, int(size.max(initial=0)) + 1))
+    goes_on = np.zeros(len(size), bool) if goes_on is None else goes_on
     peak = emit.max(axis=1)
     local = np.exp(emit - peak[:, None])
     move = np.exp(model_t)
+    before, behind = _handed_on(local, begin, size, goes_on, move, start)
+    order = np.argsort(-size, kind="stable")
+    heads = begin[~goes_on]
+    begin, size, before, behind = begin[order], size[order], before[order], behind[order]
+    alive = len(size) - np.searchsorted(size[::-1], np.arange(1, int(size.max(initial=0)) + 1))
     alpha, scale = [], []
     for t, n in enumerate(alive):
         at = begin[:n] + t
-        a = local[at] * (np.exp(start) if t == 0 else alpha[-1][:n] @ move)
+        a = local[at] * (before[:n] if t == 0 else alpha[-1][:n] @ move)
         c = a.sum(axis=1)
         alpha.append(a / c[:, None])
         scale.append(c)
-    beta = np.ones((alive[-1] if len(alive) else 0, labels))
+    beta = np.ones((0, labels))
     for t in range(len(alive) - 1, -1, -1):
         n = alive[t]
         if len(beta) < n:
-            beta = np.concatenate([beta, np.ones((n - len(beta), labels))])
+            ending = behind[len(beta) : n]
+            ending = ending / (alpha[t][len(beta) : n] * ending).sum(axis=1, keepdims=True)
+            beta = np.concatenate([beta, ending])
         gamma[begin[:n] + t] = alpha[t] * beta
         if t:
             back = local[begin[:n] + t] * beta / scale[t][:, None]
             pairs += (alpha[t - 1][:n].T @ back) * move
             beta = back @ move.T
+    if goes_on.any():
+        # From the last word of a piece to the first one of the next.
+        place = np.empty(len(order), np.int64)
+        place[order] = np.arange(len(order))
+        after = np.flatnonzero(goes_on)
+        ends = np.stack([alpha[size[p] - 1][p] for p in place[after - 1]])
+        p = place[after]
+        pairs += (ends.T @ (local[begin[p]] * beta[p] / scale[0][p][:, None])) * move
     likelihood = float(sum(np.log(c).sum() for c in scale) + peak.sum())
-    return gamma, pairs, gamma[begin].sum(axis=0), likelihood
+    return gamma, pairs, gamma[heads].sum(axis=0), likelihood
 
 
 def train(texts: list[str], languages: list[str]) -> Model:
@@ -124,17 +169,17 @@ def train(texts: list[str], languages: list[str]) -> Model:
     word, distinct, first = factorize(tokens.hashes())
     owner, bucket = word_features(tokens, first, distinct)
     root = np.sqrt(np.maximum(np.bincount(owner, minlength=len(distinct)), 1))
-    begin, size = sentences(data, tokens)
+    begin, size, goes_on = sentences(data, tokens)
     gold = y[tokens.docs()]
     true_pairs = np.zeros((labels, labels))
     inner = np.ones(n, bool)
-    inner[begin] = False
+    inner[begin[~goes_on]] = False
     np.add.at(true_pairs, (gold[np.flatnonzero(inner) - 1], gold[inner]), 1)
-    true_start = np.bincount(gold[begin], minlength=labels)
+    true_start = np.bincount(gold[begin[~goes_on]], minlength=labels)
     seen = [np.full_like(p, 1e-8) for p in (weights, transitions, start)]
     for step in range(ITERATIONS):
         emit = emissions(weights, owner, bucket, len(distinct))[word]
-        gamma, pairs, starts, _ = posteriors(emit, begin, size, transitions, start)
+        gamma, pairs, starts, _ = posteriors(emit, begin, size, transitions, start, goes_on)
         error = -gamma
         error[np.arange(n), gold] += 1
         by_word = np.stack([np.bincount(word, error[:, k], minlength=len(distinct)) for k in range(labels)], axis=1) / root[:, None]
@@ -161,7 +206,8 @@ def label_words(model: Model, data: np.ndarray, offs: np.ndarray) -> tuple[Token
         return tokens, np.zeros((0, len(model.languages)))
     word, distinct, first = factorize(tokens.hashes())
     emit = emissions(model.weights, *word_features(tokens, first, distinct), len(distinct))
-    gamma, *_ = posteriors(emit[word], *sentences(data, tokens), model.transitions, model.start)
+    begin, size, goes_on = sentences(data, tokens)
+    gamma, *_ = posteriors(emit[word], begin, size, model.transitions, model.start, goes_on)
     return tokens, gamma
 
 

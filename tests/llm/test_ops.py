@@ -442,6 +442,42 @@ def test_forward_backward_against_enumeration():
     assert abs(like - np.log(z) - np.log(np.exp(emit[4] + start).sum())) < 1e-9
 
 
+def test_pieces_of_a_long_chain_equal_the_whole():
+    rng = np.random.default_rng(3)
+    emit, move, start = rng.normal(size=(60, 3)), 2 * rng.normal(size=(3, 3)), rng.normal(size=3)
+    whole = language_id.posteriors(emit, np.array([0, 20, 23]), np.array([20, 3, 37]), move, start)
+    begin, size = np.array([0, 8, 16, 20, 23, 31, 39, 47, 55]), np.array([8, 8, 4, 3, 8, 8, 8, 8, 5])
+    parts = language_id.posteriors(emit, begin, size, move, start, np.array([0, 1, 1, 0, 0, 1, 1, 1, 1], bool))
+    for a, b in zip(whole, parts, strict=True):
+        assert np.allclose(a, b, atol=1e-9)
+
+
+def test_language_gradients():
+    """Counts observed less counts expected are the slope of the likelihood."""
+    rng = np.random.default_rng(5)
+    emit, move, start = rng.normal(size=(9, 2)), rng.normal(size=(2, 2)), rng.normal(size=2)
+    begin, size, gold = np.array([0, 5]), np.array([5, 4]), rng.integers(0, 2, 9)
+
+    def likelihood(move, start):
+        total = 0.0
+        for b, n in zip(begin, size, strict=True):
+            y = gold[b : b + n]
+            total += start[y[0]] + emit[np.arange(b, b + n), y].sum() + move[y[:-1], y[1:]].sum()
+        return total - language_id.posteriors(emit, begin, size, move, start)[3]
+
+    _, pairs, starts, _ = language_id.posteriors(emit, begin, size, move, start)
+    seen = np.zeros((2, 2))
+    for b, n in zip(begin, size, strict=True):
+        np.add.at(seen, (gold[b : b + n - 1], gold[b + 1 : b + n]), 1)
+    for i in range(2):
+        for j in range(2):
+            d = np.zeros((2, 2))
+            d[i, j] = 1e-5
+            assert abs((likelihood(move + d, start) - likelihood(move - d, start)) / 2e-5 - (seen - pairs)[i, j]) < 1e-4
+        d = np.eye(2)[i] * 1e-5
+        assert abs((likelihood(move, start + d) - likelihood(move, start - d)) / 2e-5 - (np.bincount(gold[begin], minlength=2) - starts)[i]) < 1e-4
+
+
 # 8
 
 
