@@ -194,6 +194,47 @@ def test_language_model_base_and_tail(spark, docs, real, monkeypatch):
     assert sums[1] > sums[0]
 
 
+@pytest.mark.parametrize("head", [60, 1 << 19])
+def test_language_model_score_against_brute_force(real, monkeypatch, head):
+    monkeypatch.setattr(language_model, "CLUSTERED", 50)
+    docs = real.where("doc_id < 80").select("doc_id", "text")
+    model, placed = language_model.fit(docs, head=head)
+    held = {r.doc_id: spaced(r.text) for r in docs.collect()}
+    training = [w for i, w in held.items() if zlib.crc32(str(i).encode()) % 7 != 2]
+    c = collections.Counter(w.encode() for words in training for w in words)
+    core = sorted(c, key=lambda w: (-c[w], w))[:50]
+    of = dict(zip(core, model.look_up(language_model._hash_words(core))[2].tolist(), strict=True))
+    of |= {bytes(r.word): r.k for r in placed.collect()}
+    assert set(of) == set(c)
+    end = max(of.values()) + 1
+    tokens, words = collections.Counter(), collections.Counter(of.values())
+    for w, n in c.items():
+        tokens[of[w]] += n
+    moves = np.zeros((end + 1, end + 1))
+    for text in training:
+        chain = [end, *(of[w.encode()] for w in text), end]
+        np.add.at(moves, (chain[:-1], chain[1:]), 1)
+    share = (moves.sum(axis=0) + 1) / (moves.sum() + end + 1)
+    step = (moves + 0.5 * (end + 1) * share) / (moves.sum(axis=1, keepdims=True) + 0.5 * (end + 1))
+    assert np.allclose(step.sum(axis=1), 1)
+
+    def class_of(word):
+        if word in of:
+            return of[word]
+        data, offs = utf8(pa.array([word], pa.binary()))
+        return int(model.unseen[language_model.rare_class(Tokens(data, offs, SPACED), np.arange(1))[0]])
+
+    def emission(word, k):
+        spare = max(0.6 * words[k], 1.0)
+        return (max(c[word] - 0.6, 0) + spare / (words[k] + 1)) / (tokens[k] - 0.6 * words[k] + spare)
+
+    got = {r.doc_id: r.score for r in language_model.score_documents(docs, head=head).collect()}
+    for i, text in held.items():
+        chain = [end, *(class_of(w.encode()) for w in text), end]
+        want = sum(np.log10(step[a, b]) for a, b in zip(chain, chain[1:], strict=False)) + sum(np.log10(emission(w.encode(), k)) for w, k in zip(text, chain[1:-1], strict=True))
+        assert abs(got[i] - want) < 1e-6 * max(1, len(text))
+
+
 def test_language_model_is_a_distribution(none):
     model, _ = language_model.fit(none)
     assert model.total == 0 and abs((10.0**model.transitions).sum(axis=1) - 1).max() < 1e-9
