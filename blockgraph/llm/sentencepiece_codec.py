@@ -171,44 +171,43 @@ def merge_one(v: Vocabulary, symbols: list[int], key: int, rate: float) -> list[
 
 
 def merge_many(v: Vocabulary, symbols: np.ndarray, size: np.ndarray, key: np.ndarray, rate: float) -> tuple[np.ndarray, np.ndarray]:
-    """Agenda processing of many short units: a row each, one merge per row and step. Returns symbols and sizes."""
-    out, out_size = symbols.copy(), size.copy()
-    width = symbols.shape[1]
-    rows = np.arange(len(symbols))
-    place = np.broadcast_to(np.arange(width, dtype=np.int16), symbols.shape).copy()
-    real = np.arange(width - 1) < (size - 1)[:, None]
-    piece = np.full((len(symbols), width - 1), -1, np.int32)
-    rank = np.full((len(symbols), width - 1), _NONE, np.int32)
-    a, b = np.nonzero(real)
-    piece[a, b], rank[a, b] = _offers(v, symbols[a, b], symbols[a, b + 1], key[a], b, rate)
-    s = symbols.copy()
+    """Agenda processing of many short units: a row each, one merge per row and step. Returns symbols and sizes.
+
+    Symbols stay where their first character is, linked to the ones before and after, so a step touches a few cells of a row."""
+    s, (n, width) = symbols.copy(), symbols.shape
+    places = np.arange(width)
+    after = np.tile((places + 1).astype(np.int16), (n, 1))
+    before = np.tile((places - 1).astype(np.int16), (n, 1))
+    alive = places < size[:, None]
+    piece, rank = np.full((n, width), -1, np.int32), np.full((n, width), _NONE, np.int32)
+    a, b = np.nonzero(places < (size - 1)[:, None])
+    piece[a, b], rank[a, b] = _offers(v, s[a, b], s[a, b + 1], key[a], b, rate)
+    rows = np.arange(n)
     while len(rows):
-        best = rank.min(axis=1) if width > 1 else np.full(len(rows), _NONE)
-        busy = best != _NONE
-        if not busy.all():
-            done = ~busy
-            out[rows[done]], out_size[rows[done]] = s[done], size[done]
-            rows, s, size, place, piece, rank, key = rows[busy], s[busy], size[busy], place[busy], piece[busy], rank[busy], key[busy]
-            continue
-        at = rank.argmin(axis=1)
-        every = np.arange(len(rows))
-        s[every, at] = piece[every, at]
-        # Close the gap behind the merged symbol.
-        behind = np.arange(1, width) > at[:, None]
-        for table in (s, place):
-            table[:, 1:-1] = np.where(behind[:, :-1], table[:, 2:], table[:, 1:-1])
-        for table in (piece, rank):
-            table[:, :-1] = np.where(behind[:, :-1] | (np.arange(width - 2) == at[:, None]), table[:, 1:], table[:, :-1])
-        rank[:, -1] = np.where(size >= width, _NONE, rank[:, -1])
-        size = size - 1
-        for left in (at - 1, at):
-            fit = np.flatnonzero((left >= 0) & (left + 1 < size))
-            x = left[fit]
-            piece[fit, x], rank[fit, x] = _offers(v, s[fit, x], s[fit, x + 1], key[fit], place[fit, x], rate)
-        edge = np.flatnonzero(at >= size - 1)
-        edge = edge[at[edge] < width - 1]
-        rank[edge, at[edge]] = _NONE
-    return out, out_size
+        offered = rank[rows]
+        at = offered.argmin(axis=1)
+        busy = np.take_along_axis(offered, at[:, None], 1)[:, 0] != _NONE
+        rows, at = rows[busy], at[busy]
+        gone = after[rows, at]
+        s[rows, at] = piece[rows, at]
+        alive[rows, gone] = False
+        rank[rows, gone] = _NONE
+        rank[rows, at] = _NONE
+        behind = after[rows, gone]
+        after[rows, at] = behind
+        inner = behind < size[rows]
+        before[rows[inner], behind[inner]] = at[inner]
+        ahead = before[rows, at]
+        first = ahead >= 0
+        # The new symbol with the next one, and the one before with it.
+        x = np.concatenate([rows[inner], rows[first]])
+        left = np.concatenate([at[inner], ahead[first]])
+        right = np.concatenate([behind[inner], at[first]])
+        piece[x, left], rank[x, left] = _offers(v, s[x, left], s[x, right], key[x], left, rate)
+    found = alive.sum(axis=1)
+    out = np.full((n, width), -1, np.int32)
+    out[places < found[:, None]] = s[alive]
+    return out, found
 
 
 def units(data: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
