@@ -18,6 +18,7 @@ from __future__ import annotations
 import hashlib
 import os
 from collections.abc import Callable, Iterator
+from functools import cache
 
 import numpy as np
 import pyarrow as pa
@@ -40,8 +41,9 @@ def tokenizer_version(path: str) -> str:
         return hashlib.sha256(f.read() + b"|plain|no added tokens|no truncation|no padding").hexdigest()
 
 
+@cache
 def load_counter(path: str):
-    """list of texts -> list of counts, by the library that the kind of file belongs to."""
+    """Once per worker: list of texts -> list of counts, by the library that the kind of file belongs to."""
     os.environ["TOKENIZERS_PARALLELISM"] = "false"
     if path.endswith(".model"):
         import sentencepiece

@@ -10,7 +10,8 @@ a text that counts is chosen anew in each epoch by the current model (the worst
 
 Defined cases: null and empty texts have one empty passage, whose average is the zero vector, so the bias alone scores
 them; labels that are null or belong to no document are not used; with no labelled row at all, or one class only, the
-model is the class prior. ``doc_id``, ``lang``, ``source`` and labels are never inputs of a score.
+model is the class prior; a document that is labelled twice, or whose id repeats, trains once per pair of row and label, with either label if they
+differ; texts of any length are read whole, and columns of other names pass through. ``doc_id``, ``lang``, ``source`` and labels are never inputs of a score.
 """
 
 from __future__ import annotations

@@ -2,6 +2,11 @@
 
 Every stage takes what its predecessor kept, as reread Parquet, and all but the last return the columns of ``documents``.
 Near duplicates are documents whose sets of 5-word shingles have a Jaccard similarity of 0.8 or more.
+
+Defined cases: a document whose text is null or has no letter goes in the first stage; a null ``lang`` is not learned from; rows with a null
+``doc_id`` stay through all stages (they are in no group of near duplicates, and no label is theirs); of rows that share a ``doc_id`` one stays;
+texts of any length are taken whole; columns beside those of ``documents`` pass through the filtering stages, whatever their names; an
+empty table gives an empty result, and one without labels is scored by the class prior.
 """
 
 from __future__ import annotations

@@ -729,3 +729,18 @@ def test_pipeline_stages(spark, sf):
             assert {r.doc_id for r in after.collect()} == clean
         before = after
     assert before.count() > 0
+
+
+def test_pipeline_on_odd_rows(spark, sf, docs, none):
+    pipeline = pytest.importorskip("corpus_pipeline")
+    odd = docs.withColumn("score", F.lit(1)).withColumn("node", F.lit("x"))
+    before = odd
+    for name, stage in pipeline.STAGES:
+        after = pipeline.stored(stage(spark, before, sf), name)
+        if name != "sentencepiece":
+            assert after.columns == odd.columns
+            assert after.where("doc_id is null").count() == 1  # its text is a word
+        before = after
+    assert before.count() > 0
+    for name, stage in pipeline.STAGES:
+        assert stage(spark, none, sf).count() == 0
